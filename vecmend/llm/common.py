@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
+import atexit
 import sys
 import tempfile
 import types
+import uuid
 from collections.abc import Callable, Iterator
 from typing import Any
 
@@ -17,17 +19,81 @@ from pyspark.sql import functions as F
 WHITE = "[ \\t-\\r]+"
 
 
-def durable(df: DataFrame) -> DataFrame:
-    """Cut the lineage in the shared folder that the session names.
+def shared_folder(spark: SparkSession) -> str:
+    """The folder that all executors share, as the session names it.
 
     ``spark.checkpoint.dir`` is read from the session; only where it is unset
     (tests on one machine) a folder of our own is set.
     """
-    context = df.sparkSession.sparkContext
+    context = spark.sparkContext
     if not context.getCheckpointDir():
         named = context.getConf().get("spark.checkpoint.dir", None)
         context.setCheckpointDir(named or tempfile.mkdtemp(prefix="vecmend-checkpoint-"))
-    return df.checkpoint(eager=True)
+    return context.getCheckpointDir()
+
+
+def durable(df: DataFrame) -> DataFrame:
+    """Cut the lineage: write the rows as a Parquet table in the shared folder and read it again.
+
+    The table is smaller than a checkpoint of rows, keeps its columns apart, and
+    outlives any executor.  It is deleted when the session's process ends.
+    """
+    spark = df.sparkSession
+    path = f"{shared_folder(spark)}/table-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    if not hasattr(spark, "_vecmend_tables"):
+        spark._vecmend_tables = []
+        atexit.register(_forget, spark)
+    spark._vecmend_tables.append(path)
+    return spark.read.schema(df.schema).parquet(path)
+
+
+def _forget(spark: SparkSession) -> None:
+    try:
+        jvm = spark.sparkContext._jvm
+        conf = spark.sparkContext._jsc.hadoopConfiguration()
+        for path in spark._vecmend_tables:
+            place = jvm.org.apache.hadoop.fs.Path(path)
+            place.getFileSystem(conf).delete(place, True)
+    except Exception:  # the session may be gone already; what stays lies in its checkpoint folder
+        return
+
+
+# --- range partitioning by sampled splitters -----------------------------------------
+
+
+def splitters(sample: DataFrame, parts: int) -> np.ndarray:
+    """Quantiles of a bounded sample of long columns, as rows that cut the key space into ``parts`` ranges."""
+    rows = sample.toPandas().to_numpy(dtype=np.int64).reshape(-1, len(sample.columns))
+    rows = rows[np.lexsort(rows.T[::-1])]
+    if not len(rows):
+        return rows
+    return rows[np.unique(np.linspace(0, len(rows), parts + 1).astype(np.int64)[1:-1])]
+
+
+def deal(keys: list[np.ndarray], cuts: np.ndarray) -> np.ndarray:
+    """Range of each key row; the later columns decide where the first equals a cut."""
+    low, high = (np.searchsorted(cuts[:, 0], keys[0], side) for side in ("left", "right"))
+    out = low.astype(np.int64)
+    tied = np.flatnonzero(low < high)
+    step = 0
+    while len(tied):
+        cut = cuts[low[tied] + step]
+        above = np.zeros(len(tied), dtype=bool)
+        same = np.ones(len(tied), dtype=bool)
+        for k in range(1, len(keys)):
+            value = keys[k][tied]
+            above |= same & (value > cut[:, k])
+            same &= value == cut[:, k]
+        out[tied[above]] += 1
+        step += 1
+        tied = tied[above & (low[tied] + step < high[tied])]
+    return out
+
+
+def dealt(rows: DataFrame, parts: int, keys: list[str]) -> DataFrame:
+    """Rows with a ``bucket`` column, each bucket in a partition of its own, sorted by ``keys``."""
+    return rows.repartitionById(parts, F.col("bucket").cast("int")).select(*[c for c in rows.columns if c != "bucket"]).sortWithinPartitions(*keys)
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:

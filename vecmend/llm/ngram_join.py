@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import byte_slices, durable, mix, prefix_hashes, span_hashes, utf8
+from .common import byte_slices, deal, dealt, durable, mix, prefix_hashes, span_hashes, splitters, utf8
 from .components import connected_components
 
 SHINGLE = 5
@@ -181,18 +181,30 @@ def frequent_features(docs: DataFrame, rows: int, sample_docs: int = SAMPLE_DOCS
     return np.sort(np.array([r["f"] for r in often.select("f").collect()], dtype=np.int64).view(np.uint64))
 
 
-def _signature_rows(docs: DataFrame, common: np.ndarray) -> DataFrame:
-    shared = docs.sparkSession.sparkContext.broadcast(common)
+def _signature_rows(docs: DataFrame, common: np.ndarray, cuts: np.ndarray | None = None, every: int = 1) -> DataFrame:
+    """(bucket, sig, node) of all documents; of one signature in ``every`` for the sample of splitters."""
+    shared = docs.sparkSession.sparkContext.broadcast((common, cuts))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known = shared.value
+        known, bounds = shared.value
         for batch in batches:
             for ids, texts in byte_slices(batch.column(0).to_pylist(), utf8(batch.column(1))):
                 own = [signatures(s, known) for s in feature_sets(texts)]
-                nodes = np.repeat(np.array(ids, dtype=np.int64), [len(x) for x in own])
-                yield pa.RecordBatch.from_arrays([pa.array(_signed(np.concatenate(own)), pa.int64()), pa.array(nodes, pa.int64())], names=["sig", "node"])
+                keys = [_signed(np.concatenate(own)), np.repeat(np.array(ids, dtype=np.int64), [len(x) for x in own])]
+                if every > 1:
+                    few = mix(keys[0].view(np.uint64)) % np.uint64(every) == 0
+                    keys = [k[few] for k in keys]
+                bucket = deal(keys, bounds) if bounds is not None and len(bounds) else np.zeros(len(keys[0]), dtype=np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array(bucket), *map(pa.array, keys)], names=["bucket", "sig", "node"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, "sig bigint, node bigint")
+    return docs.select("doc_id", "text").mapInArrow(run, "bucket bigint, sig bigint, node bigint")
+
+
+def _sample_cuts(docs: DataFrame, common: np.ndarray, rows: int, parts: int, sample_docs: int = 2000, per_part: int = 40) -> np.ndarray:
+    """Splitters from the signatures of about ``sample_docs`` documents, thinned to a bounded number."""
+    sample = docs.where(F.pmod(F.xxhash64("doc_id", F.lit(3)), F.lit(max(1, rows // sample_docs))) == 0)
+    thin = max(1, sample_docs * 150 // (parts * per_part))
+    return splitters(_signature_rows(sample, common, every=thin).select("sig", "node").limit(parts * per_part * 20), parts)
 
 
 def _runs(rows: DataFrame) -> DataFrame:
@@ -270,8 +282,10 @@ def _linked() -> F.Column:
 
 def similar_links(docs: DataFrame, sets: DataFrame) -> DataFrame:
     """Links (a, b) between first documents of different sets, enough to connect every pair of similar sets."""
-    rows = _signature_rows(docs.where(F.col("doc_id").isNotNull()), frequent_features(docs, sets.count()))
-    runs = durable(_runs(rows.repartitionByRange("sig", "node").sortWithinPartitions("sig", "node")))
+    n, parts, named = sets.count(), int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), docs.where(F.col("doc_id").isNotNull())
+    common = frequent_features(docs, n)
+    rows = _signature_rows(named, common, _sample_cuts(named, common, n, parts))
+    runs = durable(_runs(dealt(rows, parts, ["sig", "node"])))
     # at most two rows a partition: the runs that partition ends cut, and the first node of each over all partitions
     edges = runs.where("edge").select("sig", F.col("first").alias("node")).distinct()
     least = F.broadcast(edges.groupBy("sig").agg(F.min("node").alias("least")))

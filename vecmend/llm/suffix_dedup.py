@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import byte_slices, durable, mix, prefix_hashes, span_hashes, utf8
+from .common import byte_slices, deal, dealt, durable, mix, prefix_hashes, span_hashes, splitters, utf8
 
 LENGTH = 50
 GRAM = 16
@@ -114,18 +114,34 @@ class Anchors:
         return (mix(whole) & np.uint64(0xFFFFFFFF00000000)) | (l16 << np.uint64(16)) | r16
 
 
-def _suffix_rows(docs: DataFrame, length: int) -> DataFrame:
-    """(gram, context, doc, ordinal) of every anchor."""
+def _suffix_rows(docs: DataFrame, length: int, cuts: np.ndarray | None = None, every: int = 1) -> DataFrame:
+    """(bucket, gram, context, doc, ordinal) of every anchor; of one in ``every`` for the sample of splitters."""
+    shared = docs.sparkSession.sparkContext.broadcast(cuts)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        bounds = shared.value
         for batch in batches:
             for ids, texts in byte_slices(batch.column(0).to_pylist(), utf8(batch.column(1))):
                 x = Anchors(texts, length)
-                if len(x.at):
-                    nodes = np.array(ids, dtype=np.int64)[x.doc]
-                    yield pa.RecordBatch.from_arrays([pa.array(x.grams[x.at].view(np.int64)), pa.array(x.contexts().view(np.int64)), pa.array(nodes), pa.array(x.ordinals(), pa.int64())], names=["gram", "context", "doc", "ordinal"])
+                if not len(x.at):
+                    continue
+                keys = [x.grams[x.at].view(np.int64), x.contexts().view(np.int64), np.array(ids, dtype=np.int64)[x.doc]]
+                place = x.ordinals()
+                if every > 1:
+                    few = mix(x.grams[x.at]) % np.uint64(every) == 0
+                    keys, place = [k[few] for k in keys], place[few]
+                bucket = deal(keys, bounds) if bounds is not None and len(bounds) else np.zeros(len(place), dtype=np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array(bucket), *map(pa.array, keys), pa.array(place)], names=["bucket", "gram", "context", "doc", "ordinal"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, "gram bigint, context bigint, doc bigint, ordinal bigint")
+    return docs.select("doc_id", "text").mapInArrow(run, "bucket bigint, gram bigint, context bigint, doc bigint, ordinal bigint")
+
+
+def _sample_cuts(docs: DataFrame, length: int, parts: int, sample_docs: int = 2000, per_part: int = 40) -> np.ndarray:
+    """Splitters from the anchors of about ``sample_docs`` documents, thinned to a bounded number."""
+    every = max(1, docs.select("doc_id").count() // sample_docs)
+    sample = docs.where(F.pmod(F.xxhash64("doc_id", F.lit(3)), F.lit(every)) == 0)
+    thin = max(1, sample_docs * 150 // (parts * per_part))
+    return splitters(_suffix_rows(sample, length, every=thin).select("gram", "context", "doc").limit(parts * per_part * 20), parts)
 
 
 def _shared_half(gram: np.ndarray, context: np.ndarray) -> np.ndarray:
@@ -149,7 +165,9 @@ def _compare(rows: DataFrame) -> DataFrame:
     """Marks from sorted suffixes: 'whole' (repeated), 'part' (windows to compare), 'edge' (bucket ends)."""
 
     def marks(kind: str, table: np.ndarray) -> pa.RecordBatch:
-        return pa.RecordBatch.from_arrays([pa.array([kind] * table.shape[1], pa.string()), *(pa.array(c, pa.int64()) for c in table)], names=["kind", "gram", "context", "doc", "ordinal"])
+        n = table.shape[1]
+        keys = [pa.array(c, pa.int64()) if kind == "edge" else pa.nulls(n, pa.int64()) for c in table[:2]]
+        return pa.RecordBatch.from_arrays([pa.array([kind] * n, pa.string()), *keys, *(pa.array(c, pa.int64()) for c in table[2:])], names=["kind", "gram", "context", "doc", "ordinal"])
 
     def finish(table: np.ndarray, ends: set) -> Iterator[pa.RecordBatch]:
         gram, context, doc, _ = table
@@ -262,17 +280,43 @@ def _window_rows(placed: DataFrame, length: int) -> DataFrame:
     return placed.mapInArrow(run, "h bigint, doc bigint, ordinal bigint")
 
 
+def _later(windows: DataFrame) -> DataFrame:
+    """(doc, ordinal) of windows that a smaller document has too.
+
+    Only one document for each distinct context of an anchor gives windows, so a
+    hash repeats once for each variant of a passage, not for each copy.  Sorted by hash and
+    document, a run's later rows follow in one pass that holds no run.
+    """
+
+    def first_of_runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        last_h = last_doc = None
+        for batch in batches:
+            h, doc, ordinal = (c.to_numpy(zero_copy_only=False) for c in batch.columns)
+            if not len(h):
+                continue
+            fresh = np.concatenate([[h[0] != last_h], h[1:] != h[:-1]])
+            at = np.maximum.accumulate(np.where(fresh, np.arange(len(h)), -1))
+            least = np.where(at >= 0, doc[np.maximum(at, 0)], last_doc if last_doc is not None else 0)
+            late = doc != least
+            yield pa.RecordBatch.from_arrays([pa.array(doc[late]), pa.array(ordinal[late])], names=["doc", "ordinal"])
+            last_h, last_doc = h[-1], least[-1]
+
+    parts = int(windows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    ordered = windows.repartition(parts, "h").sortWithinPartitions("h", "doc", "ordinal")
+    return ordered.mapInArrow(first_of_runs, "doc bigint, ordinal bigint")
+
+
 def repeated_spans(docs: DataFrame, length: int = LENGTH) -> DataFrame:
     """(doc, anchors, windows): packed anchor ranges and window-start ranges to remove, for documents that have any."""
     own = docs.where(F.col("doc_id").isNotNull() & F.col("text").isNotNull()).select(F.col("doc_id").cast("bigint").alias("doc_id"), "text")
-    rows = _suffix_rows(own, length)
-    marks = durable(_compare(rows.repartitionByRange("gram", "context", "doc").sortWithinPartitions("gram", "context", "doc", "ordinal")))
+    parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    rows = _suffix_rows(own, length, _sample_cuts(own, length, parts))
+    marks = durable(_compare(dealt(rows, parts, ["gram", "context", "doc", "ordinal"])))
     whole, part = _across(marks.where("kind = 'edge'").drop("kind"))
     whole = marks.where("kind = 'whole'").select("doc", "ordinal").union(whole)
     part = marks.where("kind = 'part'").select("doc", "ordinal").union(part)
-    windows = durable(_window_rows(_placed(own, _per_document(part, "packed"), ["packed"], "inner"), length))
-    least = windows.groupBy("h").agg(F.min("doc").alias("least"), F.max("doc").alias("most")).where("least <> most").drop("most")
-    late = windows.join(least, "h").where("doc > least").select("doc", "ordinal")
+    windows = _window_rows(_placed(own, _per_document(part, "packed"), ["packed"], "inner"), length)
+    late = durable(_later(windows))
     return _per_document(whole, "anchors").join(_per_document(late, "windows"), "doc", "full")
 
 
