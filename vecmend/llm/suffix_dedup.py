@@ -1,7 +1,7 @@
 """Removal of repeated byte strings with a sparse, range-partitioned suffix array.
 
 Every window of ``length`` bytes picks one anchor, the smallest hash of the
-16-byte grams in it, so that equal windows pick equal anchors.  Only the
+8-byte grams in it, so that equal windows pick equal anchors.  Only the
 suffixes that start at anchors are sorted: Spark samples splitters, range-partitions
 the suffixes by their leading gram and context, and sorts each bucket.  Equal neighbours
 with a smaller document mark the anchor's windows as repeated as a whole.
@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 from .common import byte_slices, deal, dealt, durable, mix, prefix_hashes, span_hashes, splitters, utf8
 
 LENGTH = 50
-GRAM = 16
+GRAM = 8
 #: Documents up to which per-document lists are broadcast; beyond, the texts are shuffled to them.
 BROADCAST_ROWS = 1_000_000
 BROADCAST_BYTES = 64 << 20
