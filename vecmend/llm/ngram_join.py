@@ -192,7 +192,7 @@ def _signature_rows(docs: DataFrame, common: np.ndarray, cuts: np.ndarray | None
                 own = [signatures(s, known) for s in feature_sets(texts)]
                 keys = [_signed(np.concatenate(own)), np.repeat(np.array(ids, dtype=np.int64), [len(x) for x in own])]
                 if every > 1:
-                    few = mix(keys[0].view(np.uint64)) % np.uint64(every) == 0
+                    few = mix(keys[0].view(np.uint64) + mix(keys[1].view(np.uint64))) % np.uint64(every) == 0
                     keys = [k[few] for k in keys]
                 bucket = deal(keys, bounds) if bounds is not None and len(bounds) else np.zeros(len(keys[0]), dtype=np.int64)
                 yield pa.RecordBatch.from_arrays([pa.array(bucket), *map(pa.array, keys)], names=["bucket", "sig", "node"])

@@ -1,11 +1,11 @@
 """Removal of repeated byte strings with a sparse, range-partitioned suffix array.
 
 Every window of ``length`` bytes picks one anchor, the smallest hash of the
-8-byte grams in it, so that equal windows pick equal anchors.  Only the
+16-byte grams in it, so that equal windows pick equal anchors.  Only the
 suffixes that start at anchors are sorted: Spark samples splitters, range-partitions
 the suffixes by their leading gram and context, and sorts each bucket.  Equal neighbours
 with a smaller document mark the anchor's windows as repeated as a whole.
-Neighbours that agree in the gram and in half of the context to one side may
+Neighbours that agree in the gram and in a part of the context may
 share some windows; those anchors' windows are compared one by one.  Suffixes
 at the ends of buckets are compared across the boundaries in the same two ways.
 """
@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 from .common import byte_slices, deal, dealt, durable, mix, prefix_hashes, span_hashes, splitters, utf8
 
 LENGTH = 50
-GRAM = 8
+GRAM = 16
 #: Documents up to which per-document lists are broadcast; beyond, the texts are shuffled to them.
 BROADCAST_ROWS = 1_000_000
 BROADCAST_BYTES = 64 << 20
@@ -98,20 +98,25 @@ class Anchors:
         return np.arange(len(self.doc)) - first[self.doc]
 
     def contexts(self) -> np.ndarray:
-        """64 bits on what surrounds an anchor: all of it, and half of it to each side (0: not there)."""
+        """64 bits on what surrounds an anchor: 16 on all of it and 12 on each of four parts (0: not there).
+
+        Two anchors can share a window only if they agree on l bytes to the left and r to
+        the right with l + r no less than the window without the gram; then
+        they agree on one of the four parts, which lie at quarters of that range.
+        """
         reach = self.length - self.gram
-        half = reach // 2
         low, high = self.begin[self.doc], self.begin[self.doc + 1]
         after = self.at + self.gram
         a, b = np.maximum(low, self.at - reach), np.minimum(high, after + reach)
         whole = span_hashes(self.prefix, a, b) + mix(((self.at - a) * 131 + (b - after)).astype(np.uint64))
-        left, right = self.at - half, after + half
-        has_left, has_right = left >= low, right <= high
-        l_hash = span_hashes(self.prefix, np.where(has_left, left, self.at), self.at)
-        r_hash = span_hashes(self.prefix, after, np.where(has_right, right, after))
-        l16 = np.where(has_left, (l_hash >> np.uint64(48)) | np.uint64(1), np.uint64(0))
-        r16 = np.where(has_right, (r_hash >> np.uint64(48)) | np.uint64(1), np.uint64(0))
-        return (mix(whole) & np.uint64(0xFFFFFFFF00000000)) | (l16 << np.uint64(16)) | r16
+        out = mix(whole) & np.uint64(0xFFFF << 48)
+        steps = [reach * i // 4 for i in range(5)]
+        for i in range(4):
+            left, right = self.at - steps[i], after + (reach - steps[i + 1] + 1 if i < 3 else 0)
+            there = (left >= low) & (right <= high)
+            part = span_hashes(self.prefix, np.where(there, left, self.at), np.where(there, right, after))
+            out |= np.where(there, (part >> np.uint64(52)) | np.uint64(1), np.uint64(0)) << np.uint64(12 * i)
+        return out
 
 
 def _suffix_rows(docs: DataFrame, length: int, cuts: np.ndarray | None = None, every: int = 1) -> DataFrame:
@@ -128,7 +133,7 @@ def _suffix_rows(docs: DataFrame, length: int, cuts: np.ndarray | None = None, e
                 keys = [x.grams[x.at].view(np.int64), x.contexts().view(np.int64), np.array(ids, dtype=np.int64)[x.doc]]
                 place = x.ordinals()
                 if every > 1:
-                    few = mix(x.grams[x.at]) % np.uint64(every) == 0
+                    few = mix(x.grams[x.at] + mix(keys[2].view(np.uint64) + np.uint64(1)) * place.astype(np.uint64)) % np.uint64(every) == 0
                     keys, place = [k[few] for k in keys], place[few]
                 bucket = deal(keys, bounds) if bounds is not None and len(bounds) else np.zeros(len(place), dtype=np.int64)
                 yield pa.RecordBatch.from_arrays([pa.array(bucket), *map(pa.array, keys), pa.array(place)], names=["bucket", "gram", "context", "doc", "ordinal"])
@@ -144,17 +149,17 @@ def _sample_cuts(docs: DataFrame, length: int, parts: int, sample_docs: int = 20
     return splitters(_suffix_rows(sample, length, every=thin).select("gram", "context", "doc").limit(parts * per_part * 20), parts)
 
 
-def _shared_half(gram: np.ndarray, context: np.ndarray) -> np.ndarray:
-    """Which of the given distinct (gram, context) rows agree with another one in gram and half a context."""
+def _shared_part(gram: np.ndarray, context: np.ndarray) -> np.ndarray:
+    """Which of the given distinct (gram, context) rows agree with another one in gram and a part of the context."""
     flag = np.zeros(len(gram), dtype=bool)
     bits = context.view(np.uint64)
-    for shift in (16, 0):
-        half = (bits >> np.uint64(shift)) & np.uint64(0xFFFF)
-        key = mix(gram.view(np.uint64) ^ mix(half + np.uint64(shift + 1)))
+    for i in range(4):
+        part = (bits >> np.uint64(12 * i)) & np.uint64(0xFFF)
+        key = mix(gram.view(np.uint64) ^ mix(part + np.uint64(1)))
         order = np.argsort(key, kind="stable")
         same = key[order][1:] == key[order][:-1]
         near = np.concatenate([[False], same]) | np.concatenate([same, [False]])
-        flag[order[near]] |= (half[order[near]] != 0)
+        flag[order[near]] |= part[order[near]] != 0
     return flag
 
 
@@ -185,7 +190,7 @@ def _compare(rows: DataFrame) -> DataFrame:
         cand = start[(size[group] > 1) & ~at_end[start]]
         if len(cand):
             flag = np.zeros(len(gram), dtype=bool)
-            flag[cand[_shared_half(gram[cand], context[cand])]] = True
+            flag[cand[_shared_part(gram[cand], context[cand])]] = True
             run = np.cumsum(fresh) - 1
             part = flag[start][run] & ~whole
             yield marks("part", table[:, part])
@@ -218,12 +223,10 @@ def _across(edges: DataFrame) -> tuple[DataFrame, DataFrame]:
     least = edges.groupBy("gram", "context").agg(F.min("doc").alias("least"))
     near = edges.join(least, ["gram", "context"])
     whole = near.where("doc > least").select("doc", "ordinal")
-    keys = least.select("gram", "context", F.explode(F.array(
-        F.struct(F.lit(1).alias("side"), F.shiftrightunsigned("context", 16).bitwiseAND(0xFFFF).alias("half")),
-        F.struct(F.lit(2).alias("side"), F.col("context").bitwiseAND(0xFFFF).alias("half")),
-    )).alias("k")).select("gram", "context", "k.*").where("half <> 0")
-    shared = keys.groupBy("gram", "side", "half").agg(F.min("context").alias("lo"), F.max("context").alias("hi")).where("lo <> hi")
-    flagged = keys.join(shared.select("gram", "side", "half"), ["gram", "side", "half"], "left_semi").select("gram", "context").distinct()
+    parts = [F.struct(F.lit(i).alias("side"), F.shiftrightunsigned("context", 12 * i).bitwiseAND(0xFFF).alias("part")) for i in range(4)]
+    keys = least.select("gram", "context", F.explode(F.array(*parts)).alias("k")).select("gram", "context", "k.*").where("part <> 0")
+    shared = keys.groupBy("gram", "side", "part").agg(F.min("context").alias("lo"), F.max("context").alias("hi")).where("lo <> hi")
+    flagged = keys.join(shared.select("gram", "side", "part"), ["gram", "side", "part"], "left_semi").select("gram", "context").distinct()
     part = near.where("doc = least").join(flagged, ["gram", "context"], "left_semi").select("doc", "ordinal")
     return whole, part
 
