@@ -97,26 +97,29 @@ class Anchors:
         first = np.searchsorted(self.doc, np.arange(len(self.begin)))
         return np.arange(len(self.doc)) - first[self.doc]
 
-    def contexts(self) -> np.ndarray:
-        """64 bits on what surrounds an anchor: 16 on all of it and 12 on each of four parts (0: not there).
+    def keys(self) -> list[np.ndarray]:
+        """Two sort keys of each anchor: 48 bits of its gram, 40 bits of all its context, 10 bits of each of four parts.
 
-        Two anchors can share a window only if they agree on l bytes to the left and r to
-        the right with l + r no less than the window without the gram; then
-        they agree on one of the four parts, which lie at quarters of that range.
+        Equal keys mean equal contexts (40 bits among anchors of one gram).  Two anchors can share
+        a window only if they agree on l bytes to the left and r to the right with l + r no
+        less than the window without the gram; then they agree on one of the
+        four parts, which lie at quarters of that range (0: not inside the text).
         """
         reach = self.length - self.gram
         low, high = self.begin[self.doc], self.begin[self.doc + 1]
         after = self.at + self.gram
         a, b = np.maximum(low, self.at - reach), np.minimum(high, after + reach)
         whole = span_hashes(self.prefix, a, b) + mix(((self.at - a) * 131 + (b - after)).astype(np.uint64))
-        out = mix(whole) & np.uint64(0xFFFF << 48)
+        whole = mix(whole)
+        out = whole & np.uint64(0xFFFFFF << 40)
         steps = [reach * i // 4 for i in range(5)]
         for i in range(4):
             left, right = self.at - steps[i], after + (reach - steps[i + 1] + 1 if i < 3 else 0)
             there = (left >= low) & (right <= high)
             part = span_hashes(self.prefix, np.where(there, left, self.at), np.where(there, right, after))
-            out |= np.where(there, (part >> np.uint64(52)) | np.uint64(1), np.uint64(0)) << np.uint64(12 * i)
-        return out
+            out |= np.where(there, (part >> np.uint64(54)) | np.uint64(1), np.uint64(0)) << np.uint64(10 * i)
+        first = (self.grams[self.at] & ~np.uint64(0xFFFF)) | (whole & np.uint64(0xFFFF))
+        return [first.view(np.int64), out.view(np.int64)]
 
 
 def _suffix_rows(docs: DataFrame, length: int, cuts: np.ndarray | None = None, every: int = 1) -> DataFrame:
@@ -130,7 +133,7 @@ def _suffix_rows(docs: DataFrame, length: int, cuts: np.ndarray | None = None, e
                 x = Anchors(texts, length)
                 if not len(x.at):
                     continue
-                keys = [x.grams[x.at].view(np.int64), x.contexts().view(np.int64), np.array(ids, dtype=np.int64)[x.doc]]
+                keys = [*x.keys(), np.array(ids, dtype=np.int64)[x.doc]]
                 place = x.ordinals()
                 if every > 1:
                     few = mix(x.grams[x.at] + mix(keys[2].view(np.uint64) + np.uint64(1)) * place.astype(np.uint64)) % np.uint64(every) == 0
@@ -154,8 +157,8 @@ def _shared_part(gram: np.ndarray, context: np.ndarray) -> np.ndarray:
     flag = np.zeros(len(gram), dtype=bool)
     bits = context.view(np.uint64)
     for i in range(4):
-        part = (bits >> np.uint64(12 * i)) & np.uint64(0xFFF)
-        key = mix(gram.view(np.uint64) ^ mix(part + np.uint64(1)))
+        part = (bits >> np.uint64(10 * i)) & np.uint64(0x3FF)
+        key = mix((gram >> 16).view(np.uint64) ^ mix(part + np.uint64(1)))
         order = np.argsort(key, kind="stable")
         same = key[order][1:] == key[order][:-1]
         near = np.concatenate([[False], same]) | np.concatenate([same, [False]])
@@ -181,10 +184,10 @@ def _compare(rows: DataFrame) -> DataFrame:
         least = np.repeat(doc[start], np.diff(np.concatenate([start, [len(gram)]])))
         whole = doc != least
         yield marks("whole", table[:, whole])
-        at_end = np.isin(gram, list(ends)) if ends else np.zeros(len(gram), dtype=bool)
+        at_end = np.isin(gram >> 16, list(ends)) if ends else np.zeros(len(gram), dtype=bool)
         if at_end.any():
             yield marks("edge", table[:, at_end & ~whole])
-        several = np.concatenate([[True], gram[start][1:] != gram[start][:-1]])
+        several = np.concatenate([[True], gram[start][1:] >> 16 != gram[start][:-1] >> 16])
         group = np.cumsum(several) - 1
         size = np.bincount(group)
         cand = start[(size[group] > 1) & ~at_end[start]]
@@ -204,16 +207,16 @@ def _compare(rows: DataFrame) -> DataFrame:
             held.append(np.stack([c.to_numpy(zero_copy_only=False) for c in batch.columns]))
             size += batch.num_rows
             if opening is None:
-                opening = int(held[0][0, 0])
+                opening = int(held[0][0, 0]) >> 16
             if size >= 200_000:
                 table = np.concatenate(held, axis=1)
-                cut = int(np.searchsorted(table[0], table[0, -1], "left"))
+                cut = int(np.searchsorted(table[0] >> 16, table[0, -1] >> 16, "left"))
                 if cut:
                     yield from finish(table[:, :cut], {opening})
                 held, size = [table[:, cut:]], table.shape[1] - cut
         if size:
             table = np.concatenate(held, axis=1)
-            yield from finish(table, {opening, int(table[0, -1])})
+            yield from finish(table, {opening, int(table[0, -1]) >> 16})
 
     return rows.mapInArrow(run, _MARKS)
 
@@ -223,10 +226,11 @@ def _across(edges: DataFrame) -> tuple[DataFrame, DataFrame]:
     least = edges.groupBy("gram", "context").agg(F.min("doc").alias("least"))
     near = edges.join(least, ["gram", "context"])
     whole = near.where("doc > least").select("doc", "ordinal")
-    parts = [F.struct(F.lit(i).alias("side"), F.shiftrightunsigned("context", 12 * i).bitwiseAND(0xFFF).alias("part")) for i in range(4)]
-    keys = least.select("gram", "context", F.explode(F.array(*parts)).alias("k")).select("gram", "context", "k.*").where("part <> 0")
-    shared = keys.groupBy("gram", "side", "part").agg(F.min("context").alias("lo"), F.max("context").alias("hi")).where("lo <> hi")
-    flagged = keys.join(shared.select("gram", "side", "part"), ["gram", "side", "part"], "left_semi").select("gram", "context").distinct()
+    parts = [F.struct(F.lit(i).alias("side"), F.shiftrightunsigned("context", 10 * i).bitwiseAND(0x3FF).alias("part")) for i in range(4)]
+    keys = least.select("gram", "context", F.shiftright("gram", 16).alias("group"), F.explode(F.array(*parts)).alias("k")).select("gram", "context", "group", "k.*").where("part <> 0")
+    both = F.struct("gram", "context")
+    shared = keys.groupBy("group", "side", "part").agg(F.min(both).alias("lo"), F.max(both).alias("hi")).where("lo <> hi")
+    flagged = keys.join(shared.select("group", "side", "part"), ["group", "side", "part"], "left_semi").select("gram", "context").distinct()
     part = near.where("doc = least").join(flagged, ["gram", "context"], "left_semi").select("doc", "ordinal")
     return whole, part
 
