@@ -39,6 +39,48 @@ def packed(base: DataFrame, edges: DataFrame, tombstones: DataFrame | None = Non
     return rows.select("shard", "vec_id", "vec", F.transform("nbrs", lambda x: x["dst"]).alias("nbrs"), F.transform("nbrs", lambda x: x["layer"]).alias("layers"), "dead")
 
 
+def _shard_walker(shared, k: int, metric: str, entry: str | int, visited: bool):
+    """Function that unpacks one shard and walks it for every query of a broadcast block."""
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values("vec_id")
+        own = pdf["vec_id"].to_numpy()
+        mat = K.prepare(np.stack(pdf["vec"].to_numpy()), metric)
+        at = {v: i for i, v in enumerate(own.tolist())}
+        out: dict[int, list[np.ndarray]] = {}
+        for i, (nbrs, layers) in enumerate(zip(pdf["nbrs"], pdf["layers"], strict=True)):
+            if nbrs is None:
+                continue
+            arr, lay = np.asarray(nbrs), np.asarray(layers)
+            for layer in np.unique(lay).tolist():
+                lists = out.setdefault(layer, [np.zeros(0, dtype=np.int64)] * len(own))
+                lists[i] = np.array([at[v] for v in arr[lay == layer].tolist() if v in at], dtype=np.int64)
+        zero = out.get(0, [np.zeros(0, dtype=np.int64)] * len(own))
+        dead = pdf["dead"].to_numpy(dtype=bool)
+        if isinstance(entry, int):
+            start = at.get(entry, 0)
+        elif entry == "random":
+            start = int(np.argmin([hash((v, 7)) for v in own.tolist()]))
+        else:
+            start = K.medoid(mat, metric)
+        rows = []
+        q_ids, q, own_beams = shared.value
+        for query_id, vec, width in zip(q_ids.tolist(), q, own_beams, strict=True):
+            first, extra = start, 0
+            for layer in sorted((x for x in out if x > 0), reverse=True):
+                top = np.flatnonzero([len(x) > 0 for x in out[layer]])
+                if len(top):
+                    w = K.walk(out[layer], mat, vec, 1, [first if len(out[layer][first]) else int(top[0])], 1, metric)
+                    first, extra = int(w.rows[0]), extra + w.ndc
+            w = K.walk(zero, mat, vec, k, [first], width, metric, dead if dead.any() else None)
+            got = w.seen if visited else w.rows
+            d = K.distances(mat[got], vec, metric)
+            rows.append(pd.DataFrame({"query_id": query_id, "shard": int(pdf["shard"].iloc[0]), "vec_id": own[got], "dist": d, "ndc": w.ndc + extra, "hops": w.hops}))
+        return pd.concat(rows)
+
+    return run
+
+
 def sharded(base: DataFrame, edges: DataFrame, queries: DataFrame, k: int, beam: int, metric: str = "cosine", entry: str | int = "centroid", tombstones: DataFrame | None = None, visited: bool = False, beam_col: str | None = None) -> DataFrame:
     """(query_id, rank, vec_id, dist, ndc, hops): k nearest of all shards' walks for each query.
 
@@ -52,43 +94,7 @@ def sharded(base: DataFrame, edges: DataFrame, queries: DataFrame, k: int, beam:
         beams = [int(m[0]) for m in more] if beam_col else [beam] * len(ids)
         shared = base.sparkSession.sparkContext.broadcast((ids, K.prepare(vecs, metric), beams))
 
-        def run(pdf: pd.DataFrame, shared=shared) -> pd.DataFrame:
-            pdf = pdf.sort_values("vec_id")
-            own = pdf["vec_id"].to_numpy()
-            mat = K.prepare(np.stack(pdf["vec"].to_numpy()), metric)
-            at = {v: i for i, v in enumerate(own.tolist())}
-            out: dict[int, list[np.ndarray]] = {}
-            for i, (nbrs, layers) in enumerate(zip(pdf["nbrs"], pdf["layers"], strict=True)):
-                if nbrs is None:
-                    continue
-                arr, lay = np.asarray(nbrs), np.asarray(layers)
-                for layer in np.unique(lay).tolist():
-                    lists = out.setdefault(layer, [np.zeros(0, dtype=np.int64)] * len(own))
-                    lists[i] = np.array([at[v] for v in arr[lay == layer].tolist() if v in at], dtype=np.int64)
-            zero = out.get(0, [np.zeros(0, dtype=np.int64)] * len(own))
-            dead = pdf["dead"].to_numpy(dtype=bool)
-            if isinstance(entry, int):
-                start = at.get(entry, 0)
-            elif entry == "random":
-                start = int(np.argmin([hash((v, 7)) for v in own.tolist()]))
-            else:
-                start = K.medoid(mat, metric)
-            rows = []
-            q_ids, q, own_beams = shared.value
-            for query_id, vec, width in zip(q_ids.tolist(), q, own_beams, strict=True):
-                first, extra = start, 0
-                for layer in sorted((x for x in out if x > 0), reverse=True):
-                    top = np.flatnonzero([len(x) > 0 for x in out[layer]])
-                    if len(top):
-                        w = K.walk(out[layer], mat, vec, 1, [first if len(out[layer][first]) else int(top[0])], 1, metric)
-                        first, extra = int(w.rows[0]), extra + w.ndc
-                w = K.walk(zero, mat, vec, k, [first], width, metric, dead if dead.any() else None)
-                got = w.seen if visited else w.rows
-                d = K.distances(mat[got], vec, metric)
-                rows.append(pd.DataFrame({"query_id": query_id, "shard": int(pdf["shard"].iloc[0]), "vec_id": own[got], "dist": d, "ndc": w.ndc + extra, "hops": w.hops}))
-            return pd.concat(rows)
-
-        parts.append(index.groupBy("shard").applyInPandas(run, FOUND))
+        parts.append(index.groupBy("shard").applyInPandas(_shard_walker(shared, k, metric, entry, visited), FOUND))
     if not parts:
         return base.sparkSession.createDataFrame([], "query_id bigint, rank int, vec_id bigint, dist double, ndc bigint, hops int")
     found = parts[0]
