@@ -256,20 +256,22 @@ def _sides(docs: DataFrame, pairs: DataFrame, half: bool) -> DataFrame:
 
     def features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            rest = list(range(2, batch.num_columns))
-            for i in range(0, batch.num_rows, 512):
-                part = batch.slice(i, 512)
-                sets = feature_sets(utf8(part.column(1)))
+            for rows, texts in byte_slices(list(zip(*(batch.column(i).to_pylist() for i in (0, 2)), strict=True)), utf8(batch.column(1))):
+                sets = feature_sets(texts)
                 sent = [np.unique((s[: np.searchsorted(s, np.uint64(1 << 63))] >> np.uint64(24)).astype(np.uint32)) for s in sets] if half else sets
                 yield pa.RecordBatch.from_arrays(
-                    [part.column(0), *(part.column(j) for j in rest), pa.array([len(s) for s in sets], pa.int64()), pa.array([s.tobytes() for s in sent], pa.binary())],
-                    names=["doc_id", *(batch.schema.names[j] for j in rest), "n", "f"],
+                    [pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.list_(pa.int64())), pa.array([len(s) for s in sets], pa.int64()), pa.array([s.tobytes() for s in sent], pa.binary())],
+                    names=["doc_id", "with", "n", "f"],
                 )
 
+    kind = "doc_id bigint, with array<bigint>, n bigint, f binary"
     text = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
-    left = text.join(heads, "doc_id", "left_semi").mapInArrow(features, "doc_id bigint, n bigint, f binary").select(F.col("doc_id").alias("a"), F.col("n").alias("na"), F.col("f").alias("fa"))
-    right = text.join(_sized(pairs.select(F.col("b").alias("doc_id"), "a")), "doc_id").select("doc_id", "text", "a").mapInArrow(features, "doc_id bigint, a bigint, n bigint, f binary")
-    return left.join(right.select("a", F.col("doc_id").alias("b"), F.col("n").alias("nb"), F.col("f").alias("fb")), "a").select("a", "b", "na", "nb", "fa", "fb")
+    left = text.join(heads, "doc_id", "left_semi").select("doc_id", "text", F.lit(None).cast("array<bigint>").alias("with")).mapInArrow(features, kind).select(F.col("doc_id").alias("a"), F.col("n").alias("na"), F.col("f").alias("fa"))
+    # a document's text is read once for up to an eighth of its partners, not once for each
+    partners = durable(pairs.groupBy(F.col("b").alias("doc_id"), F.pmod(F.xxhash64("a"), F.lit(8)).alias("part")).agg(F.collect_list("a").alias("with")).drop("part"))
+    partners = F.broadcast(partners) if pairs.count() <= BROADCAST_ROWS else partners
+    right = text.join(partners, "doc_id").select("doc_id", "text", "with").mapInArrow(features, kind).select(F.explode("with").alias("a"), F.col("doc_id").alias("b"), F.col("n").alias("nb"), F.col("f").alias("fb"))
+    return left.join(right, "a").select("a", "b", "na", "nb", "fa", "fb")
 
 
 def _common(sides: DataFrame, kind: type) -> DataFrame:
