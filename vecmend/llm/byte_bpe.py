@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import once_per_worker
+from .common import in_slices, once_per_worker
 
 #: Characters in a leaf of the tree.
 LEAF = 8192
@@ -141,7 +141,7 @@ def encode_documents(df: DataFrame, rank_file: bytes, pattern: str, leaf: int =
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(ids, pa.list_(pa.int32()))], names=[id_col, "ids"])
 
     source = df.select(F.col(id_col), F.col(text_col))
-    return source.mapInArrow(run, f"{_name(id_col)} {dict(source.dtypes)[id_col]}, ids array<int>")
+    return source.mapInArrow(in_slices(run), f"{_name(id_col)} {dict(source.dtypes)[id_col]}, ids array<int>")
 
 
 def decode_ids(df: DataFrame, rank_file: bytes, pattern: str, leaf: int = LEAF, id_col: str = "doc_id", ids_col: str = "ids") -> DataFrame:
@@ -155,7 +155,7 @@ def decode_ids(df: DataFrame, rank_file: bytes, pattern: str, leaf: int = LEAF,
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out, pa.binary())], names=[id_col, "bytes"])
 
     source = df.select(F.col(id_col), F.col(ids_col))
-    return source.mapInArrow(run, f"{_name(id_col)} {dict(source.dtypes)[id_col]}, bytes binary")
+    return source.mapInArrow(in_slices(run), f"{_name(id_col)} {dict(source.dtypes)[id_col]}, bytes binary")
 
 
 def round_trip_digest(df: DataFrame, rank_file: bytes, pattern: str, leaf: int = LEAF, return_text: bool = True) -> DataFrame:
@@ -188,7 +188,7 @@ def round_trip_digest(df: DataFrame, rank_file: bytes, pattern: str, leaf: int =
                 text_sha.append(hashlib.sha256(codec.decode(ids)).hexdigest())
             yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in back), pa.array(counts, pa.int64()), pa.array(ids_sha, pa.string()), pa.array(text_sha, pa.string())], names=names)
 
-    return kept.mapInArrow(run, schema)
+    return kept.mapInArrow(in_slices(run), schema)
 
 
 def _name(column: str) -> str:

@@ -181,6 +181,34 @@ def byte_slices(ids: list, texts: list[bytes], most: int = 1 << 20) -> Iterator[
         yield ids[start:], texts[start:]
 
 
+def in_slices(run: Callable) -> Callable:
+    """Wrap a function of Arrow batches so that it sees slices of 1024 rows and about 4 MB, and gives memory back.
+
+    Workers live on between tasks, so what the allocators keep would add up over stages.
+    """
+
+    def sliced(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            rows = max(1, min(1024, int(batch.num_rows * (4 << 20) / max(batch.nbytes, 1))))
+            for i in range(0, batch.num_rows, rows):
+                yield batch.slice(i, rows)
+
+    def wrapped(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        import ctypes
+
+        trim = once_per_worker("trim", lambda: getattr(ctypes.CDLL(None), "malloc_trim", lambda _: 0))
+        sent = 0
+        for out in run(sliced(batches)):
+            yield out
+            sent += 1
+            if sent % 16 == 0:
+                trim(0)
+        pa.default_memory_pool().release_unused()
+        trim(0)
+
+    return wrapped
+
+
 def utf8(column: pa.Array) -> list[bytes]:
     """Texts of an Arrow column as UTF-8 bytes; null counts as empty."""
     return [x or b"" for x in column.cast(pa.binary()).to_pylist()]

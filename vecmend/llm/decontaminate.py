@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import byte_slices, utf8
+from .common import byte_slices, in_slices, utf8
 
 WINDOW = 13
 #: Words of benchmark text that one pass may broadcast.
@@ -177,7 +177,7 @@ def find_contamination(documents: DataFrame, benchmark: DataFrame, width: int =
                 assert n == len(shard.counts)
 
     source = documents.select("doc_id", "text")
-    out = source.mapInArrow(run, f"doc_id {id_type}, n_words bigint, n_hit bigint, n_items bigint, items array<string>, items_sha256 string")
+    out = source.mapInArrow(in_slices(run), f"doc_id {id_type}, n_words bigint, n_hit bigint, n_items bigint, items array<string>, items_sha256 string")
     return out.withColumn("contaminated", (F.col("n_hit") > 0) & (20 * F.col("n_hit") >= F.col("n_words")))
 
 
@@ -206,7 +206,7 @@ def clean_documents(documents: DataFrame, benchmark: DataFrame, width: int = WIN
                 keep += [not (h > 0 and 20 * h >= n) for h, n in zip(n_hit.tolist(), shard.counts, strict=True)]
             yield batch.filter(pa.array(keep, pa.bool_()))
 
-    return documents.mapInArrow(run, documents.schema)
+    return documents.mapInArrow(in_slices(run), documents.schema)
 
 
 def proximity_matches(documents: DataFrame, benchmark: DataFrame, span: int, max_terms: int = MAX_TERMS) -> DataFrame:
@@ -240,4 +240,4 @@ def proximity_matches(documents: DataFrame, benchmark: DataFrame, span: int, max
                 yield pa.RecordBatch.from_arrays([pa.array(docs, batch.column(0).type), pa.array(items, pa.int64())], names=["doc_id", "item_id"])
 
     source = documents.select("doc_id", "text")
-    return source.mapInArrow(run, f"doc_id {dict(source.dtypes)['doc_id']}, item_id bigint")
+    return source.mapInArrow(in_slices(run), f"doc_id {dict(source.dtypes)['doc_id']}, item_id bigint")

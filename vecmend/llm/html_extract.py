@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import durable
+from .common import durable, in_slices
 
 #: Weight of a single style, least importance that is kept, and distinct pages a node needs to be judged.
 GAMMA, LEAST, MIN_PAGES = 0.9, 0.25, 8
@@ -196,7 +196,7 @@ def style_tree(pages: DataFrame) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(table, types, strict=True)], names=["host", "page", "path", "style", "content"])
 
     source = pages.select(_host(F.col("url")).alias("host"), "html").where(F.col("host").isNotNull())
-    seen = source.mapInArrow(run, "host string, page bigint, path string, style bigint, content bigint")
+    seen = source.mapInArrow(in_slices(run), "host string, page bigint, path string, style bigint, content bigint")
     # one row for each distinct page, node and variant; then two levels of counts, no group is gathered
     variants = seen.distinct().groupBy("host", "path", "style", "content").agg(F.count(F.lit(1)).alias("c"))
     variants = durable(variants)
@@ -232,4 +232,4 @@ def extract(pages: DataFrame, least: float = LEAST) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], names=["page_id", "url", "text", "n_chars"])
 
     kinds = dict(pages.dtypes)
-    return joined.mapInArrow(run, f"page_id {kinds['page_id']}, url {kinds['url']}, text string, n_chars bigint")
+    return joined.mapInArrow(in_slices(run), f"page_id {kinds['page_id']}, url {kinds['url']}, text string, n_chars bigint")

@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import durable, utf8
+from .common import durable, in_slices, utf8
 
 #: Labelled rows at most from which the text model is fitted.
 FIT_ROWS = 2000
@@ -93,7 +93,7 @@ def text_scores(df: DataFrame, model: dict[str, np.ndarray], keep: list[str], te
             yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in range(len(keep))), pa.array(letters, pa.int64()), pa.array(scores, pa.list_(pa.float64()))], names=[*keep, "letters", "scores"])
 
     fields = ", ".join(f"`{c}` {t}" for c, t in source.dtypes[:-1])
-    return source.mapInArrow(run, f"{fields}, letters bigint, scores array<double>")
+    return source.mapInArrow(in_slices(run), f"{fields}, letters bigint, scores array<double>")
 
 
 def _best(languages: list[str], scores: Column) -> Column:

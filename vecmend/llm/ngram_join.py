@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import byte_slices, deal, dealt, durable, mix, prefix_hashes, span_hashes, splitters, utf8
+from .common import byte_slices, deal, dealt, durable, in_slices, mix, prefix_hashes, span_hashes, splitters, utf8
 from .components import connected_components
 
 SHINGLE = 5
@@ -163,7 +163,7 @@ def set_table(docs: DataFrame) -> DataFrame:
                 pairs = [_digest(s) for s in sets]
                 yield pa.RecordBatch.from_arrays([pa.array(ids, batch.column(0).type), pa.array([len(s) for s in sets], pa.int64()), pa.array([p[0] for p in pairs], pa.int64()), pa.array([p[1] for p in pairs], pa.int64())], names=["doc_id", "n", "d1", "d2"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {_typed(docs, 'doc_id')}, n bigint, d1 bigint, d2 bigint")
+    return docs.select("doc_id", "text").mapInArrow(in_slices(run), f"doc_id {_typed(docs, 'doc_id')}, n bigint, d1 bigint, d2 bigint")
 
 
 def frequent_features(docs: DataFrame, rows: int, sample_docs: int = SAMPLE_DOCS) -> np.ndarray:
@@ -177,7 +177,7 @@ def frequent_features(docs: DataFrame, rows: int, sample_docs: int = SAMPLE_DOCS
                 sets = feature_sets(texts)
                 yield pa.RecordBatch.from_arrays([pa.array(_signed(np.concatenate(sets)), pa.int64())], names=["f"])
 
-    often = sample.mapInArrow(run, "f bigint").groupBy("f").count().where(F.col("count") >= COMMON_MIN).orderBy(F.desc("count"), "f").limit(COMMON_MOST)
+    often = sample.mapInArrow(in_slices(run), "f bigint").groupBy("f").count().where(F.col("count") >= COMMON_MIN).orderBy(F.desc("count"), "f").limit(COMMON_MOST)
     return np.sort(np.array([r["f"] for r in often.select("f").collect()], dtype=np.int64).view(np.uint64))
 
 
@@ -197,7 +197,7 @@ def _signature_rows(docs: DataFrame, common: np.ndarray, cuts: np.ndarray | None
                 bucket = deal(keys, bounds) if bounds is not None and len(bounds) else np.zeros(len(keys[0]), dtype=np.int64)
                 yield pa.RecordBatch.from_arrays([pa.array(bucket), *map(pa.array, keys)], names=["bucket", "sig", "node"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, "bucket bigint, sig bigint, node bigint")
+    return docs.select("doc_id", "text").mapInArrow(in_slices(run), "bucket bigint, sig bigint, node bigint")
 
 
 def _sample_cuts(docs: DataFrame, common: np.ndarray, rows: int, parts: int, sample_docs: int = 2000, per_part: int = 40) -> np.ndarray:
@@ -266,11 +266,11 @@ def _sides(docs: DataFrame, pairs: DataFrame, half: bool) -> DataFrame:
 
     kind = "doc_id bigint, with array<bigint>, n bigint, f binary"
     text = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
-    left = text.join(heads, "doc_id", "left_semi").select("doc_id", "text", F.lit(None).cast("array<bigint>").alias("with")).mapInArrow(features, kind).select(F.col("doc_id").alias("a"), F.col("n").alias("na"), F.col("f").alias("fa"))
+    left = text.join(heads, "doc_id", "left_semi").select("doc_id", "text", F.lit(None).cast("array<bigint>").alias("with")).mapInArrow(in_slices(features), kind).select(F.col("doc_id").alias("a"), F.col("n").alias("na"), F.col("f").alias("fa"))
     # a document's text is read once for up to an eighth of its partners, not once for each
     partners = durable(pairs.groupBy(F.col("b").alias("doc_id"), F.pmod(F.xxhash64("a"), F.lit(8)).alias("part")).agg(F.collect_list("a").alias("with")).drop("part"))
     partners = F.broadcast(partners) if pairs.count() <= BROADCAST_ROWS else partners
-    right = text.join(partners, "doc_id").select("doc_id", "text", "with").mapInArrow(features, kind).select(F.explode("with").alias("a"), F.col("doc_id").alias("b"), F.col("n").alias("nb"), F.col("f").alias("fb"))
+    right = text.join(partners, "doc_id").select("doc_id", "text", "with").mapInArrow(in_slices(features), kind).select(F.explode("with").alias("a"), F.col("doc_id").alias("b"), F.col("n").alias("nb"), F.col("f").alias("fb"))
     return left.join(right, "a").select("a", "b", "na", "nb", "fa", "fb")
 
 
@@ -286,7 +286,7 @@ def _common(sides: DataFrame, kind: type) -> DataFrame:
                 counts.append((len(p), len(q), int((both[1:] == both[:-1]).sum())))
             yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in range(4)), *(pa.array([c[i] for c in counts], pa.int64()) for i in range(3))], names=["a", "b", "na", "nb", "fa", "fb", "both"])
 
-    return sides.mapInArrow(compare, "a bigint, b bigint, na bigint, nb bigint, fa bigint, fb bigint, both bigint").distinct()
+    return sides.mapInArrow(in_slices(compare), "a bigint, b bigint, na bigint, nb bigint, fa bigint, fb bigint, both bigint").distinct()
 
 
 def _check(docs: DataFrame, pairs: DataFrame) -> DataFrame:

@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import byte_slices, deal, dealt, durable, mix, prefix_hashes, span_hashes, splitters, utf8
+from .common import byte_slices, deal, dealt, durable, in_slices, mix, prefix_hashes, span_hashes, splitters, utf8
 
 LENGTH = 50
 GRAM = 16
@@ -141,7 +141,7 @@ def _suffix_rows(docs: DataFrame, length: int, cuts: np.ndarray | None = None, e
                 bucket = deal(keys, bounds) if bounds is not None and len(bounds) else np.zeros(len(place), dtype=np.int64)
                 yield pa.RecordBatch.from_arrays([pa.array(bucket), *map(pa.array, keys), pa.array(place)], names=["bucket", "gram", "context", "doc", "ordinal"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, "bucket bigint, gram bigint, context bigint, doc bigint, ordinal bigint")
+    return docs.select("doc_id", "text").mapInArrow(in_slices(run), "bucket bigint, gram bigint, context bigint, doc bigint, ordinal bigint")
 
 
 def _sample_cuts(docs: DataFrame, length: int, parts: int, sample_docs: int = 2000, per_part: int = 40) -> np.ndarray:
@@ -284,7 +284,7 @@ def _window_rows(placed: DataFrame, length: int) -> DataFrame:
                 nodes = np.array([r[0] for r in rows], dtype=np.int64)[owner]
                 yield pa.RecordBatch.from_arrays([pa.array(h), pa.array(nodes), pa.array(q - x.begin[owner], pa.int64())], names=["h", "doc", "ordinal"])
 
-    return placed.mapInArrow(run, "h bigint, doc bigint, ordinal bigint")
+    return placed.mapInArrow(in_slices(run), "h bigint, doc bigint, ordinal bigint")
 
 
 def _later(windows: DataFrame) -> DataFrame:
@@ -373,4 +373,4 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, with_text: bool = Fals
 
     placed = _placed(docs.select("doc_id", "text"), spans, ["anchors", "windows"], "left")
     schema = f"doc_id {id_type}, n_bytes bigint, n_removed bigint, n_spans bigint, kept_sha256 string" + ", kept binary" * with_text
-    return placed.mapInArrow(run, schema)
+    return placed.mapInArrow(in_slices(run), schema)

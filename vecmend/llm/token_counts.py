@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import once_per_worker, utf8
+from .common import in_slices, once_per_worker, utf8
 
 START = "▁"
 #: Words whose counts one worker remembers; the table is emptied when full.
@@ -113,4 +113,4 @@ def count_tokens(df: DataFrame, pieces: list[str], id_col: str = "doc_id", text_
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(words, pa.int64()), pa.array(tokens, pa.int64())], names=[id_col, "n_words", "n_tokens"])
 
     source = df.select(F.col(id_col), F.col(text_col))
-    return source.mapInArrow(run, f"`{id_col}` {dict(source.dtypes)[id_col]}, n_words bigint, n_tokens bigint")
+    return source.mapInArrow(in_slices(run), f"`{id_col}` {dict(source.dtypes)[id_col]}, n_words bigint, n_tokens bigint")
