@@ -92,8 +92,10 @@ class Shard:
         rarest = np.take_along_axis(windows, ranked[:, :1], axis=1)[:, 0]
         sizes = self.df[rarest]
         alive = np.flatnonzero(sizes > 0)
+        if not len(alive):
+            return
         bounds = np.cumsum(sizes[alive])
-        cuts = np.searchsorted(bounds, np.arange(0, bounds[-1] if len(bounds) else 0, 500_000), "left")
+        cuts = np.searchsorted(bounds, np.arange(0, bounds[-1], 500_000), "left")
         for lo, hi in zip(cuts, [*cuts[1:], len(alive)], strict=True):
             block = alive[lo:hi]
             if not len(block):
