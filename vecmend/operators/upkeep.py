@@ -86,7 +86,7 @@ def augment(history: DataFrame, copies: int, noise: float = 0.3, spread: str = "
         u = lambda part: V.uniform(F.concat_ws(":", F.col("query_id"), F.col("copy"), j, F.lit(part), F.lit(seed)))
         return x + sigma * F.sqrt(-2 * F.log(u("a"))) * F.cos(2 * 3.141592653589793 * u("b"))
 
-    noisy = grown.select((F.col("query_id") * 1000 + F.col("copy")).alias("query_id"), F.transform("vec", shaken).alias("vec"), F.col("query_id").alias("parent_id"), "copy")
+    noisy = grown.withColumn("noisy", F.transform("vec", shaken)).select((F.col("query_id") * 1000 + F.col("copy")).alias("query_id"), F.col("noisy").alias("vec"), F.col("query_id").alias("parent_id"), "copy")
     return real.unionByName(noisy)
 
 
