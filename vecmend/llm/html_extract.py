@@ -53,12 +53,14 @@ NAME = re.compile(r"[A-Z]?[a-z]+|[A-Z]+")
 
 
 class Element:
-    __slots__ = ("tag", "path", "noise", "main", "children", "blocks", "parts")
+    """An open element; ``noise``, ``main`` and ``paragraph`` hold for it and all that it lies in."""
 
-    def __init__(self, tag: str, path: str, noise: bool, main: bool):
-        self.tag, self.path, self.noise, self.main = tag, path, noise, main
+    __slots__ = ("tag", "path", "noise", "main", "paragraph", "children", "start", "end")
+
+    def __init__(self, tag: str, path: str, noise: bool, main: bool, paragraph: int, start: int):
+        self.tag, self.path, self.noise, self.main, self.paragraph, self.start = tag, path, noise, main, paragraph, start
         self.children: list[str] = []
-        self.parts: list[str] = []
+        self.end = None
 
 
 def _attributes(raw: str) -> dict[str, str]:
@@ -79,52 +81,77 @@ def _declared(tag: str, attributes: dict[str, str], inside_main: bool) -> tuple[
     return noise, main and not noise
 
 
-def parse(page: str) -> tuple[list[tuple[str, bool, bool, str]], list[tuple[str, str, str]]]:
-    """Blocks (path, noise, main, text) in page order, and nodes (path, style, content)."""
+#: Start tags whose roles are remembered at once.
+KNOWN_TAGS = 20_000
+
+
+def _start_tag(tag: str, raw: str, inside_main: bool, known: dict) -> tuple[bool, bool, str]:
+    """Declared noise, declared main part, and label of a start tag; pages repeat few of them."""
+    key = (tag, raw, inside_main)
+    found = known.get(key)
+    if found is None:
+        attributes = _attributes(raw) if raw else {}
+        label = tag + "".join(f".{n.lower()}" for n in sorted(set(NAME.findall(attributes.get("class", "")))))
+        found = (*_declared(tag, attributes, inside_main), label)
+        if len(known) >= KNOWN_TAGS:
+            known.clear()
+        known[key] = found
+    return found
+
+
+def parse(page: str, known: dict | None = None) -> tuple[list[tuple[str, bool, bool, str]], list[tuple[str, str, int, int]]]:
+    """Blocks (path, noise, main, text) in page order, and nodes (path, style, first block, end of blocks).
+
+    ``known`` remembers start tags from one page to the next.
+    """
+    known = {} if known is None else known
     blocks: list[tuple[str, bool, bool, str]] = []
     nodes: list[Element] = []
-    root = Element("", "", False, False)
-    stack = [root]
+    stack = [Element("", "", False, False, 0, 0)]
     pending: list[str] = []
+    search = TOKEN.search
 
     def flush() -> None:
-        if pending:
-            text = " ".join(html_lib.unescape("".join(pending)).split())
-            pending.clear()
-            if text:
-                owner = next(e for e in reversed(stack) if e.tag in BLOCK or not e.tag)
-                noise, main = any(e.noise for e in stack), any(e.main for e in stack)
-                blocks.append((owner.path, noise, main, text))
-                for e in stack:
-                    e.parts.append(text)
+        text = "".join(pending)
+        pending.clear()
+        text = " ".join((html_lib.unescape(text) if "&" in text else text).split())
+        if text:
+            inner = stack[-1]
+            blocks.append((inner.path, inner.noise, inner.main, text))
 
     def close_to(depth: int) -> None:
+        for e in stack[depth:]:
+            e.end = len(blocks)
         del stack[depth:]
 
+    def innermost(tag: str) -> int:
+        return next((i for i in range(len(stack) - 1, 0, -1) if stack[i].tag == tag), 0)
+
     at = 0
     while at < len(page):
-        m = TOKEN.search(page, at)
+        m = search(page, at)
         if not m:
             pending.append(page[at:])
             break
-        pending.append(page[at : m.start()])
+        if m.start() > at:
+            pending.append(page[at : m.start()])
         at = m.end()
-        tag = (m[2] or m[5] or "").lower()
+        closing, tag, raw, closing_odd, tag_odd, raw_odd = m.groups()
+        tag = (tag or tag_odd or "").lower()
         if not tag:
             continue
-        if m[1] or m[4]:  # an end tag
-            depth = next((i for i in range(len(stack) - 1, 0, -1) if stack[i].tag == tag), 0)
-            if tag in BLOCK:
-                flush()
-            if depth and (tag in BLOCK or not any(e.tag in BLOCK for e in stack[depth:])):
+        block = tag in BLOCK
+        if block and pending:
+            flush()
+        if closing or closing_odd:
+            depth = len(stack) - 1 if stack[-1].tag == tag else innermost(tag)
+            if depth and (block or not any(e.tag in BLOCK for e in stack[depth:])):
                 close_to(depth)
             continue
-        if tag in BLOCK:
-            flush()
-            if tag in ENDS_PARAGRAPH:
-                depth = next((i for i in range(len(stack) - 1, 0, -1) if stack[i].tag == "p"), 0)
-                if depth and not any(e.tag in ("td", "th", "table", "button") for e in stack[depth:]):
-                    close_to(depth)
+        if block:
+            depth = stack[-1].paragraph
+            if depth and tag in ENDS_PARAGRAPH and not any(e.tag in ("td", "th", "table", "button") for e in stack[depth:]):
+                close_to(depth)
             if tag in CLOSES:
                 scope = SCOPE[tag]
                 for i in range(len(stack) - 1, 0, -1):
@@ -139,19 +166,21 @@ def parse(page: str) -> tuple[list[tuple[str, bool, bool, str]], list[tuple[str,
             end = re.compile(rf"</{re.escape(tag)}\s*>", re.I).search(page, at)
             at = end.end() if end else len(page)
             continue
-        if tag in VOID or (m[3] or m[6] or "").endswith("/"):
-            stack[-1].children.append(tag)
+        raw = raw or raw_odd or ""
+        outer = stack[-1]
+        if tag in VOID or raw.endswith("/"):
+            outer.children.append(tag)
             continue
-        attributes = _attributes(m[3] or m[6] or "") if (m[3] or m[6]) else {}
-        noise, main = _declared(tag, attributes, any(e.main for e in stack))
-        label = tag + "".join(f".{n.lower()}" for n in sorted(set(NAME.findall(attributes.get("class", "")))))
-        stack[-1].children.append(label)
-        element = Element(tag, f"{stack[-1].path}/{label}" if tag in BLOCK else stack[-1].path, noise, main)
+        noise, main, label = _start_tag(tag, raw, outer.main, known)
+        outer.children.append(label)
+        element = Element(tag, f"{outer.path}/{label}" if block else outer.path, outer.noise or noise, outer.main or main, len(stack) if tag == "p" else outer.paragraph, len(blocks))
         stack.append(element)
-        if tag in BLOCK:
+        if block:
             nodes.append(element)
-    flush()
-    return blocks, [(e.path, ",".join(e.children), "\n".join(e.parts)) for e in nodes]
+    if pending:
+        flush()
+    close_to(1)
+    return blocks, [(e.path, ",".join(e.children), e.start, e.end) for e in nodes]
 
 
 def main_text(blocks: list[tuple[str, bool, bool, str]], low: set[str]) -> str:
@@ -184,13 +213,24 @@ def style_tree(pages: DataFrame) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from hashlib import blake2b
 
-        code = lambda x: int.from_bytes(blake2b(x.encode("utf-8", "surrogatepass"), digest_size=8).digest(), "little", signed=True)
+        digest = lambda x: blake2b(x, digest_size=8).digest()
+        number = lambda x: int.from_bytes(x, "little", signed=True)
+        known: dict = {}
+        styles: dict[str, int] = {}
         for batch in batches:
             rows: set[tuple] = set()
             for host, page in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                blocks, nodes = parse(page or "")
-                whole = code("\x00".join(b[3] for b in blocks))
-                rows.update((host, whole, path, code(style), code(content)) for path, style, content in nodes if content)
+                blocks, nodes = parse(page or "", known)
+                # a node's content is the run of its blocks, whose digests lie side by side
+                texts = b"".join(digest(b[3].encode("utf-8", "surrogatepass")) for b in blocks)
+                whole = number(digest(texts))
+                for path, style, first, end in nodes:
+                    if first < end:
+                        if style not in styles:
+                            if len(styles) >= KNOWN_TAGS:
+                                styles.clear()
+                            styles[style] = number(digest(style.encode("utf-8", "surrogatepass")))
+                        rows.add((host, whole, path, styles[style], number(digest(texts[8 * first : 8 * end]))))
             table = list(zip(*rows, strict=True)) or [[]] * 5
             types = [pa.string(), pa.int64(), pa.string(), pa.int64(), pa.int64()]
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(table, types, strict=True)], names=["host", "page", "path", "style", "content"])
@@ -225,10 +265,11 @@ def extract(pages: DataFrame, least: float = LEAST) -> DataFrame:
     joined = source.join(low, "host", "left").select("page_id", "url", "html", "low")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known: dict = {}
         for batch in batches:
             for i in range(0, batch.num_rows, 256):
                 part = batch.slice(i, 256)
-                texts = [main_text(parse(page or "")[0], set(low or ())) for page, low in zip(part.column(2).to_pylist(), part.column(3).to_pylist(), strict=True)]
+                texts = [main_text(parse(page or "", known)[0], set(low or ())) for page, low in zip(part.column(2).to_pylist(), part.column(3).to_pylist(), strict=True)]
                 yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], names=["page_id", "url", "text", "n_chars"])
 
     kinds = dict(pages.dtypes)
