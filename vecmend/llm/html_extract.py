@@ -81,6 +81,8 @@ def _declared(tag: str, attributes: dict[str, str], inside_main: bool) -> tuple[
     return noise, main and not noise
 
 
+#: Bytes of path lists that are broadcast, and parts into which a host's pages are dealt where they are not.
+BROADCAST_BYTES, HOST_PARTS = 64 << 20, 32
 #: Start tags whose roles are remembered at once.
 KNOWN_TAGS = 20_000
 
@@ -259,10 +261,17 @@ def extract(pages: DataFrame, least: float = LEAST) -> DataFrame:
     is judged by its own declarations.  Repeated rows give repeated results.
     """
     tree = style_tree(pages).where(F.col("importance") < least)
-    # paths of one host's template; pages of a host are joined to one row, and Spark splits a hot host
-    low = tree.groupBy("host").agg(F.sort_array(F.collect_set("path")).alias("low"))
+    # paths of one host's template, few beside its pages; a table of checked size goes to the pages, and beyond that
+    # size a host's pages are dealt to several tasks, so that no task gets all pages of a hot host
+    low = durable(tree.groupBy("host").agg(F.sort_array(F.collect_set("path")).alias("low")))
+    held = low.agg(F.sum(F.length("host") + F.aggregate("low", F.lit(0), lambda n, x: n + F.length(x) + 8))).first()[0] or 0
     source = pages.select("page_id", "url", "html", _host(F.col("url")).alias("host"))
-    joined = source.join(low, "host", "left").select("page_id", "url", "html", "low")
+    if held <= BROADCAST_BYTES:
+        joined = source.join(F.broadcast(low), "host", "left")
+    else:
+        dealt_pages = source.withColumn("part", F.pmod(F.xxhash64("page_id", "url"), F.lit(HOST_PARTS)))
+        joined = dealt_pages.join(low.withColumn("part", F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(HOST_PARTS - 1).cast("bigint")))), ["host", "part"], "left")
+    joined = joined.select("page_id", "url", "html", "low")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known: dict = {}
