@@ -30,6 +30,8 @@ BUCKETS = 1 << 14
 #: Effective observations a text may contribute at most, and share of trigrams that count as independent.
 TEXT_SHARE, TEXT_MOST = 0.25, 200.0
 MIN_POSTERIOR = 0.5
+#: Bytes of host priors that are broadcast, and parts into which a host's rows are dealt where they are not.
+BROADCAST_BYTES, HOST_PARTS = 64 << 20, 32
 
 _LOW = np.array([c + 32 if 65 <= c <= 90 else c for c in range(256)], dtype=np.uint32)
 _LETTER = np.array([c >= 128 or chr(c).isalpha() for c in range(256)])
@@ -170,7 +172,15 @@ def identify(
         table = F.create_map(*[y for k, v in rows.items() for y in (F.lit(k), F.array(*[F.lit(p) for p in v]))])
         return F.coalesce(F.try_element_at(table, F.col(name)), none)
 
-    fused = scored.join(prior, "host", "left").withColumn("prior", F.coalesce("prior", base))
+    # one row a host: a table of checked size goes to the rows, and beyond it a host's rows are dealt to several tasks
+    prior = durable(prior)
+    held = prior.agg(F.sum(F.length("host") + 16 + 8 * len(languages))).first()[0] or 0
+    if held <= BROADCAST_BYTES:
+        fused = scored.join(F.broadcast(prior), "host", "left")
+    else:
+        parts = F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(HOST_PARTS - 1).cast("bigint")))
+        fused = scored.withColumn("part", F.pmod(F.xxhash64("id", "letters"), F.lit(HOST_PARTS))).join(prior.withColumn("part", parts), ["host", "part"], "left")
+    fused = fused.withColumn("prior", F.coalesce("prior", base))
     total = F.zip_with(F.zip_with("scores", looked_up("declared"), lambda a, b: a + b), F.zip_with(looked_up("suffix"), "prior", lambda a, p: a + F.log(p)), lambda a, b: a + b)
     fused = fused.withColumn("joint", total)
     top = F.array_max("joint")
