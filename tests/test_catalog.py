@@ -10,6 +10,7 @@ import __spark_entry__ as entry
 from vecmend import catalog
 from vecmend.operators import graph as G
 from vecmend.operators import mend as M
+from vecmend.operators import search as S
 from vecmend.operators import upkeep as U
 
 CHECKED = ["vec_profile", "knn_cosine", "knn_blocked_l2", "graph_mrng", "graph_tau_thinned", "vicinity_edges", "hardness_matrix", "mend_frozen", "admit_cap", "refresh_drop", "containment", "augment_noise", "search_history_after_mend"]
@@ -58,3 +59,27 @@ def test_refresh_resets_tags_and_purge_leaves_no_trace(spark):
     dead = spark.createDataFrame([(1,)], "vec_id bigint")
     assert U.purge(edges, dead).isEmpty()
     assert F is not None
+
+
+def test_transport_cost_is_zero_for_one_set_and_the_shift_for_a_moved_one(spark):
+    a = spark.createDataFrame([(i, [i / 10, 0.0]) for i in range(20)], "query_id bigint, vec array<double>")
+    moved = a.select("query_id", F.array(F.col("vec")[0], F.col("vec")[1] + 3.0).alias("vec"))
+    assert U.sinkhorn(a, a, blur=0.005).first().distance < 0.02
+    assert abs(U.sinkhorn(a, moved, blur=0.005).first().distance - 3.0) < 0.02
+    assert U.sinkhorn(a, a.limit(0)).first().distance is None
+    assert all(r.distance == 0 for r in U.sliced_wasserstein(a, a, 3).collect())
+
+
+def test_training_queries_fill_history_without_repeats(spark):
+    schema = "query_id bigint, vec array<double>"
+    history = spark.createDataFrame([(1, [1.0, 0.0]), (2, [0.0, 1.0])], schema)
+    training = spark.createDataFrame([(9, [0.0, 1.0]), (8, [0.6, 0.8])], schema)
+    assert {(r.query_id, r.origin) for r in U.from_training(history, training).collect()} == {(1, "history"), (2, "history"), (8, "training")}
+
+
+def test_smallest_beam_is_null_where_no_walk_arrives(spark):
+    base = spark.createDataFrame([(i, [1.0, i / 10]) for i in range(4)], "vec_id bigint, vec array<double>")
+    edges = spark.createDataFrame([(0, 1, "base", 0, 0, -1), (1, 2, "base", 0, 0, -1)], G.EDGES)
+    query = spark.createDataFrame([(5, [1.0, 0.2])], "query_id bigint, vec array<double>")
+    wanted = spark.createDataFrame([(5, 2), (5, 3)], "query_id bigint, vec_id bigint")
+    assert {(r.vec_id, r.beam) for r in S.min_beam(base, edges, query, wanted, [1, 3], entry=0).collect()} == {(2, 1), (3, None)}

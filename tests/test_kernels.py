@@ -120,3 +120,14 @@ def test_thinning_keeps_no_violation_and_drops_with_a_witness(cloud):
         assert all(between[v, r] > d[v] for r in kept[:a])
     for v in set(range(len(d))) - set(kept):
         assert any(between[v, r] <= d[v] for r in kept if r < v)
+
+
+def test_greedy_tree_joins_the_nearest_rows_at_least_cost():
+    import numpy as np
+
+    from vecmend.functions import kernels as K
+
+    assert K.greedy_tree(np.array([[1, 2], [2, 3], [1, 5], [5, 4]]), 5, 4) == (4, 4)
+    assert K.greedy_tree(np.array([[1, 5], [5, 2], [5, 3]]), 5, 3) == (3, 3)
+    assert K.greedy_tree(np.array([[2, 1]]), 3, 3) == (0, 1)
+    assert K.greedy_tree(np.zeros((0, 2)), 3, 2) == (0, 1)

@@ -450,6 +450,54 @@ def ood_wasserstein_1d(spark, d):
     return U.wasserstein_1d(base, q, 0).select(_r("distance"))
 
 
+_LINES = f"lines AS (SELECT p::INT AS direction, [CASE WHEN {_U.format("'0:' || p || ':' || j")} % 2 = 0 THEN 0.125 ELSE -0.125 END::DOUBLE FOR j IN range(64)] AS line FROM range(4) t(p))"
+_LEVELS = ", ".join(str((i + 0.5) / 50) for i in range(50))
+
+
+@_query(_with(_BASE, _LINES, f"qa AS (SELECT direction, quantile_cont(list_inner_product(vec, line), [{_LEVELS}]) AS a FROM base, lines GROUP BY direction)", f"qb AS (SELECT direction, quantile_cont(list_inner_product(vec, line), [{_LEVELS}]) AS b FROM q, lines WHERE role = 'test' GROUP BY direction)")
+        + "SELECT direction, round(list_avg([abs(a[i] - b[i]) FOR i IN range(1, 51)]), 6) AS distance FROM qa JOIN qb USING (direction)")
+def ood_sliced_wasserstein(spark, d):
+    base, q = _ws(spark, d, "test")
+    return U.sliced_wasserstein(base, q, 4).select("direction", _r("distance"))
+
+
+@_query()
+def ood_sinkhorn(spark, d):
+    base, q = _ws(spark, d, "test")
+    return U.sinkhorn(base, q)
+
+
+@_query()
+def hardness_steiner(spark, d):
+    _, _, truth, edges = _frozen(spark, d)
+    return N.steiner_proxy(truth, N.extract(truth, edges, MAX_RANK), MAX_RANK, K)
+
+
+@_query(_with(_BASE, "c AS (SELECT shard, list(m ORDER BY j) AS c FROM (SELECT label % 4 AS shard, j, avg(vec[j + 1]) AS m FROM base, range(64) t(j) GROUP BY ALL) GROUP BY shard)",
+              f"near AS (SELECT query_id, vec, shard, row_number() OVER (PARTITION BY query_id ORDER BY {_COS.format('c', 'vec')}, shard) AS n FROM q, c WHERE role = 'test')",
+              f"hit AS (SELECT query_id, vec_id, {_COS.format('b.vec', 'near.vec')} AS dist FROM near JOIN base b ON b.label % 4 = shard WHERE n <= 2)")
+        + f"SELECT * FROM (SELECT query_id, (row_number() OVER (PARTITION BY query_id ORDER BY dist, vec_id))::INT AS rank, vec_id, round(dist, 6) AS dist FROM hit) WHERE rank <= {K}")
+def search_routed(spark, d):
+    base, q = _ws(spark, d, "test")
+    base = base.withColumn("shard", (F.col("label") % 4).cast("int"))
+    edges = R.cut(G.nsg(base))
+    return S.sharded(base, edges, q, K, base.count(), probe_shards=2).select("query_id", "rank", "vec_id", _r("dist"))
+
+
+@_query()
+def min_beam(spark, d):
+    base, history, truth, edges = _frozen(spark, d)
+    return S.min_beam(base, edges, history, truth.where(F.col("rank") <= 3), [10, 20, 40, 80])
+
+
+@_query(_with(_BASE) + "SELECT role AS origin, count(*) AS n FROM (SELECT query_id, 'history' AS role FROM q WHERE role = 'history' UNION ALL SELECT query_id, 'training' FROM q WHERE role = 'test') GROUP BY role")
+def history_from_training(spark, d):
+    _, q = _ws(spark, d)
+    history = q.where("role = 'history'")
+    both = U.from_training(history, q.where("role = 'test'").unionByName(history))
+    return both.groupBy("origin").agg(F.count(F.lit(1)).alias("n"))
+
+
 # --- streams, windows and reports ---------------------------------------------------------------
 
 _EV = "SELECT event_id, ts, event_type, user_id, value FROM events"
@@ -471,7 +519,7 @@ def cache_repeats(spark, d):
     return q.select(V.key_md5(F.col("vec")).alias("k")).agg(F.countDistinct("k").alias("n_keys"), F.count(F.lit(1)).alias("n"))
 
 
-@_query("SELECT event_type, date_trunc('day', ts)::DATE AS day, get_bit(1::BIT, 0) AS one, count(*) AS n FROM events GROUP BY ALL".replace("get_bit(1::BIT, 0) AS one, ", ""))
+@_query("SELECT event_type, ts::DATE AS day, count(*) AS n FROM events GROUP BY ALL")
 def events_daily(spark, d):
     return D.table(spark, d, "events").groupBy("event_type", F.to_date("ts").alias("day")).agg(F.count(F.lit(1)).alias("n"))
 

@@ -331,3 +331,33 @@ def query_bridge(base: np.ndarray, ids: np.ndarray, history: np.ndarray, n_near:
         w = walk(lists, base, base[u], min(beam, len(base)), [root], beam, metric)
         wide.append(np.union1d(lists[u], thin_rows(u, w.rows, base, metric, m)).astype(np.int64))
     return grow_tree(symmetric(wide, base, metric, 2 * m), base, root, metric)
+
+
+def greedy_tree(arcs: np.ndarray, size: int, targets: int) -> tuple[int, int]:
+    """(arcs used, targets reached) of a tree grown from rank 1 that reaches ranks 1..targets.
+
+    Each step attaches the unreached target with the shortest path from the tree, the nearer rank
+    where paths are equally long; targets that no path reaches are left.
+    """
+    out: list[list[int]] = [[] for _ in range(size)]
+    for a, b in sorted({(int(a), int(b)) for a, b in arcs}):
+        out[a - 1].append(b - 1)
+    tree, used = {0}, 0
+    while True:
+        before = dict.fromkeys(tree, -1)
+        level, hit = sorted(tree), None
+        while level and hit is None:
+            fresh = []
+            for u in level:
+                for v in out[u]:
+                    if v not in before:
+                        before[v] = u
+                        fresh.append(v)
+            hit = min((v for v in fresh if v < targets), default=None)
+            level = fresh
+        if hit is None:
+            return used, sum(v < targets for v in tree)
+        while hit not in tree:
+            tree.add(hit)
+            used += 1
+            hit = before[hit]

@@ -64,8 +64,11 @@ def _shard_walker(shared, k: int, metric: str, entry: str | int, visited: bool):
         else:
             start = K.medoid(mat, metric)
         rows = []
-        q_ids, q, own_beams = shared.value
-        for query_id, vec, width in zip(q_ids.tolist(), q, own_beams, strict=True):
+        here = int(pdf["shard"].iloc[0])
+        q_ids, q, own_beams, routes = shared.value
+        for n, (query_id, vec, width) in enumerate(zip(q_ids.tolist(), q, own_beams, strict=True)):
+            if routes is not None and here not in routes[n]:
+                continue
             first, extra = start, 0
             for layer in sorted((x for x in out if x > 0), reverse=True):
                 top = np.flatnonzero([len(x) > 0 for x in out[layer]])
@@ -75,24 +78,38 @@ def _shard_walker(shared, k: int, metric: str, entry: str | int, visited: bool):
             w = K.walk(zero, mat, vec, k, [first], width, metric, dead if dead.any() else None)
             got = w.seen if visited else w.rows
             d = K.distances(mat[got], vec, metric)
-            rows.append(pd.DataFrame({"query_id": query_id, "shard": int(pdf["shard"].iloc[0]), "vec_id": own[got], "dist": d, "ndc": w.ndc + extra, "hops": w.hops}))
-        return pd.concat(rows)
+            rows.append(pd.DataFrame({"query_id": query_id, "shard": here, "vec_id": own[got], "dist": d, "ndc": w.ndc + extra, "hops": w.hops}))
+        return pd.concat(rows) if rows else pd.DataFrame({c: [] for c in ("query_id", "shard", "vec_id", "dist", "ndc", "hops")})
 
     return run
 
 
-def sharded(base: DataFrame, edges: DataFrame, queries: DataFrame, k: int, beam: int, metric: str = "cosine", entry: str | int = "centroid", tombstones: DataFrame | None = None, visited: bool = False, beam_col: str | None = None) -> DataFrame:
+def routes(base: DataFrame, queries: DataFrame, probe_shards: int, metric: str = "cosine") -> DataFrame:
+    """(query_id, shards): the shards whose mean vectors are nearest to a query."""
+    sharded = base if "shard" in base.columns else G.with_shards(base)
+    cells = sharded.select("shard", F.posexplode("vec").alias("j", "x")).groupBy("shard", "j").agg(F.avg("x").alias("x"))
+    means = cells.groupBy("shard").agg(F.transform(F.sort_array(F.collect_list(F.struct("j", "x"))), lambda c: c["x"]).alias("vec"))
+    near = T.exact_blocked(means.select(F.col("shard").cast("bigint").alias("vec_id"), "vec"), queries, probe_shards, metric)
+    return near.groupBy("query_id").agg(F.collect_set(F.col("vec_id").cast("int")).alias("shards"))
+
+
+def sharded(base: DataFrame, edges: DataFrame, queries: DataFrame, k: int, beam: int, metric: str = "cosine", entry: str | int = "centroid", tombstones: DataFrame | None = None, visited: bool = False, beam_col: str | None = None, probe_shards: int | None = None) -> DataFrame:
     """(query_id, rank, vec_id, dist, ndc, hops): k nearest of all shards' walks for each query.
 
     Query blocks of bounded size are broadcast; each shard is unpacked once for a block and walked
     for each query.  ``visited`` returns every row a walk saw instead of the k best.  ``beam_col`` names a
-    column of per-query beams.
+    column of per-query beams.  ``probe_shards`` walks only the shards whose mean vectors are nearest to a query.
     """
     index = packed(base, edges, tombstones)
     parts = []
-    for ids, vecs, more in T.query_blocks(queries, [beam_col] if beam_col else None):
+    extra = [beam_col] if beam_col else []
+    if probe_shards is not None:
+        queries = queries.join(routes(base, queries, probe_shards, metric), "query_id")
+        extra.append("shards")
+    for ids, vecs, more in T.query_blocks(queries, extra):
         beams = [int(m[0]) for m in more] if beam_col else [beam] * len(ids)
-        shared = base.sparkSession.sparkContext.broadcast((ids, K.prepare(vecs, metric), beams))
+        routed = [frozenset(m[-1]) for m in more] if probe_shards is not None else None
+        shared = base.sparkSession.sparkContext.broadcast((ids, K.prepare(vecs, metric), beams, routed))
 
         parts.append(index.groupBy("shard").applyInPandas(_shard_walker(shared, k, metric, entry, visited), FOUND))
     if not parts:
@@ -137,3 +154,14 @@ def filtered(base: DataFrame, edges: DataFrame, queries: DataFrame, predicate, k
         return T.exact_blocked(base.where(predicate), queries, k, metric)
     hidden = base.where(~predicate).select("vec_id")
     return sharded(base, edges, queries, k, beam, metric, tombstones=hidden)
+
+
+def min_beam(base: DataFrame, edges: DataFrame, queries: DataFrame, wanted: DataFrame, beams: list[int], metric: str = "cosine", entry: str | int = "centroid") -> DataFrame:
+    """(query_id, vec_id, beam): smallest of the beams whose walk holds a wanted row (query_id, vec_id); null where none does."""
+    pairs = wanted.select("query_id", "vec_id").distinct()
+    held = None
+    for beam in sorted(beams):
+        found = sharded(base, edges, queries, beam, beam, metric, entry).select("query_id", "vec_id", F.lit(beam).alias("beam"))
+        held = found if held is None else held.unionByName(found)
+    least = held.join(pairs, ["query_id", "vec_id"]).groupBy("query_id", "vec_id").agg(F.min("beam").alias("beam"))
+    return pairs.join(least, ["query_id", "vec_id"], "left")

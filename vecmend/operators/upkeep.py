@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -215,3 +217,55 @@ def wasserstein_1d(a: DataFrame, b: DataFrame, j: int, steps: int = 50) -> DataF
     return both.select((F.aggregate(F.zip_with("qa", "q", lambda x, y: F.abs(x - y)), F.lit(0.0), lambda s, x: s + x) / steps).alias("distance"))
 
 
+
+
+def sliced_wasserstein(a: DataFrame, b: DataFrame, n_proj: int = 16, steps: int = 50, seed: int = 0, accuracy: int | None = None) -> DataFrame:
+    """(direction, distance): gaps between the quantiles of two sets along directions with signs from md5, one pass over each set.
+
+    Exact quantiles keep a direction's distinct values in one task; ``accuracy`` takes sketches of bounded size instead.
+    """
+    dim = V.assert_dim(a)
+    signs = F.transform(F.sequence(F.lit(0), F.lit(dim - 1)), lambda j: F.when(V.hash32(F.concat_ws(":", F.lit(str(seed)), F.col("direction").cast("string"), j.cast("string"))) % 2 == 0, 1.0).otherwise(-1.0) / math.sqrt(dim))
+    lines = a.sparkSession.range(n_proj).select(F.col("id").cast("int").alias("direction")).withColumn("line", signs)
+    levels = F.array(*[F.lit((i + 0.5) / steps) for i in range(steps)])
+
+    def quantiles(df: DataFrame, name: str) -> DataFrame:
+        shadow = df.select("vec").join(F.broadcast(lines), how="cross").select("direction", V.dot(F.col("vec"), F.col("line")).alias("x"))
+        got = F.percentile("x", levels) if accuracy is None else F.percentile_approx("x", levels, accuracy)
+        return shadow.groupBy("direction").agg(got.alias(name))
+
+    both = quantiles(a, "qa").join(quantiles(b, "qb"), "direction")
+    return both.select("direction", (F.aggregate(F.zip_with("qa", "qb", lambda x, y: F.abs(x - y)), F.lit(0.0), lambda s, x: s + x) / steps).alias("distance"))
+
+
+def sinkhorn(a: DataFrame, b: DataFrame, sample: int = 256, blur: float = 0.05, rounds: int = 200, seed: int = 0) -> DataFrame:
+    """(n_a, n_b, distance): entropic transport cost between samples of two sets, at most ``sample`` rows of each by hash."""
+    import numpy as np
+
+    def draw(df: DataFrame) -> np.ndarray:
+        rows = df.select("vec").orderBy(F.xxhash64("vec", F.lit(seed)), "vec").limit(sample).collect()
+        return np.array([r["vec"] for r in rows], dtype=np.float64)
+
+    x, y = draw(a), draw(b)
+    schema = "n_a bigint, n_b bigint, distance double"
+    if not len(x) or not len(y):
+        return a.sparkSession.createDataFrame([(len(x), len(y), None)], schema)
+    cost = np.sqrt(np.maximum((x**2).sum(1)[:, None] + (y**2).sum(1)[None, :] - 2 * x @ y.T, 0))
+    f, g = np.zeros(len(x)), np.zeros(len(y))
+
+    def soft(m: np.ndarray, axis: int) -> np.ndarray:
+        top = m.max(axis=axis, keepdims=True)
+        return np.squeeze(top, axis) + np.log(np.exp(m - top).mean(axis=axis))
+
+    for _ in range(rounds):
+        f = -blur * soft((g[None, :] - cost) / blur, 1)
+        g = -blur * soft((f[:, None] - cost) / blur, 0)
+    plan = np.exp((f[:, None] + g[None, :] - cost) / blur) / cost.size
+    return a.sparkSession.createDataFrame([(len(x), len(y), float((plan * cost).sum()))], schema)
+
+
+def from_training(history: DataFrame, training: DataFrame) -> DataFrame:
+    """(query_id, vec, origin): history with training queries whose keys it lacks; one row a key, the smallest id first."""
+    both = history.select("query_id", "vec", F.lit("history").alias("origin")).unionByName(training.select("query_id", "vec", F.lit("training").alias("origin")))
+    least = both.groupBy(V.key_md5(F.col("vec")).alias("k")).agg(F.min(F.struct("origin", "query_id", "vec")).alias("r"))
+    return least.select("r.query_id", "r.vec", "r.origin")

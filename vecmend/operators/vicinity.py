@@ -67,6 +67,22 @@ def layout(gaps: DataFrame) -> DataFrame:
     return gaps.groupBy("query_id").applyInPandas(run, "query_id bigint, rank int, x double, y double")
 
 
+def steiner_proxy(truth: DataFrame, vicinity: DataFrame, size: int, k: int) -> DataFrame:
+    """(query_id, n_arcs, n_reached): arcs of a greedy tree from the nearest row to the k nearest, and how many of them it reaches.
+
+    A proxy of a Steiner-tree hardness: one number a query, dear where few arcs join its nearest rows.
+    """
+    arcs = vicinity.groupBy("query_id").agg(F.collect_list(F.array("src_rank", "dst_rank")).alias("arcs"))
+    rows = truth.select("query_id").distinct().join(arcs, "query_id", "left")
+
+    def run(batches):
+        for pdf in batches:
+            out = [K.greedy_tree([] if a is None else a, size, k) for a in pdf["arcs"]]
+            yield pd.DataFrame({"query_id": pdf["query_id"], "n_arcs": [x for x, _ in out], "n_reached": [y for _, y in out]})
+
+    return rows.mapInPandas(run, "query_id bigint, n_arcs int, n_reached int")
+
+
 # --- hardness ----------------------------------------------------------------------
 
 
