@@ -3,17 +3,25 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from vecmend.llm import byte_bpe, decontaminate, language_id, ngram_join, pii
 from vecmend.llm.common import durable, table
 
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents whose language is accepted; the rejected go."""
-    found = language_id.identify(docs, language_id.fit_text_model(docs))
-    gone = durable(found.where("not accepted").select("doc_id").distinct())
-    side = ngram_join._sized(gone).withColumnRenamed("doc_id", "__gone")
-    return docs.join(side, docs["doc_id"].eqNullSafe(side["__gone"]), "left_anti").select(*docs.columns)
+    """Documents whose language is accepted; the rejected go.
+
+    The verdict is carried by doc_id and a hash of what it was found from, so that
+    rows that share an id, or have none, are judged one by one.
+    """
+    read = [x for c in ("text", "lang", "source") for x in (F.col(c), F.col(c).isNull())]
+    keyed = docs.withColumn("__row", F.struct(F.col("doc_id").alias("id"), F.xxhash64(*read).alias("key")))
+    found = language_id.identify(keyed, language_id.fit_text_model(docs), id_col="__row")
+    gone = durable(found.where("not accepted").select("__row").distinct())
+    side = ngram_join._sized(gone).withColumnRenamed("__row", "__gone")
+    same = keyed["__row"]["id"].eqNullSafe(side["__gone"]["id"]) & (keyed["__row"]["key"] == side["__gone"]["key"])
+    return keyed.join(side, same, "left_anti").select(*docs.columns)
 
 
 def join_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

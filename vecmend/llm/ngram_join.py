@@ -359,9 +359,27 @@ def jaccard_groups(docs: DataFrame) -> DataFrame:
 
 
 def keep_one_of_each(docs: DataFrame) -> DataFrame:
-    """Documents without those that a smaller doc_id of their component stands for; repeated rows stay once."""
-    groups = durable(jaccard_groups(docs))
-    gone = durable(groups.where("doc_id <> component_id").select("doc_id").distinct())
-    out = docs.join(_sized(gone), "doc_id", "left_anti").select(*docs.columns)
-    repeated = groups.where("doc_id = component_id").groupBy("doc_id").count().where("count > 1")
-    return out.dropDuplicates(["doc_id"]) if not repeated.isEmpty() else out
+    """Documents without those that another of their component, with a smaller doc_id, stands for.
+
+    Rows of equal doc_id and text stay once.  Different texts under one doc_id are
+    documents of their own, ordered by text hash.  Rows with a null doc_id all stay.
+    """
+    key = F.xxhash64("text", F.col("text").isNull())
+    keyed = docs.withColumn("__key", key)
+    seen = keyed.where(F.col("doc_id").isNotNull()).groupBy("doc_id").agg(F.count(F.lit(1)).alias("n"), F.min("__key").alias("first"), F.max("__key").alias("last"))
+    repeated = durable(seen.where("n > 1").select("doc_id", "first", "last"))
+    if repeated.isEmpty():
+        gone = durable(jaccard_groups(docs).where("doc_id <> component_id").select("doc_id"))
+        return docs.join(_sized(gone), "doc_id", "left_anti").select(*docs.columns)
+    once = keyed.where(F.col("doc_id").isNotNull()).dropDuplicates(["doc_id", "__key"])
+    # beyond the first text of an id, a text gets a number of its own for the join
+    split = repeated.where("first < last").select("doc_id", "first")
+    extra = keyed.select("doc_id", "__key").join(_sized(split), "doc_id").where(F.col("__key") != F.col("first")).select("doc_id", "__key", F.xxhash64("doc_id", "__key", F.lit(7)).alias("__own")).distinct()
+    numbered = once.select("doc_id", "__key", "text").join(_sized(durable(extra)), ["doc_id", "__key"], "left").withColumn("__own", F.coalesce("__own", F.col("doc_id").cast("bigint")))
+    numbered = durable(numbered)
+    groups = jaccard_groups(numbered.select(F.col("__own").alias("doc_id"), "text")).select(F.col("doc_id").alias("__own"), "component_id")
+    members = durable(numbered.select("__own", "doc_id", "__key").join(groups, "__own"))
+    keepers = members.groupBy("component_id").agg(F.min(F.struct("doc_id", "__key")).alias("keeper"))
+    gone = durable(members.join(keepers, "component_id").where(F.struct("doc_id", "__key") != F.col("keeper")).select("doc_id", "__key"))
+    kept = once.join(_sized(gone), ["doc_id", "__key"], "left_anti").select(*docs.columns)
+    return kept.unionByName(docs.where(F.col("doc_id").isNull()))
