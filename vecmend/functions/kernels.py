@@ -8,6 +8,7 @@ from __future__ import annotations
 
 import heapq
 import math
+from collections.abc import Iterable
 
 import numpy as np
 
@@ -315,14 +316,18 @@ def spreading(base: np.ndarray, ids: np.ndarray, c: int, beam: int, r: int, metr
     return grow_tree(symmetric(lists, base, metric, r, slack), base, root, metric), root
 
 
-def query_bridge(base: np.ndarray, ids: np.ndarray, history: np.ndarray, n_near: int, m: int, beam: int, metric: str) -> list[np.ndarray]:
-    """Bipartite history graph projected on the base: a query's nearest row takes its other neighbours as candidates."""
-    rows, _ = nearest(base, ids, history, n_near, metric) if len(history) else (np.zeros((0, 0), dtype=np.int64), None)
+def query_bridge(base: np.ndarray, ids: np.ndarray, history: np.ndarray | Iterable[np.ndarray], n_near: int, m: int, beam: int, metric: str) -> list[np.ndarray]:
+    """Bipartite history graph projected on the base: a query's nearest row takes its other neighbours as candidates.
+
+    The history is one array or an iterable of blocks, whose candidates add up before they are thinned.
+    """
     cands: list[set[int]] = [set() for _ in range(len(base))]
-    for own in rows.tolist():
-        cands[own[0]].update(own[1:])
-        for v in own[1:]:
-            cands[v].add(own[0])
+    for block in [history] if isinstance(history, np.ndarray) else history:
+        rows, _ = nearest(base, ids, block, n_near, metric) if len(block) else (np.zeros((0, 0), dtype=np.int64), None)
+        for own in rows.tolist():
+            cands[own[0]].update(own[1:])
+            for v in own[1:]:
+                cands[v].add(own[0])
     lists = [thin_rows(u, np.array(sorted(c), dtype=np.int64), base, metric, m) for u, c in enumerate(cands)]
     root = medoid(base, metric)
     lists = grow_tree(lists, base, root, metric)

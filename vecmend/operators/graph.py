@@ -54,12 +54,18 @@ def tau_mng(base: DataFrame, tau: float = 0.01, c: int = 60, beam: int = 60, r:
     return _built(base, lambda ids, x: [(0, K.spreading(K.prepare(x, metric), ids, c, beam, r, metric, slack=tau)[0])])
 
 
-def query_bridge(base: DataFrame, history: DataFrame, n_near: int = 20, m: int = 10, beam: int = 60, metric: str = "cosine", history_limit: int | None = None) -> DataFrame:
-    """Bridge baseline from (at most ``history_limit``) history queries."""
+def query_bridge(base: DataFrame, history: DataFrame, n_near: int = 20, m: int = 10, beam: int = 60, metric: str = "cosine", history_limit: int | None = None, block_bytes: int = T.BLOCK_BYTES) -> DataFrame:
+    """Bridge baseline from all history queries, or the first ``history_limit``; a worker holds one block of them at a time."""
     rows = history.orderBy("query_id").limit(history_limit) if history_limit is not None else history
-    block = next(T.query_blocks(rows), (np.zeros(0), np.zeros((0, 1)), []))[1]
-    shared = base.sparkSession.sparkContext.broadcast(block)
-    return _built(base, lambda ids, x: [(0, K.query_bridge(K.prepare(x, metric), ids, K.prepare(shared.value, metric), min(n_near, len(ids)), m, beam, metric))])
+    context = base.sparkSession.sparkContext
+    shared = [context.broadcast(vecs) for _, vecs, _ in T.query_blocks(rows, block_bytes=block_bytes)]
+
+    def blocks():
+        for block in shared:
+            yield K.prepare(block.value, metric)
+            block.__dict__.pop("_value", None)  # it is read from its file again where another shard needs it
+
+    return _built(base, lambda ids, x: [(0, K.query_bridge(K.prepare(x, metric), ids, blocks(), min(n_near, len(ids)), m, beam, metric))])
 
 
 def knn(base: DataFrame, k: int, metric: str = "cosine") -> DataFrame:
