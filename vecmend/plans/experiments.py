@@ -27,11 +27,9 @@ K = 10
 CAP = 12
 
 
-def _sets(spark: SparkSession, d: str, family: str = "sphere", ood: bool = True, most: int | None = None):
+def _sets(spark: SparkSession, d: str, family: str = "sphere", ood: bool = True):
     base, q = D.sphere(spark, d, ood) if family == "sphere" else D.FAMILIES[family](spark, d)
     history, test = q.where("role = 'history'"), q.where("role = 'test'")
-    if most:  # the shop log has a query for each order: the workload takes its first history and last test queries
-        history, test = history.orderBy("query_id").limit(most), test.orderBy(F.desc("query_id")).limit(most)
     base, history, test = cut(base), cut(history), cut(test)
     return base, history, test, cut(T.exact_blocked(base, test, K))
 
@@ -52,9 +50,9 @@ def _base_graph(base: DataFrame, m: int = 6) -> DataFrame:
     return cut(G.hnsw(base, m, 100))
 
 
-def main_curves(spark: SparkSession, d: str, family: str = "sphere", ood: bool = True, most: int | None = None) -> DataFrame:
+def main_curves(spark: SparkSession, d: str, family: str = "sphere", ood: bool = True) -> DataFrame:
     """All graphs on one family: layered, layered in full, spreading, relaxed, bridge, and mended."""
-    base, history, test, truth = _sets(spark, d, family, ood, most)
+    base, history, test, truth = _sets(spark, d, family, ood)
     thin = _base_graph(base)
     graphs = {
         "layered_bottom": cut(G.hnsw(base, 10, 100)),
@@ -172,7 +170,7 @@ def deletion(spark: SparkSession, d: str) -> DataFrame:
 def synthetic_history(spark: SparkSession, d: str) -> DataFrame:
     """Noisy copies of a tenth of the history at several noise constants."""
     base, history, test, truth = _sets(spark, d)
-    thin, some = _base_graph(base), history.where("query_id % 100 = 7")
+    thin, some = _base_graph(base), history.where("query_id % 100 in (7, 8)")
     parts = [curve("real_only", base, R.run(base, thin, some, R.single(K, approach=False), CAP), test, truth)]
     for c in (0.1, 0.2, 0.3, 0.4):
         more = cut(U.augment(some, 5, c).select("query_id", "vec"))
@@ -204,16 +202,16 @@ def connectivity(spark: SparkSession, d: str) -> DataFrame:
 
 
 def drift(spark: SparkSession, d: str) -> DataFrame:
-    """Mend from the first half of the event log, test on the second: as is, and adapted to the newest queries."""
+    """Mend from the first half of the event log, test on the last quarter: as is, and adapted to the first half of the second."""
     base, q = D.event_log(spark, d)
     one = q.withColumn("u", F.round(F.get("vec", F.lit(0)), 9)).dropDuplicates(["u"]).drop("u")
     cuts = one.agg(F.percentile(F.unix_timestamp("ts"), F.array(F.lit(0.5), F.lit(0.75))).alias("p")).first()["p"]
     at = F.unix_timestamp("ts")
-    first, second, last = (cut(x.orderBy("query_id").limit(200)) for x in (one.where(at <= cuts[0]), one.where((at > cuts[0]) & (at <= cuts[1])), one.where(at > cuts[1])))
+    first, second, last = (cut(x) for x in (one.where(at <= cuts[0]), one.where((at > cuts[0]) & (at <= cuts[1])), one.where(at > cuts[1])))
     base = cut(base)
     truth = cut(T.exact_blocked(base, last, K))
     mended = R.run(base, _base_graph(base), first, R.single(K, approach=False), CAP)
-    adapted = U.drift_adapt(base, mended, second, R.single(K, approach=False), newest=100, extra_cap=CAP)
+    adapted = U.drift_adapt(base, mended, second, R.single(K, approach=False), extra_cap=CAP)
     return curve("stale", base, mended, last, truth).unionByName(curve("adapted", base, adapted, last, truth))
 
 
@@ -222,7 +220,7 @@ def cache_hybrid(spark: SparkSession, d: str) -> DataFrame:
     base, q = D.event_log(spark, d)
     base = cut(base)
     half = q.agg(F.percentile(F.unix_timestamp("ts"), 0.5)).first()[0]
-    old, new = cut(q.where(F.unix_timestamp("ts") <= half)), cut(q.where(F.unix_timestamp("ts") > half).orderBy("query_id").limit(500))
+    old, new = cut(q.where(F.unix_timestamp("ts") <= half)), cut(q.where(F.unix_timestamp("ts") > half))
     cache = cut(U.build_cache(old, T.exact_blocked(base, old, K), K))
     found = cut(U.hybrid(base, _base_graph(base), new, cache, K, 20))
     rec = E.recall_by_query(found, T.exact_blocked(base, new, K), K).join(found.groupBy("query_id").agg(F.first("cached").alias("cached")), "query_id")
@@ -257,7 +255,7 @@ WORKLOADS = {
     "curves_sphere_ood": lambda s, d: main_curves(s, d),
     "curves_sphere_id": lambda s, d: main_curves(s, d, ood=False),
     "curves_text": lambda s, d: main_curves(s, d, "text"),
-    "curves_products": lambda s, d: main_curves(s, d, "products", most=100),
+    "curves_products": lambda s, d: main_curves(s, d, "products"),
     "history_share": history_share, "truth_ablation": truth_ablation, "method_ablation": method_ablation, "policy_ablation": policy_ablation,
     "approach_ablation": approach_ablation, "parameter_grid": parameter_grid, "insertion": insertion, "deletion": deletion,
     "synthetic_history": synthetic_history, "subset_mend": subset_mend, "connectivity": connectivity, "drift": drift,

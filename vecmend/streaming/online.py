@@ -55,13 +55,13 @@ def mend_stream(queries: DataFrame, base: DataFrame, edges_path: str, n_near: in
     return queries.writeStream.foreachBatch(mend).option("checkpointLocation", f"{place}/state").trigger(availableNow=True).start()
 
 
-def mend_replay(spark: SparkSession, sf_dir: str, files: int = 3, most: int = 150) -> DataFrame:
-    """(kind, n_arcs): graph after an online replay of history queries in a few micro-batches."""
+def mend_replay(spark: SparkSession, sf_dir: str, files: int = 3) -> DataFrame:
+    """(kind, n_arcs): graph after an online replay of all history queries in a few micro-batches."""
     place = _place(spark)
     base, q = D.sphere(spark, sf_dir)
     base = cut(base)
-    history = q.where("role = 'history'").select("query_id", "vec").orderBy("query_id").limit(most)
-    history.repartition(files, "query_id").write.option("maxRecordsPerFile", most).parquet(f"{place}/in")
+    history = q.where("role = 'history'").select("query_id", "vec")
+    history.repartition(files, "query_id").write.parquet(f"{place}/in")
     G.as_edges(G.knn(base, 6)).write.parquet(f"{place}/edges/epoch=0")
     stream = spark.readStream.schema("query_id bigint, vec array<double>").option("maxFilesPerTrigger", 1).parquet(f"{place}/in")
     query = mend_stream(stream, base, f"{place}/edges", 6, 30, 12, place)
