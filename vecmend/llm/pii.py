@@ -3,10 +3,11 @@
 Seeds are the spans of four strict patterns.  The words before seeds become
 lexical patterns.  Identifier-like digit strings that no strict pattern accepts are
 candidates.  Patterns and distinct instances form a bipartite graph;
-in each round a pattern is scored by the share of its instances that are known, an
-instance by the patterns it stands in, and instances over the threshold are
-known in the next round.  Candidates under a pattern of high confidence are the
-discovered spans.
+in each round a pattern is scored by its known instances against those that contradict
+it, an instance by the patterns it stands in, and instances over the threshold are
+known from then on, until no more are found.  Candidates under a pattern of high
+confidence are the discovered spans.  Only digit strings are candidates, so phones (8 to 15
+digits) and cards (12 to 19) can be discovered, and emails and addresses cannot.
 """
 
 from __future__ import annotations
@@ -29,7 +30,6 @@ IP_PART = r"0*(?:25[0-5]|2[0-4][0-9]|1?[0-9]?[0-9])"
 #: Digit strings of 8 to 19 digits, as candidates for discovery.
 CANDIDATE = r"(?<![A-Za-z0-9+.])[0-9](?:[ .-]?[0-9]){7,18}+(?![A-Za-z0-9])"
 
-ROUNDS = 2
 MIN_SEEDS = 5
 MIN_CONFIDENCE = 0.9
 
@@ -132,27 +132,31 @@ def scan(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataF
 def _fits(kind: Column, value: Column) -> Column:
     """Whether a digit string could be of a kind at all."""
     n = F.length(_digits(value))
-    return ((kind == KINDS.index("phone")) & n.between(9, 15)) | ((kind == KINDS.index("card")) & n.between(12, 19))
+    return ((kind == KINDS.index("phone")) & n.between(8, 15)) | ((kind == KINDS.index("card")) & n.between(12, 19))
 
 
-def discover(scanned: DataFrame, rounds: int = ROUNDS, min_seeds: int = MIN_SEEDS, min_confidence: float = MIN_CONFIDENCE) -> DataFrame:
+def discover(scanned: DataFrame, min_seeds: int = MIN_SEEDS, min_confidence: float = MIN_CONFIDENCE) -> DataFrame:
     """(doc_id, text_key, start, end, kind) of candidates under trusted patterns.
 
     The graph holds distinct (word, value) pairs, so copies of a document add
     nothing.  A pattern is a word with a kind; it needs ``min_seeds``
-    distinct known values, and its confidence is the share of its
-    values that are known as that kind.  A value's confidence is the noisy-or over its patterns.
+    distinct known values.  Its confidence is the smoothed share of these among them and
+    its contradicting values: those known as another kind that digits can be, and unknown
+    ones that could not be of the kind.  Unknown values that could be say nothing, and nor do
+    emails and addresses.  A value's confidence is the noisy-or over its patterns.
     """
     rows = scanned.select("doc_id", "text_key", F.explode(F.concat("seeds", "candidates")).alias("x")).select("doc_id", "text_key", "x.*").where(F.col("word") != "")
     graph = durable(rows.groupBy("word", "value").agg(F.max("kind").alias("kind")))
-    known = graph
-    trusted = None
-    for _ in range(rounds):
-        totals = known.groupBy("word").agg(F.count(F.lit(1)).alias("n_all"))
+    known, n_known = graph, graph.where("kind >= 0").count()
+    digits = F.array(*[F.lit(KINDS.index(k)) for k in ("card", "phone")])
+    while True:
+        kinds = known.where(F.array_contains(digits, F.col("kind"))).groupBy("word", F.col("kind").alias("as_kind")).agg(F.count(F.lit(1)).alias("n_known")).where(F.col("n_known") >= min_seeds)
+        against = [F.count_if((F.col("kind") != k) & F.when(F.col("kind") >= 0, F.array_contains(digits, F.col("kind"))).otherwise(~_fits(F.lit(k), F.col("value")))).alias(f"against_{k}") for k in (KINDS.index("card"), KINDS.index("phone"))]
+        totals = known.groupBy("word").agg(*against)
+        contrary = F.when(F.col("as_kind") == KINDS.index("card"), F.col(f"against_{KINDS.index('card')}")).otherwise(F.col(f"against_{KINDS.index('phone')}"))
         trusted = (
-            known.where(F.col("kind") >= 0).groupBy("word", "kind").agg(F.count(F.lit(1)).alias("n_known")).where(F.col("n_known") >= min_seeds)
-            .join(totals, "word").withColumn("confidence", F.col("n_known") / F.col("n_all")).where(F.col("confidence") >= min_confidence)
-            .select("word", F.col("kind").alias("as_kind"), "confidence")
+            kinds.join(totals, "word").withColumn("confidence", (F.col("n_known") + 0.5) / (F.col("n_known") + contrary + 1)).where(F.col("confidence") >= min_confidence)
+            .select("word", "as_kind", "confidence")
         )
         trusted = durable(trusted)
         scores = (
@@ -160,7 +164,11 @@ def discover(scanned: DataFrame, rounds: int = ROUNDS, min_seeds: int = MIN_SEED
             .groupBy("value", "as_kind").agg((1 - F.exp(F.sum(F.log1p(-F.least("confidence", F.lit(0.999)))))).alias("score")).where(F.col("score") >= min_confidence)
             .groupBy("value").agg(F.max_by("as_kind", "score").alias("new_kind"))
         )
-        known = durable(graph.join(scores, "value", "left").select("word", "value", F.when(F.col("kind") >= 0, F.col("kind")).otherwise(F.coalesce("new_kind", F.lit(-1))).alias("kind")))
+        # what is known stays known, so the rounds end
+        known = durable(known.join(scores, "value", "left").select("word", "value", F.when(F.col("kind") >= 0, F.col("kind")).otherwise(F.coalesce("new_kind", F.lit(-1))).alias("kind")))
+        before, n_known = n_known, known.where("kind >= 0").count()
+        if n_known == before:
+            break
     found = rows.where(F.col("kind") < 0).join(trusted, "word").where(_fits(F.col("as_kind"), F.col("value")))
     return found.select("doc_id", "text_key", "start", "end", F.col("as_kind").alias("kind")).distinct()
 
