@@ -238,30 +238,82 @@ def sliced_wasserstein(a: DataFrame, b: DataFrame, n_proj: int = 16, steps: int
     return both.select("direction", (F.aggregate(F.zip_with("qa", "qb", lambda x, y: F.abs(x - y)), F.lit(0.0), lambda s, x: s + x) / steps).alias("distance"))
 
 
-def sinkhorn(a: DataFrame, b: DataFrame, sample: int = 256, blur: float = 0.05, rounds: int = 200, seed: int = 0) -> DataFrame:
-    """(n_a, n_b, distance): entropic transport cost between samples of two sets, at most ``sample`` rows of each by hash."""
-    import numpy as np
-
-    def draw(df: DataFrame) -> np.ndarray:
-        rows = df.select("vec").orderBy(F.xxhash64("vec", F.lit(seed)), "vec").limit(sample).collect()
-        return np.array([r["vec"] for r in rows], dtype=np.float64)
+def sinkhorn(a: DataFrame, b: DataFrame, blur: float = 0.05, rounds: int = 200, block: int = 1024) -> DataFrame:
+    """(n_a, n_b, distance): entropic transport cost between all rows of two sets.
 
-    x, y = draw(a), draw(b)
+    The rows of ``b`` are broadcast in blocks of bounded size.  A round is one pass over ``a``: a task finds the potential
+    of its rows and sums each row of ``b`` over them; the driver merges one number a row of ``b`` and task.
+    """
+    import numpy as np
+    import pyarrow as pa
+
+    spark = a.sparkSession
+    x = R.cut(a.select("vec"))
+    blocks = T.query_blocks(b.select("vec").withColumn("query_id", F.lit(0).cast("bigint")))
+    sizes, shared = [], []
+    for _, vecs, _ in blocks:
+        sizes.append(len(vecs))
+        shared.append(spark.sparkContext.broadcast(vecs))
+    n_a, n_b = x.count(), sum(sizes)
     schema = "n_a bigint, n_b bigint, distance double"
-    if not len(x) or not len(y):
-        return a.sparkSession.createDataFrame([(len(x), len(y), None)], schema)
-    cost = np.sqrt(np.maximum((x**2).sum(1)[:, None] + (y**2).sum(1)[None, :] - 2 * x @ y.T, 0))
-    f, g = np.zeros(len(x)), np.zeros(len(y))
-
-    def soft(m: np.ndarray, axis: int) -> np.ndarray:
-        top = m.max(axis=axis, keepdims=True)
-        return np.squeeze(top, axis) + np.log(np.exp(m - top).mean(axis=axis))
-
+    if not n_a or not n_b:
+        return spark.createDataFrame([(n_a, n_b, None)], schema)
+    ends = np.concatenate([[0], np.cumsum(sizes)])
+
+    def gaps(rows, other):
+        return np.sqrt(np.maximum((rows**2).sum(1)[:, None] + (other**2).sum(1)[None, :] - 2 * rows @ other.T, 0))
+
+    def merged(top, total, new_top, new_total):
+        up = np.maximum(top, new_top)
+        return up, total * np.exp(top - up) + new_total * np.exp(new_top - up)
+
+    def one_pass(g, last):
+        sent = spark.sparkContext.broadcast(g)
+
+        def run(batches):
+            g = sent.value
+            top, total, cost = np.full(n_b, -np.inf), np.zeros(n_b), 0.0
+            seen = False
+            for batch in batches:
+                vecs = batch.column(0).to_numpy(zero_copy_only=False)
+                for i in range(0, len(vecs), block):
+                    rows = np.stack(vecs[i : i + block]).astype(np.float64)
+                    seen = True
+                    own_top, own = np.full(len(rows), -np.inf), np.zeros(len(rows))
+                    pieces = [(j, k) for j, y in enumerate(sizes) for k in range(0, y, block)]
+                    # the potential of these rows needs all of b before any sum over them
+                    for j, k in pieces:
+                        y = shared[j].value[k : k + block]
+                        m = (g[ends[j] + k : ends[j] + k + len(y)][None, :] - gaps(rows, y)) / blur
+                        high = m.max(1)
+                        own_top, own = merged(own_top, own, high, np.exp(m - high[:, None]).sum(1))
+                    f = -blur * (own_top + np.log(own / n_b))
+                    for j, k in pieces:
+                        y = shared[j].value[k : k + block]
+                        at, c = slice(ends[j] + k, ends[j] + k + len(y)), gaps(rows, y)
+                        if last:
+                            cost += float((np.exp((f[:, None] + g[at][None, :] - c) / blur) * c).sum())
+                        else:
+                            m = (f[:, None] - c) / blur
+                            high = m.max(0)
+                            top[at], total[at] = merged(top[at], total[at], high, np.exp(m - high[None, :]).sum(0))
+            if seen:
+                yield pa.RecordBatch.from_arrays([pa.array([top.tobytes()], pa.binary()), pa.array([total.tobytes()], pa.binary()), pa.array([cost])], names=["top", "total", "cost"])
+
+        top, total, cost = np.full(n_b, -np.inf), np.zeros(n_b), 0.0
+        for r in x.mapInArrow(run, "top binary, total binary, cost double").toLocalIterator():
+            cost += r["cost"]
+            if not last:
+                top, total = merged(top, total, np.frombuffer(r["top"]), np.frombuffer(r["total"]))
+        sent.unpersist()
+        return cost / (n_a * n_b) if last else -blur * (top + np.log(total / n_a))
+
+    g = np.zeros(n_b)
     for _ in range(rounds):
-        f = -blur * soft((g[None, :] - cost) / blur, 1)
-        g = -blur * soft((f[:, None] - cost) / blur, 0)
-    plan = np.exp((f[:, None] + g[None, :] - cost) / blur) / cost.size
-    return a.sparkSession.createDataFrame([(len(x), len(y), float((plan * cost).sum()))], schema)
+        before, g = g, one_pass(g, False)
+        if np.abs(g - before).max() < 1e-9 * blur:  # further rounds change nothing
+            break
+    return spark.createDataFrame([(n_a, n_b, float(one_pass(g, True)))], schema)
 
 
 def from_training(history: DataFrame, training: DataFrame) -> DataFrame:
