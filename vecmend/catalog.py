@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from .functions import vectors as V
 from .operators import graph as G
+from .operators import joins as J
 from .operators import mend as M
 from .operators import metrics as E
 from .operators import search as S
@@ -172,10 +173,12 @@ def recall_bands(spark, d):
     return E.bands(E.recall_by_query(results, truth, K)).select("band", "n_queries", _r("share"))
 
 
-@_query(_with(_BASE, _truth_cte(K, "test"), _PREFIX) + f"SELECT a.query_id, bool_and(a.dist <= 1.2 * t.dist + 1e-12) AS ok FROM approx a JOIN truth t ON t.query_id = a.query_id AND t.rank = {K} GROUP BY 1")
+@_query(_with(_BASE, _truth_cte(K, "test"), _PREFIX, _truth_cte(K + 1, "test", name="wide")) + """SELECT a.query_id, bool_and(a.dist <= 1.2 * b + 1e-12) AS ok
+FROM approx a JOIN (SELECT w.query_id, min(w.dist) AS b FROM wide w ANTI JOIN approx x ON x.query_id = w.query_id AND x.vec_id = w.vec_id GROUP BY 1) o ON o.query_id = a.query_id GROUP BY 1""")
 def epsilon_answers(spark, d):
-    results, truth = _approximate(spark, d)
-    return E.epsilon_answers(results, truth, K, 0.2)
+    results, _ = _approximate(spark, d)
+    base, q = _ws(spark, d, "test")
+    return E.epsilon_answers(results, T.exact_blocked(base, q, K + 1), K, 0.2)
 
 
 # --- graphs ----------------------------------------------------------------------------
@@ -221,7 +224,7 @@ def graph_symmetrized(spark, d):
 
 
 @_query(_with(_BASE, _KNN) + "SELECT degree, count(*) AS n FROM (SELECT dst, count(*) AS degree FROM knn GROUP BY dst) GROUP BY degree")
-def degree_histogram(spark, d):
+def in_degree_histogram(spark, d):
     return G.knn(_ws(spark, d)[0], DEGREE).groupBy("dst").agg(F.count(F.lit(1)).alias("degree")).groupBy("degree").agg(F.count(F.lit(1)).alias("n"))
 
 
@@ -305,12 +308,24 @@ def admit_cap(spark, d):
     return M.admit(edges, proposals, 4).where("kind = 'extra'").select("src", "dst", "hardness")
 
 
+_ADMITTED = """keep1 AS (SELECT src, dst, hardness, seq FROM (SELECT *, row_number() OVER (PARTITION BY src ORDER BY hardness DESC, seq, dst) AS r FROM (SELECT p.src, p.dst, max(hardness) AS hardness, min(seq) AS seq FROM props p ANTI JOIN knn k ON k.src = p.src AND k.dst = p.dst GROUP BY 1, 2)) WHERE r <= 4)"""
+
+
+@_query(_with(*_CHAIN, _HARD, _MEND, _ADMITTED, recursive=True) + "SELECT degree, count(*) AS n FROM (SELECT b.vec_id, count(e.src) AS degree FROM base b LEFT JOIN (SELECT src, dst FROM knn UNION ALL SELECT src, dst FROM keep1) e ON e.src = b.vec_id GROUP BY 1) GROUP BY 1")
+def degree_histogram(spark, d):
+    proposals, edges = _proposals(spark, d)
+    return E.out_degrees(M.admit(edges, proposals, 4), _ws(spark, d)[0])
+
+
 @_query(_with(*_CHAIN, f"near AS (SELECT t.query_id, t.rank, t.vec_id, b.vec FROM truth t JOIN base b ON b.vec_id = t.vec_id WHERE rank <= {NEAR})", f"gap AS (SELECT a.query_id, a.rank AS i, b.rank AS j, a.vec_id AS src, b.vec_id AS dst, {_COS.format('a.vec', 'b.vec')} AS g FROM near a JOIN near b ON a.query_id = b.query_id AND a.rank <> b.rank)") + "SELECT p.query_id, p.src, p.dst FROM gap p WHERE NOT EXISTS (SELECT 1 FROM gap a JOIN gap b ON a.query_id = b.query_id AND a.j = b.j AND b.i = p.j WHERE a.query_id = p.query_id AND a.i = p.i AND a.j <> p.j AND greatest(a.g, b.g) < p.g) AND NOT EXISTS (SELECT 1 FROM knn k WHERE k.src = p.src AND k.dst = p.dst)")
 def mend_rng_overlay(spark, d):
     return _proposals(spark, d, "rng")[0].select("query_id", "src", "dst")
 
 
-@_query()
+_RANDOM = _MEND.replace("ORDER BY round(gap, 12), i, j", "ORDER BY md5('0:' || (i - 1) || ':' || (j - 1))")
+
+
+@_query(_with(*_CHAIN, _HARD, _RANDOM, recursive=True) + "SELECT query_id, src, dst, hardness FROM props")
 def mend_random_pairs(spark, d):
     return _proposals(spark, d, "random")[0].select("query_id", "src", "dst", "hardness")
 
@@ -321,6 +336,23 @@ def mend_subsets(spark, d):
     return M.vicinity(M.subset_truth(truth, NEAR, draws=5), edges, base, NEAR, NEAR, 2 * NEAR).select("query_id", "src", "dst", "hardness")
 
 
+@_query(_with(*_CHAIN, _HARD, _MEND, recursive=True) + """SELECT src, dst, hardness, epoch FROM (SELECT *, row_number() OVER (PARTITION BY src ORDER BY hardness DESC, epoch, seq, dst) AS r FROM (
+  SELECT src, dst, max(hardness) AS hardness, min(epoch)::INT AS epoch, arg_min(seq, (epoch, seq)) AS seq FROM (
+    SELECT src, dst, hardness, seq, CASE WHEN query_id % 20 = 8 THEN 0 ELSE 1 END AS epoch FROM props) GROUP BY 1, 2) p ANTI JOIN knn k ON k.src = p.src AND k.dst = p.dst) WHERE r <= 2""")
+def admit_two_rounds(spark, d):
+    """Proposals of one frozen graph admitted in two rounds under a small cap: those of the larger ids may come first."""
+    proposals, edges = _proposals(spark, d)
+    proposals = R.cut(proposals)
+    once = R.cut(M.admit(edges, proposals.where("query_id % 20 = 8"), None))
+    twice = M.admit(once, proposals.where("query_id % 20 <> 8"), 2)
+    return twice.where("kind = 'extra'").select("src", "dst", "hardness", "epoch")
+
+
+@_query(_with(*_CHAIN, _HARD, _MEND, recursive=True) + "SELECT query_id, count(*) AS n_arcs FROM props GROUP BY 1")
+def mend_arcs_per_query(spark, d):
+    return _proposals(spark, d)[0].groupBy("query_id").agg(F.count(F.lit(1)).alias("n_arcs"))
+
+
 # --- search --------------------------------------------------------------------------------
 
 
@@ -333,8 +365,8 @@ def search_full_beam(spark, d):
 
 def _mended_history(spark, d, family):
     base, q = family(spark, d)
-    base, history = R.cut(base), R.cut(q.where("role = 'history'"))
-    edges = R.run(base, G.hnsw(base, 6, 100), history, R.single(K), extra_cap=None)
+    base, history = R.cut(G.with_shards(base, 4)), R.cut(q.where("role = 'history'"))
+    edges = R.run(base, R.cut(G.hnsw(base, 6, 100)), history, R.single(K), extra_cap=None)
     return S.sharded(base, edges, history, K, K).select("query_id", "rank", "vec_id", _r("dist"))
 
 
@@ -355,6 +387,23 @@ def search_rounds(spark, d):
     return S.rounds(base, edges, q, 5, 5, S.entry_centroid(base)).select("query_id", "rank", "vec_id", _r("dist"))
 
 
+@_query(_with(_BASE, _truth_cte(K, "history")) + "SELECT query_id, rank, vec_id, round(dist, 6) AS dist FROM truth")
+def search_history_one_shard(spark, d):
+    """The same guarantee on a base that is one shard, whose queries several tasks walk."""
+    base, q = _ws(spark, d)
+    base, history = R.cut(base), R.cut(q.where("role = 'history'"))
+    edges = R.run(base, R.cut(G.hnsw(base, 6, 100)), history, R.single(K), extra_cap=None)
+    return S.sharded(base, edges, history, K, K).select("query_id", "rank", "vec_id", _r("dist"))
+
+
+@_query(_with(_BASE, "few AS (SELECT * FROM base WHERE label < 3)", _truth_cte(K, "test", base="few")) + "SELECT query_id, rank, vec_id, round(dist, 6) AS dist FROM truth")
+def search_filtered_walk(spark, d):
+    """The same filter by walks over all rows that hide the others, at a beam that visits everything."""
+    base, q = _ws(spark, d, "test")
+    found = S.filtered(base, R.cut(G.nsg(base, 30, 30, 12)), q, F.col("label") < 3, K, base.count())
+    return found.select("query_id", "rank", "vec_id", _r("dist"))
+
+
 @_query(_with(_BASE, f"stop AS (SELECT query_id, vec_id AS stop, dist AS stop_dist FROM ({_with(_truth_cte(40, 'test', name='t40'))} SELECT * FROM t40 WHERE rank = 40))") + f"SELECT q.query_id, stop, b.vec_id FROM q JOIN stop ON stop.query_id = q.query_id, base b WHERE b.vec_id <> stop AND {_COS.format('b.vec', 'q.vec')} < stop_dist")
 def approach_candidates(spark, d):
     base, q = _ws(spark, d, "test")
@@ -362,7 +411,16 @@ def approach_candidates(spark, d):
     return M.approach_candidates(base, None, q, stops)
 
 
-@_query()
+@_query(_with(_BASE, f"stop AS (SELECT query_id, vec_id AS stop, dist AS stop_dist FROM ({_with(_truth_cte(40, 'test', name='t40'))} SELECT * FROM t40 WHERE rank = 40))",
+              f"cand AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY d, vec_id) AS n FROM (SELECT q.query_id, stop, b.vec_id, b.vec, {_COS.format('b.vec', 'o.vec')} AS d FROM q JOIN stop ON stop.query_id = q.query_id JOIN base o ON o.vec_id = stop, base b WHERE b.vec_id <> stop AND {_COS.format('b.vec', 'q.vec')} < stop_dist))",
+              f"near AS MATERIALIZED (SELECT a.query_id, a.n AS i, b.n AS j, {_COS.format('a.vec', 'b.vec')} AS gap FROM cand a JOIN cand b ON a.query_id = b.query_id AND a.n > b.n)",
+              """keep(query_id, n, kept) AS (
+  SELECT query_id, 0::BIGINT, []::BIGINT[] FROM cand WHERE n = 1
+  UNION ALL
+  SELECT c.query_id, c.n, CASE WHEN len(k.kept) < 8 AND NOT EXISTS (SELECT 1 FROM near x WHERE x.query_id = c.query_id AND x.i = c.n AND list_contains(k.kept, x.j) AND x.gap <= c.d) THEN list_append(k.kept, c.n) ELSE k.kept END
+  FROM keep k JOIN cand c ON c.query_id = k.query_id AND c.n = k.n + 1)""",
+              "last AS (SELECT query_id, unnest(arg_max(kept, n)) AS n FROM keep GROUP BY query_id)", recursive=True)
+        + "SELECT c.query_id, c.stop AS src, c.vec_id AS dst, 32767 AS hardness FROM last JOIN cand c ON c.query_id = last.query_id AND c.n = last.n")
 def approach_thinned(spark, d):
     base, q = _ws(spark, d, "test")
     stops = R.cut(T.exact_sql(base, q, 40).where("rank = 40").select("query_id", F.col("vec_id").alias("stop"), F.col("dist").alias("stop_dist")))
@@ -425,6 +483,52 @@ def containment(spark, d):
     return U.containment(T.exact_blocked(base, q.where("role = 'test'"), 3), T.exact_blocked(base, q.where("role = 'history'"), 12), 3, 12)
 
 
+@_query(_with(_BASE, _truth_cte(3, "test"), _truth_cte(12, "history", name="ht"), "c AS (SELECT t.query_id AS test_id, h.query_id AS history_id, count(*) FILTER (h.rank <= 3) = 3 AS equal FROM truth t JOIN ht h ON h.vec_id = t.vec_id GROUP BY 1, 2 HAVING count(*) = 3)")
+        + f"SELECT equal, count(*) AS n, round(max({_COS.format('h.vec', 't.vec')}), 6) AS max_gap, round(avg({_COS.format('h.vec', 't.vec')}), 6) AS mean_gap FROM c JOIN q t ON t.query_id = test_id JOIN q h ON h.query_id = history_id GROUP BY 1")
+def containment_distance(spark, d):
+    """How near two queries are whose answers contain one another."""
+    base, q = _ws(spark, d)
+    test, history = q.where("role = 'test'"), q.where("role = 'history'")
+    pairs = U.containment(T.exact_blocked(base, test, 3), T.exact_blocked(base, history, 12), 3, 12)
+    return U.containment_gaps(pairs, test, history).groupBy("equal").agg(F.count(F.lit(1)).alias("n"), F.round(F.max("gap"), 6).alias("max_gap"), F.round(F.avg("gap"), 6).alias("mean_gap"))
+
+
+@_query("SELECT modality, modality <> 'document' AS ood, count(*) AS n FROM (SELECT 'document' AS modality FROM benchmark UNION ALL SELECT 'chat' FROM conversations WHERE role = 'user' UNION ALL SELECT 'page' FROM pages) GROUP BY 1")
+def ood_by_modality(spark, d):
+    """Passages, chat turns and pages as queries on a base of documents: the last two are of another modality."""
+    t = lambda name: D.table(spark, d, name)
+    asked = t("benchmark").select(F.col("item_id").alias("query_id"), F.lit("document").alias("modality"))
+    asked = asked.union(t("conversations").where("role = 'user'").select(F.col("conv_id") * 1000 + F.col("turn"), F.lit("chat"))).union(t("pages").select("page_id", F.lit("page")))
+    base = t("documents").select(F.lit("document").alias("modality"))
+    return U.by_modality(asked, base).groupBy("modality", "ood").agg(F.count(F.lit(1)).alias("n"))
+
+
+_PREFIXES = (8, 16, 32, 48, 64)
+
+
+def _prefix_rows(m: int) -> str:
+    return f"""SELECT {m} AS beam, avg(hit) AS recall FROM (SELECT t.query_id, count(a.vec_id) / {K} AS hit FROM truth t LEFT JOIN (
+  SELECT * FROM (SELECT q.query_id, b.vec_id, row_number() OVER (PARTITION BY q.query_id ORDER BY {_COS.format(f'b.vec[1:{m}]', f'q.vec[1:{m}]')}, b.vec_id) AS rank FROM q, base b WHERE role = 'test') WHERE rank <= {K}) a ON a.query_id = t.query_id AND a.vec_id = t.vec_id GROUP BY 1)"""
+
+
+@_query(_with(_BASE, _truth_cte(K, "test"), "curve AS MATERIALIZED (" + " UNION ALL ".join(_prefix_rows(m) for m in _PREFIXES) + ")",
+              "step AS (SELECT *, lag(beam) OVER (ORDER BY beam) AS b0, lag(recall) OVER (ORDER BY beam) AS r0 FROM curve)")
+        + "SELECT level::DOUBLE AS level, round(arg_min(CASE WHEN r0 IS NULL THEN beam ELSE b0 + (level - r0) / (recall - r0) * (beam - b0) END, beam), 4) AS dims FROM step, (VALUES (0.3), (0.5), (0.9)) v(level) WHERE recall >= level GROUP BY level")
+def value_at_level(spark, d):
+    """Coordinates of a cut embedding that reach a recall, between the measured points of a curve."""
+    base, q = _ws(spark, d, "test")
+    truth, curve = T.exact_blocked(base, q, K), None
+    for m in _PREFIXES:
+        found = T.exact_blocked(base.withColumn("vec", V.prefix(F.col("vec"), m)), q.withColumn("vec", V.prefix(F.col("vec"), m)), K)
+        point = E.recall_by_query(found, truth, K).agg(F.lit("prefix").alias("method"), F.lit(m).alias("beam"), F.avg("recall").alias("recall"), F.lit(float(m)).alias("dims"))
+        curve = point if curve is None else curve.unionByName(point)
+    curve, rows = R.cut(curve), None
+    for x in (0.3, 0.5, 0.9):
+        row = E.at_level(curve, "recall", "dims", x).select(F.lit(x).alias("level"), F.round("dims", 4).alias("dims"))
+        rows = row if rows is None else rows.unionByName(row)
+    return rows
+
+
 @_query(_with(_BASE, _truth_cte(K, "history")) + f"SELECT t.query_id, count(DISTINCT h.query_id) AS n_history, count(DISTINCT truth.vec_id) AS n_union FROM q t JOIN q h ON t.role = 'test' AND h.role = 'history' AND {_COS.format('h.vec', 't.vec')} <= 0.6 JOIN truth ON truth.query_id = h.query_id GROUP BY 1")
 def ball_union(spark, d):
     base, q = _ws(spark, d)
@@ -524,10 +628,75 @@ def events_daily(spark, d):
     return D.table(spark, d, "events").groupBy("event_type", F.to_date("ts").alias("day")).agg(F.count(F.lit(1)).alias("n"))
 
 
-@_query("SELECT user_id, event_id, lag(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS before, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) AS n FROM events")
+@_query("""SELECT user_id, event_id, lag(event_id) OVER w AS before, row_number() OVER w AS n, round(sum(value) OVER (w ROWS BETWEEN 2 PRECEDING AND CURRENT ROW), 4) AS last_three,
+  count(*) OVER (PARTITION BY user_id ORDER BY epoch_us(ts) RANGE BETWEEN 86400000000 PRECEDING AND CURRENT ROW) AS in_a_day FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)""")
 def window_frames(spark, d):
     w = Window.partitionBy("user_id").orderBy("ts", "event_id")
-    return D.table(spark, d, "events").select("user_id", "event_id", F.lag("event_id").over(w).alias("before"), F.row_number().over(w).cast("bigint").alias("n"))
+    day = Window.partitionBy("user_id").orderBy(F.unix_micros(F.col("ts").cast("timestamp"))).rangeBetween(-86_400_000_000, 0)
+    return D.table(spark, d, "events").select("user_id", "event_id", F.lag("event_id").over(w).alias("before"), F.row_number().over(w).cast("bigint").alias("n"),
+                                              F.round(F.sum("value").over(w.rowsBetween(-2, 0)), 4).alias("last_three"), F.count(F.lit(1)).over(day).alias("in_a_day"))
+
+
+@_query("SELECT e.event_id, e.user_id, b.event_id AS last_view FROM (SELECT * FROM events WHERE event_type = 'purchase') e ASOF LEFT JOIN (SELECT user_id, ts, max(event_id) AS event_id FROM events WHERE event_type = 'view' GROUP BY 1, 2) b ON b.user_id = e.user_id AND b.ts <= e.ts")
+def as_of_join(spark, d):
+    e = D.table(spark, d, "events").select("event_id", "user_id", "ts", "event_type")
+    bought, seen = e.where("event_type = 'purchase'").drop("event_type"), e.where("event_type = 'view'").drop("event_type")
+    return J.as_of(bought, seen, "user_id", "ts", "event_id", "last_view").select("event_id", "user_id", "last_view")
+
+
+_NEXT = "SELECT a.event_id, b.event_id AS next_id FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'view' AND b.event_type = 'purchase' AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 24 HOURS"
+
+
+@_query(_NEXT)
+def interval_join(spark, d):
+    e = D.table(spark, d, "events").select("event_id", "user_id", "ts", "event_type")
+    seen, bought = e.where("event_type = 'view'").drop("event_type"), e.where("event_type = 'purchase'").drop("event_type")
+    return J.within_span(seen, bought, "user_id", "ts", 86_400).select("event_id", F.col("event_id_r").alias("next_id"))
+
+
+@_query(_NEXT)
+def stream_interval_join(spark, d):
+    return O.followed(spark, d)
+
+
+@_query("SELECT DISTINCT event_id, user_id FROM events")
+def stream_distinct(spark, d):
+    return O.first_of_event(spark, d)
+
+
+@_query("SELECT user_id, count(*) AS n, count(DISTINCT event_type) AS n_types FROM events GROUP BY 1")
+def stream_state_by_user(spark, d):
+    return O.repeats_by_user(spark, d)
+
+
+@_query("SELECT event_type, round(quantile_cont(value, 0.25), 6) AS q1, round(quantile_cont(value, 0.5), 6) AS q2, round(quantile_cont(value, 0.75), 6) AS q3 FROM events GROUP BY 1")
+def value_quantiles(spark, d):
+    q = lambda p: F.round(F.percentile("value", F.lit(p)), 6)
+    return D.table(spark, d, "events").groupBy("event_type").agg(q(0.25).alias("q1"), q(0.5).alias("q2"), q(0.75).alias("q3"))
+
+
+@_query("SELECT 'both' AS side, count(*) AS n FROM (SELECT user_id FROM events WHERE event_type = 'view' INTERSECT SELECT user_id FROM events WHERE event_type = 'error') UNION ALL SELECT 'only', count(*) FROM (SELECT user_id FROM events WHERE event_type = 'view' EXCEPT SELECT user_id FROM events WHERE event_type = 'error') UNION ALL SELECT 'all', count(DISTINCT user_id) FROM events WHERE event_type IN ('view', 'error')")
+def set_operations(spark, d):
+    e = D.table(spark, d, "events")
+    one, two = (e.where(F.col("event_type") == x).select("user_id") for x in ("view", "error"))
+    parts = {"both": one.intersect(two), "only": one.subtract(two), "all": one.union(two).distinct()}
+    rows = [df.agg(F.lit(n).alias("side"), F.count(F.lit(1)).alias("n")) for n, df in parts.items()]
+    return rows[0].unionByName(rows[1]).unionByName(rows[2])
+
+
+@_query(_with(_BASE) + f"SELECT query_id, round(sqrt(list_inner_product(vec, vec)), 6) AS norm, round(min({_COS.format('b.vec', 'q.vec')}), 6) AS nearest FROM q, (SELECT vec_id, vec AS vec FROM base) b WHERE role = 'test' GROUP BY query_id, vec".replace("sqrt(list_inner_product(vec, vec)), 6) AS norm", "sqrt(list_inner_product(q.vec, q.vec)), 6) AS norm").replace("GROUP BY query_id, vec", "GROUP BY query_id, q.vec"))
+def sql_vector_functions(spark, d):
+    """The vector functions from SQL text, inlined by Catalyst."""
+    V.register(spark)
+    base, q = _ws(spark, d, "test")
+    return spark.sql("SELECT query_id, round(max(n), 6) AS norm, round(min(c), 6) AS nearest FROM (SELECT query_id, vec_norm(q.vec) AS n, vec_cos(b.vec, q.vec) AS c FROM {q} q CROSS JOIN {b} b) GROUP BY query_id", q=q, b=base)
+
+
+@_query("SELECT event_type, map_extract_value(counts, 'Monday') AS mondays, cardinality(counts)::INT AS n_days FROM (SELECT event_type, map(list(d), list(n)) AS counts FROM (SELECT event_type, dayname(ts) AS d, count(*) AS n FROM events GROUP BY ALL) GROUP BY 1)")
+def weekday_maps(spark, d):
+    by_day = D.table(spark, d, "events").groupBy("event_type", F.date_format("ts", "EEEE").alias("day")).agg(F.count(F.lit(1)).alias("n"))
+    counts = by_day.groupBy("event_type").agg(F.map_from_entries(F.collect_list(F.struct("day", "n"))).alias("counts"))
+    return counts.select("event_type", F.try_element_at("counts", F.lit("Monday")).alias("mondays"), F.size("counts").alias("n_days"))
 
 
 @_query("SELECT event_type, json_extract_string(props, '$.k')::BIGINT % 5 AS k, count(*) AS n FROM events GROUP BY ROLLUP (1, 2)")

@@ -14,17 +14,29 @@ from pyspark.sql import functions as F
 from ..functions import kernels as K
 from . import truth as T
 
-EDGES = "src bigint, dst bigint, kind string, layer int, hardness int, seq bigint"
+#: ``epoch`` is the round of admission that an extra arc came in by, ``seq`` its place in that round.
+EDGES = "src bigint, dst bigint, kind string, layer int, hardness int, seq bigint, epoch int"
 
 
-def with_shards(base: DataFrame, shards: int = 1) -> DataFrame:
-    """Hash shards; the vectors of one shard must fit a task."""
+#: Bytes of vectors and arcs that one task should hold, and arcs a vector that are reckoned with.
+SHARD_BYTES, ARCS = 256 << 20, 64
+
+
+def shards_for(base: DataFrame) -> int:
+    """Shards that keep each within ``SHARD_BYTES``, from the rows and their dimension."""
+    row = base.agg(F.count(F.lit(1)).alias("n"), F.max(F.size("vec")).alias("d")).first()
+    return -(-(row["n"] or 0) * (8 * (row["d"] or 0) + 16 * ARCS) // SHARD_BYTES) or 1
+
+
+def with_shards(base: DataFrame, shards: int | None = None) -> DataFrame:
+    """Hash shards, as many as given or as the size of the base asks for."""
+    shards = shards_for(base) if shards is None else shards
     return base.withColumn("shard", F.pmod(F.xxhash64("vec_id"), F.lit(shards)).cast("int"))
 
 
 def _built(base: DataFrame, build) -> DataFrame:
     """Edges of a kernel ``build(ids, vectors) -> [(layer, lists)]`` run on each shard."""
-    sharded = base if "shard" in base.columns else with_shards(base)
+    sharded = base if "shard" in base.columns else with_shards(base, 1)
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values("vec_id")
@@ -33,7 +45,7 @@ def _built(base: DataFrame, build) -> DataFrame:
         for layer, lists in build(ids, np.stack(pdf["vec"].to_numpy())):
             n = [len(x) for x in lists]
             src, dst = np.repeat(ids, n), ids[np.concatenate(lists).astype(np.int64)] if sum(n) else np.zeros(0, dtype=np.int64)
-            parts.append(pd.DataFrame({"src": src, "dst": dst, "kind": "base", "layer": layer, "hardness": 0, "seq": -1}))
+            parts.append(pd.DataFrame({"src": src, "dst": dst, "kind": "base", "layer": layer, "hardness": 0, "seq": -1, "epoch": -1}))
         return pd.concat(parts)
 
     return sharded.select("shard", "vec_id", "vec").groupBy("shard").applyInPandas(run, EDGES)
@@ -76,7 +88,7 @@ def knn(base: DataFrame, k: int, metric: str = "cosine") -> DataFrame:
 
 
 def as_edges(arcs: DataFrame, kind: str = "base") -> DataFrame:
-    return arcs.select("src", "dst", F.lit(kind).alias("kind"), F.lit(0).alias("layer"), F.lit(0).alias("hardness"), F.lit(-1).cast("bigint").alias("seq"))
+    return arcs.select("src", "dst", F.lit(kind).alias("kind"), F.lit(0).alias("layer"), F.lit(0).alias("hardness"), F.lit(-1).cast("bigint").alias("seq"), F.lit(-1).alias("epoch"))
 
 
 def symmetrize(arcs: DataFrame) -> DataFrame:

@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from ..functions import kernels as K
 from ..functions import vectors as V
 from ..plans.lineage import cut
+from . import graph as G
 from . import search as S
 from . import truth as T
 from . import vicinity as N
@@ -17,16 +18,22 @@ from . import vicinity as N
 PROPOSALS = "query_id bigint, seq bigint, src bigint, dst bigint, hardness int, dist double"
 
 
-def vicinity(truth: DataFrame, edges: DataFrame, base: DataFrame, n_near: int, reach_cap: int, max_rank: int, metric: str = "cosine", method: str = "vicinity", seed: int = 0) -> DataFrame:
+def vicinity(truth: DataFrame, edges: DataFrame, base: DataFrame, n_near: int, reach_cap: int, max_rank: int, metric: str = "cosine", method: str = "vicinity", seed: int = 0, full: DataFrame | None = None) -> DataFrame:
     """Proposed arcs (query_id, seq, src, dst, hardness, dist) of each history query against one frozen graph.
 
     Methods: ``vicinity`` (shortest bad pairs first), ``random`` (bad pairs in hash order), ``rng`` (the relative
     neighbourhood graph of the near set, laid over).  A task holds one query's vicinity: at most max_rank ranks
     and their arcs, and n_near vectors; queries without a bad pair propose nothing.
+
+    An arc that a full row will turn away still counts as laid when the rest is chosen.  With ``full`` (``least_tags``) it does not:
+    such an arc is passed over, and other arcs may connect its pair.
     """
     arcs = N.extract(truth, edges, max_rank).groupBy("query_id").agg(F.collect_list(F.array("src_rank", "dst_rank")).alias("arcs"))
-    near = truth.where(F.col("rank") <= n_near).join(base.select("vec_id", "vec"), "vec_id").groupBy("query_id").agg(F.sort_array(F.collect_list(F.struct("rank", "vec_id", "vec"))).alias("near"))
+    placed = truth.where(F.col("rank") <= n_near).join(base.select("vec_id", "vec"), "vec_id")
+    placed = placed.withColumn("least", F.lit(-1)) if full is None else placed.join(full, "vec_id", "left").withColumn("least", F.coalesce("least", F.lit(-1)))
+    near = placed.groupBy("query_id").agg(F.sort_array(F.collect_list(F.struct("rank", "vec_id", "vec", "least"))).alias("near"))
     rows = near.join(arcs, "query_id", "left")
+    refuse = full is not None
 
     def run(batches):
         for pdf in batches:
@@ -41,7 +48,9 @@ def vicinity(truth: DataFrame, edges: DataFrame, base: DataFrame, n_near: int, r
                     have = {(int(p) - 1, int(q) - 1) for p, q in arr}
                     new = [(s, t, int(h[s, t])) for s, t in K.lune_arcs(gaps) if (s, t) not in have]
                 else:
-                    new = K.mend_pairs(h, gaps, reach_cap, "random" if method == "random" else "length", seed)
+                    least = [r["least"] for r in group]
+                    takes = (lambda s, t, tag, least=least: tag > least[s]) if refuse else None
+                    new = K.mend_pairs(h, gaps, reach_cap, "random" if method == "random" else "length", seed, takes)
                 for n, (s, t, tag) in enumerate(new):
                     out.append((query_id, query_id * 100000 + n, ids[s], ids[t], tag, gaps[s, t]))
             yield pd.DataFrame(out, columns=["query_id", "seq", "src", "dst", "hardness", "dist"])
@@ -49,22 +58,36 @@ def vicinity(truth: DataFrame, edges: DataFrame, base: DataFrame, n_near: int, r
     return rows.mapInPandas(run, PROPOSALS)
 
 
-def admit(edges: DataFrame, proposals: DataFrame, extra_cap: int | None, policy: str = "hardness", seed: int = 0) -> DataFrame:
+def least_tags(edges: DataFrame, extra_cap: int) -> DataFrame:
+    """(vec_id, least): the least tag of each row that has as many extra arcs as it may."""
+    own = edges.where("kind = 'extra'").groupBy(F.col("src").alias("vec_id")).agg(F.count(F.lit(1)).alias("n"), F.min("hardness").alias("least"))
+    return own.where(F.col("n") >= extra_cap).select("vec_id", "least")
+
+
+POLICIES = ("hardness", "random", "mrng")
+
+
+def admit(edges: DataFrame, proposals: DataFrame, extra_cap: int | None, policy: str = "hardness", seed: int = 0, base: DataFrame | None = None, metric: str = "cosine") -> DataFrame:
     """The graph after admission: base arcs untouched, at most ``extra_cap`` extra arcs out of a row.
 
-    Keeps the hardest arcs and, among equals, the earliest; this is what replacing the least hard arc by a
-    strictly harder one gives, in any order.  An arc proposed twice keeps its largest tag; a copy of a base arc is
-    dropped.  The window limit is applied before the shuffle, so a hub sends few rows.  Other policies: ``random`` (hash order) and ``mrng``
-    is ``graph.thinned`` on the result.
+    ``hardness`` keeps the hardest arcs and, among equals, the earliest by epoch and then by place; this is what replacing the
+    least hard arc by a strictly harder one gives, over any number of rounds and in any order within one.  An arc proposed twice keeps its
+    largest tag and first place; a copy of a base arc is dropped.  The window limit is applied before the shuffle, so a hub
+    sends few rows.  ``random`` keeps arcs in hash order, ``mrng`` thins them monotonely (and reads the vectors of ``base``).
     """
-    base = edges.where("kind = 'base'")
-    extra = edges.where("kind = 'extra'").select("src", "dst", "hardness", "seq")
-    both = extra.unionByName(proposals.select("src", "dst", "hardness", "seq"))
-    new = both.groupBy("src", "dst").agg(F.max("hardness").alias("hardness"), F.min("seq").alias("seq")).join(base.select("src", "dst"), ["src", "dst"], "left_anti")
-    if extra_cap is not None:
-        order = [F.xxhash64("src", "dst", F.lit(seed))] if policy == "random" else [F.desc("hardness"), F.col("seq"), F.col("dst")]
+    if policy not in POLICIES:
+        raise ValueError(f"unknown policy {policy!r}; there are {', '.join(POLICIES)}")
+    own = edges.where("kind = 'base'")
+    extra = edges.where("kind = 'extra'").select("src", "dst", "hardness", "epoch", "seq")
+    epoch = (edges.agg(F.max("epoch")).first()[0] or 0) + 1
+    both = extra.unionByName(proposals.select("src", "dst", "hardness", F.lit(epoch).alias("epoch"), "seq"))
+    new = both.groupBy("src", "dst").agg(F.max("hardness").alias("hardness"), F.min(F.struct("epoch", "seq")).alias("at")).join(own.select("src", "dst"), ["src", "dst"], "left_anti")
+    if extra_cap is not None and policy == "mrng":
+        new = new.join(G.thinned(new, base, extra_cap, metric), ["src", "dst"], "left_semi")
+    elif extra_cap is not None:
+        order = [F.xxhash64("src", "dst", F.lit(seed))] if policy == "random" else [F.desc("hardness"), F.col("at"), F.col("dst")]
         new = new.withColumn("r", F.row_number().over(Window.partitionBy("src").orderBy(*order))).where(F.col("r") <= extra_cap).drop("r")
-    return base.unionByName(new.select("src", "dst", F.lit("extra").alias("kind"), F.lit(0).alias("layer"), "hardness", "seq"))
+    return own.unionByName(new.select("src", "dst", F.lit("extra").alias("kind"), F.lit(0).alias("layer"), "hardness", F.col("at.seq").alias("seq"), F.col("at.epoch").alias("epoch")))
 
 
 def subset_truth(truth: DataFrame, k: int, widen: int = 2, draws: int = 10, seed: int = 0) -> DataFrame:
@@ -81,18 +104,30 @@ def subset_truth(truth: DataFrame, k: int, widen: int = 2, draws: int = 10, seed
 
 def stuck(base: DataFrame, edges: DataFrame, queries: DataFrame, truth: DataFrame, n_near: int, arrive_beam: int, metric: str = "cosine", entry: str | int = "centroid") -> DataFrame:
     """(query_id, stop, stop_dist): history queries whose walk ends farther away than their n_near-th neighbour."""
-    ends = S.sharded(base, edges, queries, 1, arrive_beam, metric, entry).select("query_id", F.col("vec_id").alias("stop"), F.col("dist").alias("stop_dist"))
+    ends = _walked(base, edges, queries, 1, arrive_beam, metric, entry).select("query_id", F.col("vec_id").alias("stop"), F.col("dist").alias("stop_dist"))
     bound = truth.where(F.col("rank") == n_near).select("query_id", F.col("dist").alias("bound"))
     return ends.join(bound, "query_id").where(F.col("stop_dist") > F.col("bound") + 1e-12).select("query_id", "stop", "stop_dist")
 
 
+def _walked(base: DataFrame, edges: DataFrame, queries: DataFrame, k: int, beam: int, metric: str, entry: str | int, **how) -> DataFrame:
+    """Walks of queries that stand once for each shard (column ``shard``), each in its own, or of plain ones."""
+    if "shard" not in queries.columns:
+        return S.sharded(base, edges, queries, k, beam, metric, entry, **how)
+    shards = T.shard_count(base)
+    one = queries.select(F.floor(F.col("query_id") / shards).cast("bigint").alias("query_id"), "vec").dropDuplicates(["query_id"])
+    return S.sharded(base, edges, one, k, beam, metric, entry, shards=shards, **how).join(queries.select("query_id"), "query_id", "left_semi")
+
+
 def approach_candidates(base: DataFrame, edges: DataFrame, queries: DataFrame, stops: DataFrame, metric: str = "cosine", mode: str = "exact", beam: int = 100, entry: str | int = "centroid") -> DataFrame:
     """(query_id, stop, vec_id): rows nearer to the query than where its walk stopped, from the whole base or those a wider walk saw."""
-    asked = queries.join(stops, "query_id").select("query_id", "vec", "stop", "stop_dist")
+    own = ["shard"] if "shard" in queries.columns else []
+    asked = queries.join(stops, "query_id").select("query_id", "vec", "stop", "stop_dist", *own)
     if mode == "visited":
-        seen = S.sharded(base, edges, asked.select("query_id", "vec"), 1, beam, metric, entry, visited=True)
+        seen = _walked(base, edges, asked.select("query_id", "vec", *own), 1, beam, metric, entry, visited=True)
         return seen.join(stops, "query_id").where(F.col("dist") < F.col("stop_dist")).select("query_id", "stop", "vec_id")
-    pairs = base.select("vec_id", F.col("vec").alias("v")).join(F.broadcast(asked), V.distance(F.col("v"), F.col("vec"), metric) < F.col("stop_dist"))
+    asked = T.checked(asked.withColumnRenamed("shard", "asked_shard"), 8 * V.assert_dim(base))
+    nearer = V.distance(F.col("v"), F.col("vec"), metric) < F.col("stop_dist")
+    pairs = base.select("vec_id", F.col("vec").alias("v"), *own).join(asked, nearer & (F.col("shard") == F.col("asked_shard")) if own else nearer)
     return pairs.where("vec_id <> stop").select("query_id", "stop", "vec_id")
 
 
@@ -119,8 +154,8 @@ def approach(base: DataFrame, edges: DataFrame, queries: DataFrame, truth: DataF
         if stops.isEmpty():
             break
         arcs = approach_arcs(base, approach_candidates(base, edges, queries, stops, metric, mode), extra_cap or 1 << 30, metric)
-        before = edges.count()
-        edges = cut(admit(edges, arcs, extra_cap))
-        if edges.count() == before:
+        before, edges = edges, cut(admit(edges, arcs, extra_cap))
+        # under a cap one arc may push out another, so their number says nothing
+        if edges.join(before, ["src", "dst", "kind", "hardness"], "left_anti").isEmpty():
             break
     return edges

@@ -20,18 +20,23 @@ def recall(results: DataFrame, truth: DataFrame, k: int) -> float:
 def rderr(results: DataFrame, truth: DataFrame, k: int) -> DataFrame:
     """(query_id, rderr): mean over ranks of answer distance over true distance, less one.
 
-    0 where both distances are zero, and null where only the true one is, or where it is negative.
+    0 where both distances are zero, and null where only the true one is, or where it is negative.  An answer of
+    fewer than k rows has the value null, since a mean over the ranks it has would look better than a full one.
     """
     a = results.where(F.col("rank") <= k).select("query_id", "rank", F.col("dist").alias("a"))
     t = truth.where(F.col("rank") <= k).select("query_id", "rank", F.col("dist").alias("t"))
     e = F.when(F.col("t") > 0, F.col("a") / F.col("t") - 1).when((F.col("t") == 0) & (F.col("a") == 0), F.lit(0.0))
-    return t.join(a, ["query_id", "rank"]).groupBy("query_id").agg(F.avg(e).alias("rderr"))
+    return t.join(a, ["query_id", "rank"], "left").groupBy("query_id").agg(F.when(F.count("a") == F.count(F.lit(1)), F.avg(e)).alias("rderr"))
 
 
 def epsilon_answers(results: DataFrame, truth: DataFrame, k: int, eps: float) -> DataFrame:
-    """(query_id, ok): every answer lies within (1 + eps) of the true k-th distance."""
-    bound = truth.where(F.col("rank") == k).select("query_id", F.col("dist").alias("b"))
-    return results.where(F.col("rank") <= k).join(bound, "query_id").groupBy("query_id").agg(F.bool_and(F.col("dist") <= (1 + eps) * F.col("b") + 1e-12).alias("ok"))
+    """(query_id, ok): every answer lies within (1 + eps) of each vector that is not an answer.
+
+    The nearest vector outside an answer of k rows is among the k + 1 nearest, so ``truth`` holds ranks up to k + 1.
+    """
+    answer = results.where(F.col("rank") <= k).select("query_id", "vec_id", F.col("dist").alias("a"))
+    outside = truth.where(F.col("rank") <= k + 1).join(answer, ["query_id", "vec_id"], "left_anti").groupBy("query_id").agg(F.min("dist").alias("b"))
+    return answer.join(outside, "query_id").groupBy("query_id").agg(F.bool_and(F.col("a") <= (1 + eps) * F.col("b") + 1e-12).alias("ok"))
 
 
 def bands(per_query: DataFrame, steps: int = 5) -> DataFrame:
@@ -53,3 +58,14 @@ def at_level(curve: DataFrame, x: str, y: str, level: float) -> DataFrame:
     first = both.withColumn("r", F.row_number().over(order)).where("r = 1")
     part = (F.lit(level) - F.col("x0")) / (F.col(x) - F.col("x0"))
     return first.select("method", F.when(F.col("x0").isNull(), F.col(y)).otherwise(F.col("y0") + part * (F.col(y) - F.col("y0"))).alias(y))
+
+
+def out_degrees(edges: DataFrame, base: DataFrame) -> DataFrame:
+    """(degree, n): rows of the base by the number of arcs of the bottom layer that go out of them."""
+    counts = edges.where("layer = 0").groupBy(F.col("src").alias("vec_id")).agg(F.count(F.lit(1)).alias("degree"))
+    return base.select("vec_id").join(counts, "vec_id", "left").groupBy(F.coalesce("degree", F.lit(0)).alias("degree")).agg(F.count(F.lit(1)).alias("n"))
+
+
+def arrival_share(per_query: DataFrame) -> DataFrame:
+    """(n, n_arrived, share): queries whose answer holds a true neighbour at all, from (query_id, recall)."""
+    return per_query.agg(F.count(F.lit(1)).alias("n"), F.count_if(F.col("recall") > 0).alias("n_arrived")).withColumn("share", F.col("n_arrived") / F.col("n"))

@@ -13,7 +13,9 @@ from ..plans.lineage import cut
 from . import graph as G
 from . import truth as T
 
-FOUND = "query_id bigint, shard int, vec_id bigint, dist double, ndc bigint, hops int"
+FOUND = "query_id bigint, shard int, vec_id bigint, dist double, ndc bigint, hops int, us double"
+#: Queries of a block that one task walks, where the whole index is one shard.
+SLICE = 64
 
 
 def entry_centroid(base: DataFrame, metric: str = "cosine") -> int:
@@ -29,7 +31,7 @@ def entry_random(base: DataFrame, seed: int = 0) -> int:
 
 def packed(base: DataFrame, edges: DataFrame, tombstones: DataFrame | None = None) -> DataFrame:
     """(shard, vec_id, vec, nbrs, layers, dead): adjacency and vectors of the index, one row a vector."""
-    sharded = base if "shard" in base.columns else G.with_shards(base)
+    sharded = base if "shard" in base.columns else G.with_shards(base, 1)
     lists = edges.groupBy(F.col("src").alias("vec_id")).agg(F.sort_array(F.collect_set(F.struct("layer", "dst"))).alias("nbrs"))
     rows = sharded.select("shard", "vec_id", "vec").join(lists, "vec_id", "left")
     if tombstones is not None:
@@ -39,89 +41,135 @@ def packed(base: DataFrame, edges: DataFrame, tombstones: DataFrame | None = Non
     return rows.select("shard", "vec_id", "vec", F.transform("nbrs", lambda x: x["dst"]).alias("nbrs"), F.transform("nbrs", lambda x: x["layer"]).alias("layers"), "dead")
 
 
-def _shard_walker(shared, k: int, metric: str, entry: str | int, visited: bool):
-    """Function that unpacks one shard and walks it for every query of a broadcast block."""
+def _shard_walker(shared, k: int, metric: str, entry: str | int, visited: bool, slices: int = 1):
+    """Function that unpacks one shard and walks it for the queries of a broadcast block, or one slice of them."""
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values("vec_id")
+        from time import perf_counter
+
         own = pdf["vec_id"].to_numpy()
-        mat = K.prepare(np.stack(pdf["vec"].to_numpy()), metric)
-        at = {v: i for i, v in enumerate(own.tolist())}
+        by_id = np.argsort(own, kind="stable")
+        own = own[by_id]
+        mat = K.prepare(np.stack(pdf["vec"].to_numpy()[by_id]), metric)
         out: dict[int, list[np.ndarray]] = {}
-        for i, (nbrs, layers) in enumerate(zip(pdf["nbrs"], pdf["layers"], strict=True)):
+        none = np.zeros(0, dtype=np.int64)
+        for i, (nbrs, layers) in enumerate(zip(pdf["nbrs"].to_numpy()[by_id], pdf["layers"].to_numpy()[by_id], strict=True)):
             if nbrs is None:
                 continue
             arr, lay = np.asarray(nbrs), np.asarray(layers)
+            at = np.searchsorted(own, arr)
+            here_too = own[np.minimum(at, len(own) - 1)] == arr
             for layer in np.unique(lay).tolist():
-                lists = out.setdefault(layer, [np.zeros(0, dtype=np.int64)] * len(own))
-                lists[i] = np.array([at[v] for v in arr[lay == layer].tolist() if v in at], dtype=np.int64)
-        zero = out.get(0, [np.zeros(0, dtype=np.int64)] * len(own))
-        dead = pdf["dead"].to_numpy(dtype=bool)
+                out.setdefault(layer, [none] * len(own))[i] = at[here_too & (lay == layer)].astype(np.int64)
+        zero = out.get(0, [none] * len(own))
+        upper = [(out[layer], np.flatnonzero([len(x) > 0 for x in out[layer]])) for layer in sorted((x for x in out if x > 0), reverse=True)]
+        dead = pdf["dead"].to_numpy(dtype=bool)[by_id]
+        hidden = dead if dead.any() else None
         if isinstance(entry, int):
-            start = at.get(entry, 0)
+            start = int(np.searchsorted(own, entry)) if entry in own else 0
         elif entry == "random":
             start = int(np.argmin([hash((v, 7)) for v in own.tolist()]))
         else:
             start = K.medoid(mat, metric)
-        rows = []
         here = int(pdf["shard"].iloc[0])
         q_ids, q, own_beams, routes = shared.value
-        for n, (query_id, vec, width) in enumerate(zip(q_ids.tolist(), q, own_beams, strict=True)):
+        mine = np.arange(len(q_ids)) if slices == 1 else np.arange(int(pdf["slice"].iloc[0]), len(q_ids), slices)
+        n_rows, ids, dist, cost = [], [], [], []
+        for n in mine.tolist():
             if routes is not None and here not in routes[n]:
                 continue
+            vec, began = q[n], perf_counter()
             first, extra = start, 0
-            for layer in sorted((x for x in out if x > 0), reverse=True):
-                top = np.flatnonzero([len(x) > 0 for x in out[layer]])
+            for lists, top in upper:
                 if len(top):
-                    w = K.walk(out[layer], mat, vec, 1, [first if len(out[layer][first]) else int(top[0])], 1, metric)
+                    w = K.walk(lists, mat, vec, 1, [first if len(lists[first]) else int(top[0])], 1, metric)
                     first, extra = int(w.rows[0]), extra + w.ndc
-            w = K.walk(zero, mat, vec, k, [first], width, metric, dead if dead.any() else None)
+            w = K.walk(zero, mat, vec, k, [first], own_beams[n], metric, hidden)
+            took = 1e6 * (perf_counter() - began)
             got = w.seen if visited else w.rows
-            d = K.distances(mat[got], vec, metric)
-            rows.append(pd.DataFrame({"query_id": query_id, "shard": here, "vec_id": own[got], "dist": d, "ndc": w.ndc + extra, "hops": w.hops}))
-        return pd.concat(rows) if rows else pd.DataFrame({c: [] for c in ("query_id", "shard", "vec_id", "dist", "ndc", "hops")})
+            n_rows.append(len(got))
+            ids.append(got)
+            dist.append(K.distances(mat[got], vec, metric) if visited else w.dist)
+            cost.append((q_ids[n], w.ndc + extra, w.hops, took))
+        if not cost:
+            return pd.DataFrame({c: [] for c in ("query_id", "shard", "vec_id", "dist", "ndc", "hops", "us")})
+        whose, ndc, hops, us = (np.repeat(np.array(c), n_rows) for c in zip(*cost, strict=True))
+        return pd.DataFrame({"query_id": whose, "shard": here, "vec_id": own[np.concatenate(ids)], "dist": np.concatenate(dist), "ndc": ndc, "hops": hops, "us": us})
 
     return run
 
 
 def routes(base: DataFrame, queries: DataFrame, probe_shards: int, metric: str = "cosine") -> DataFrame:
     """(query_id, shards): the shards whose mean vectors are nearest to a query."""
-    sharded = base if "shard" in base.columns else G.with_shards(base)
+    sharded = base if "shard" in base.columns else G.with_shards(base, 1)
     cells = sharded.select("shard", F.posexplode("vec").alias("j", "x")).groupBy("shard", "j").agg(F.avg("x").alias("x"))
     means = cells.groupBy("shard").agg(F.transform(F.sort_array(F.collect_list(F.struct("j", "x"))), lambda c: c["x"]).alias("vec"))
     near = T.exact_blocked(means.select(F.col("shard").cast("bigint").alias("vec_id"), "vec"), queries, probe_shards, metric)
     return near.groupBy("query_id").agg(F.collect_set(F.col("vec_id").cast("int")).alias("shards"))
 
 
-def sharded(base: DataFrame, edges: DataFrame, queries: DataFrame, k: int, beam: int, metric: str = "cosine", entry: str | int = "centroid", tombstones: DataFrame | None = None, visited: bool = False, beam_col: str | None = None, probe_shards: int | None = None) -> DataFrame:
-    """(query_id, rank, vec_id, dist, ndc, hops): k nearest of all shards' walks for each query.
+def sharded(base: DataFrame, edges: DataFrame, queries: DataFrame, k: int, beam: int, metric: str = "cosine", entry: str | int = "centroid", tombstones: DataFrame | None = None, visited: bool = False, beam_col: str | None = None, probe_shards: int | None = None, index: DataFrame | None = None, shards: int | None = None) -> DataFrame:
+    """(query_id, rank, vec_id, dist, ndc, hops, us): k nearest of all shards' walks for each query, with evaluations, hops and
+    microseconds of the walks alone.
 
     Query blocks of bounded size are broadcast; each shard is unpacked once for a block and walked
     for each query.  ``visited`` returns every row a walk saw instead of the k best.  ``beam_col`` names a
     column of per-query beams.  ``probe_shards`` walks only the shards whose mean vectors are nearest to a query.
+    ``index`` is a packed index kept from before.  A base without a ``shard`` column is one shard, of which
+    several tasks walk a share of the queries each.  With ``shards`` each shard's answers are kept apart,
+    under the number query_id * shards + shard.
     """
-    index = packed(base, edges, tombstones)
+    index = packed(base, edges, tombstones) if index is None else index
     parts = []
     extra = [beam_col] if beam_col else []
     if probe_shards is not None:
         queries = queries.join(routes(base, queries, probe_shards, metric), "query_id")
         extra.append("shards")
+    context = base.sparkSession.sparkContext
     for ids, vecs, more in T.query_blocks(queries, extra):
         beams = [int(m[0]) for m in more] if beam_col else [beam] * len(ids)
         routed = [frozenset(m[-1]) for m in more] if probe_shards is not None else None
-        shared = base.sparkSession.sparkContext.broadcast((ids, K.prepare(vecs, metric), beams, routed))
-
-        parts.append(index.groupBy("shard").applyInPandas(_shard_walker(shared, k, metric, entry, visited), FOUND))
+        shared = context.broadcast((ids, K.prepare(vecs, metric), beams, routed))
+        slices = 1 if "shard" in base.columns else max(1, min(-(-len(ids) // SLICE), context.defaultParallelism))
+        walker = _shard_walker(shared, k, metric, entry, visited, slices)
+        if slices == 1:
+            parts.append(index.groupBy("shard").applyInPandas(walker, FOUND))
+            continue
+
+        def whole(frames, walker=walker):
+            held = [f for f in frames if len(f)]
+            if held:
+                yield walker(pd.concat(held))
+
+        # one shard: each task gets all of it and a share of the block's queries
+        copies = index.withColumn("slice", F.explode(F.sequence(F.lit(0), F.lit(slices - 1)))).repartitionById(slices, F.col("slice"))
+        parts.append(copies.mapInPandas(whole, FOUND))
     if not parts:
-        return base.sparkSession.createDataFrame([], "query_id bigint, rank int, vec_id bigint, dist double, ndc bigint, hops int")
+        return base.sparkSession.createDataFrame([], "query_id bigint, rank int, vec_id bigint, dist double, ndc bigint, hops int, us double")
     found = parts[0]
     for p in parts[1:]:
         found = found.unionByName(p)
+    if shards is not None:
+        found = found.withColumn("query_id", F.col("query_id") * shards + F.col("shard"))
     order = Window.partitionBy("query_id").orderBy("dist", "vec_id")
-    cost = found.select("query_id", "shard", "ndc", "hops").distinct().groupBy("query_id").agg(F.sum("ndc").alias("ndc"), F.sum("hops").cast("int").alias("hops"))
-    best = found.withColumn("rank", F.row_number().over(order))
-    best = best if visited else best.where(F.col("rank") <= k)
-    return best.select("query_id", "rank", "vec_id", "dist").join(cost, "query_id").select("query_id", "rank", "vec_id", "dist", "ndc", "hops")
+    found = found.withColumn("rank", F.row_number().over(order))
+    # a shard's cost stands on each of its rows; the first one's counts
+    once = F.row_number().over(Window.partitionBy("query_id", "shard").orderBy("rank")) == 1
+    total = Window.partitionBy("query_id")
+    found = found.withColumn("once", once)
+    costs = [F.sum(F.when(F.col("once"), F.col(c)).otherwise(0)).over(total).cast(t).alias(c) for c, t in (("ndc", "bigint"), ("hops", "int"), ("us", "double"))]
+    best = found.select("query_id", "rank", "vec_id", "dist", *costs)
+    return best if visited else best.where(F.col("rank") <= k)
+
+
+def sweep(base: DataFrame, edges: DataFrame, queries: DataFrame, k: int, beams: list[int], metric: str = "cosine", **how) -> DataFrame:
+    """(beam, query_id, rank, ...): ``sharded`` for several beams in one pass over the index."""
+    n = len(beams)
+    asked = queries.select(F.col("query_id").alias("q"), "vec", F.explode(F.sequence(F.lit(0), F.lit(n - 1))).alias("i"))
+    asked = asked.select((F.col("q") * n + F.col("i")).alias("query_id"), "vec", F.get(F.array(*[F.lit(b) for b in beams]), F.col("i")).alias("beam"))
+    found = sharded(base, edges, asked, k, k, metric, beam_col="beam", **how)
+    at = F.get(F.array(*[F.lit(b) for b in beams]), F.pmod("query_id", F.lit(n)).cast("int"))
+    return found.withColumn("beam", at).withColumn("query_id", F.floor(F.col("query_id") / n).cast("bigint"))
 
 
 def rounds(base: DataFrame, edges: DataFrame, queries: DataFrame, k: int, beam: int, entry: int, metric: str = "cosine", max_rounds: int = 200) -> DataFrame:

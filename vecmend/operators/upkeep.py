@@ -64,6 +64,11 @@ def heal(base: DataFrame, edges: DataFrame, dead: DataFrame, passes: list, extra
     return R.run(live, purge(edges, dead), asked, passes, extra_cap, metric, truth=truth, beam=beam)
 
 
+def rebuild(base: DataFrame, history: DataFrame, passes: list, extra_cap: int | None = 48, m: int = 6, ef: int = 100, metric: str = "cosine") -> DataFrame:
+    """Everything anew: the baseline of upkeep."""
+    return R.run(base, R.cut(G.hnsw(base, m, ef, metric)), history, passes, extra_cap, metric)
+
+
 def drift_adapt(base: DataFrame, edges: DataFrame, queries: DataFrame, passes: list, drop_share: float = 0.2, newest: int | None = None, extra_cap: int | None = 48, metric: str = "cosine", seed: int = 0) -> DataFrame:
     """Drop a random share of all extra arcs, then mend with the newest queries (by ``ts``)."""
     kept = edges.where((F.col("kind") == "base") | (V.uniform(F.concat_ws(":", "src", "dst", F.lit(seed))) >= drop_share))
@@ -127,6 +132,37 @@ def hybrid(base: DataFrame, edges: DataFrame, queries: DataFrame, cache: DataFra
     return stored.unionByName(walked)
 
 
+def lookup_times(queries: DataFrame, cache: DataFrame, part_bytes: int = 64 << 20) -> DataFrame:
+    """(n, cache_us): mean microseconds to make a query's key and to find its answer in a dictionary, one a range of keys.
+
+    Queries and answers are dealt by key to as many tasks as keep a dictionary small.
+    """
+    import numpy as np
+    import pandas as pd
+
+    held = cache.agg(F.sum(F.length("vec_canon") + 16 * F.size("ids"))).first()[0] or 0
+    parts = int(held // part_bytes) + 1
+    by = F.pmod(F.xxhash64("key_md5"), F.lit(parts)).alias("part")
+    asked = queries.select(by, F.lit(None).cast("string").alias("key_md5"), "vec", F.lit(None).cast("array<bigint>").alias("ids"))
+    stored = cache.select(by, "key_md5", F.lit(None).cast("array<double>").alias("vec"), "ids")
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        import hashlib
+        from time import perf_counter
+
+        known = pdf["key_md5"].notna().to_numpy()
+        table = dict(zip(pdf["key_md5"][known], pdf["ids"][known], strict=True))
+        vecs = [np.asarray(v) for v in pdf["vec"][~known]]
+        began, found = perf_counter(), 0
+        for v in vecs:
+            key = hashlib.md5(",".join(map(str, np.floor(v * 1e6 + 0.5).astype(np.int64).tolist())).encode()).hexdigest()
+            found += table.get(key) is not None
+        return pd.DataFrame({"n": [len(vecs)], "found": [found], "us": [1e6 * (perf_counter() - began)]})
+
+    rows = asked.unionByName(stored).groupBy("part").applyInPandas(run, "n bigint, found bigint, us double")
+    return rows.agg(F.sum("n").alias("n"), F.sum("found").alias("found"), (F.sum("us") / F.sum("n")).alias("cache_us"))
+
+
 def similarity_bands(test: DataFrame, history: DataFrame, cuts: tuple[float, float] = (0.05, 0.1), metric: str = "cosine") -> DataFrame:
     """(query_id, gap, band): distance to the nearest history query and its band."""
     near = T.exact_blocked(history.select(F.col("query_id").alias("vec_id"), "vec"), test, 1, metric)
@@ -155,13 +191,29 @@ def novelty(old: DataFrame, new: DataFrame, threshold: float, metric: str = "cos
 
 
 def containment(test_truth: DataFrame, history_truth: DataFrame, k: int, wide: int) -> DataFrame:
-    """(test_id, history_id, equal): pairs whose top-k is contained in the other's top-``wide``; equal if in its top-k."""
+    """(test_id, history_id, equal): pairs whose top-k is contained in the other's top-``wide``; equal if in its top-k.
+
+    ``containment_gaps`` adds how far apart the two queries are.
+    """
     t = test_truth.where(F.col("rank") <= k).select(F.col("query_id").alias("test_id"), "vec_id")
     h = history_truth.where(F.col("rank") <= wide).select(F.col("query_id").alias("history_id"), "vec_id", F.col("rank").alias("hr"))
     both = t.join(h, "vec_id").groupBy("test_id", "history_id").agg(F.count(F.lit(1)).alias("n"), F.count_if(F.col("hr") <= k).alias("n_k"))
     return both.where(F.col("n") == k).select("test_id", "history_id", (F.col("n_k") == k).alias("equal"))
 
 
+def containment_gaps(pairs: DataFrame, test: DataFrame, history: DataFrame, metric: str = "cosine") -> DataFrame:
+    """(test_id, history_id, equal, gap): contained pairs with the distance between their queries."""
+    t = test.select(F.col("query_id").alias("test_id"), F.col("vec").alias("tv"))
+    h = history.select(F.col("query_id").alias("history_id"), F.col("vec").alias("hv"))
+    return pairs.join(t, "test_id").join(h, "history_id").select("test_id", "history_id", "equal", V.distance(F.col("tv"), F.col("hv"), metric).alias("gap"))
+
+
+def by_modality(queries: DataFrame, base: DataFrame) -> DataFrame:
+    """(query_id, modality, ood): a query is out of distribution if no base row has its modality."""
+    own = base.select("modality").distinct().withColumn("known", F.lit(True))
+    return queries.join(own, "modality", "left").select("query_id", "modality", F.col("known").isNull().alias("ood"))
+
+
 def ball_union(test: DataFrame, history: DataFrame, history_truth: DataFrame, eps: float, k: int, metric: str = "cosine") -> DataFrame:
     """(query_id, n_history, n_union): history queries within eps of a test query and the size of the union of their top-k."""
     near = T.within(history.select(F.col("query_id").alias("vec_id"), "vec"), test, eps, metric).select("query_id", F.col("vec_id").alias("hist"))

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..operators import mend as M
@@ -40,21 +40,46 @@ def run(
 
     With exact truth the neighbours of all history are computed once, before any mending; with truth ``index`` they come from
     walks with a wide beam.  Lineage is cut after each batch.
+
+    A base with a ``shard`` column is mended shard by shard in the same plans: a query stands once for each shard, with the number
+    query_id * shards + shard, beside its neighbours in that shard; arcs stay within shards.
     """
-    ordered = cut(history.withColumn("n", F.row_number().over(Window.orderBy("query_id")) - 1)) if batch else history
-    batches = range(0, ordered.count(), batch) if batch else [None]
+    shards = T.shard_count(base)
+    ordered, n_history = numbered(history) if batch else (None, 0)
+    batches, size = range(0, n_history, batch) if batch else [None], base.count()
+    near, widest = None, max((min(p.max_rank, size) for p in passes), default=0)
+    asked = history if shards is None else T.per_shard(history, shards)
+    whose = F.col("query_id") if shards is None else F.floor(F.col("query_id") / shards).cast("bigint")
     for p in passes:
-        near = cut(truth_of(base, edges, history, min(p.max_rank, base.count()), metric, truth, beam))
+        # the exact neighbours do not depend on the graph, so the widest pass's serve all
+        if truth == "exact":
+            near = near if near is not None else cut(T.exact_blocked(base, history, widest, metric) if shards is None else T.exact_shards(base, history, widest, shards, metric))
+        else:
+            near = cut(S.sharded(base, edges, history, min(p.max_rank, size), beam, metric, shards=shards).select("query_id", "rank", "vec_id", "dist"))
         for start in batches:
-            own = near if start is None else near.join(ordered.where((F.col("n") >= start) & (F.col("n") < start + batch)).select("query_id"), "query_id", "left_semi")
+            own = near
+            if start is not None:
+                now = ordered.where((F.col("n") >= start) & (F.col("n") < start + batch)).select(F.col("query_id").alias("now"))
+                own = near.join(now, whose == F.col("now"), "left_semi")
             proposals = M.vicinity(own, edges, base, p.n_near, p.reach_cap, p.max_rank, metric, method)
-            edges = cut(M.admit(edges, proposals, extra_cap, policy))
+            edges = cut(M.admit(edges, proposals, extra_cap, policy, base=base, metric=metric))
         if p.approach:
-            edges = M.approach(base, edges, history, near, p.n_near, p.reach_cap, extra_cap, metric, mode)
+            edges = M.approach(base, edges, asked, near, p.n_near, p.n_near, extra_cap, metric, mode)
     return edges
 
 
-def truth_of(base: DataFrame, edges: DataFrame, queries: DataFrame, k: int, metric: str = "cosine", truth: str = "exact", beam: int = 800) -> DataFrame:
-    if truth == "exact":
-        return T.exact_blocked(base, queries, k, metric)
-    return S.sharded(base, edges, queries, k, beam, metric).select("query_id", "rank", "vec_id", "dist")
+def numbered(queries: DataFrame) -> tuple[DataFrame, int]:
+    """(query_id, n) and the count: places in the order of query_id, from 0.
+
+    Ranges of ids are sorted apart, and shifted by the counts of the ranges before them, one number a partition.
+    """
+    ranges = cut(queries.select("query_id").repartitionByRange("query_id").sortWithinPartitions("query_id").select("query_id", F.monotonically_increasing_id().alias("at")))
+    part, place = F.shiftright("at", 33), F.col("at").bitwiseAND(F.lit((1 << 33) - 1))
+    counts = {r["p"]: r["n"] for r in ranges.groupBy(part.alias("p")).agg(F.count(F.lit(1)).alias("n")).collect()}
+    before, total = {}, 0
+    for p in sorted(counts):
+        before[p], total = total, total + counts[p]
+    if not before:
+        return ranges.select("query_id", place.alias("n")), 0
+    shift = F.element_at(F.create_map(*[F.lit(x).cast("bigint") for pair in before.items() for x in pair]), part)
+    return ranges.select("query_id", (place + shift).alias("n")), total
