@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 
@@ -17,6 +17,15 @@ def recall(results: DataFrame, truth: DataFrame, k: int) -> float:
     return recall_by_query(results, truth, k).agg(F.avg("recall")).first()[0] or 0.0
 
 
+#: Distances up to here are zero but for rounding.
+ZERO = 1e-12
+
+
+def distance_error(answer: Column, true: Column) -> Column:
+    """Answer distance over true distance, less one; 0 where both are zero, null where only the true one is, or where it is negative."""
+    return F.when(true > ZERO, answer / true - 1).when((F.abs(true) <= ZERO) & (F.abs(answer) <= ZERO), F.lit(0.0))
+
+
 def rderr(results: DataFrame, truth: DataFrame, k: int) -> DataFrame:
     """(query_id, rderr): mean over ranks of answer distance over true distance, less one.
 
@@ -25,7 +34,7 @@ def rderr(results: DataFrame, truth: DataFrame, k: int) -> DataFrame:
     """
     a = results.where(F.col("rank") <= k).select("query_id", "rank", F.col("dist").alias("a"))
     t = truth.where(F.col("rank") <= k).select("query_id", "rank", F.col("dist").alias("t"))
-    e = F.when(F.col("t") > 0, F.col("a") / F.col("t") - 1).when((F.col("t") == 0) & (F.col("a") == 0), F.lit(0.0))
+    e = distance_error(F.col("a"), F.col("t"))
     return t.join(a, ["query_id", "rank"], "left").groupBy("query_id").agg(F.when(F.count("a") == F.count(F.lit(1)), F.avg(e)).alias("rderr"))
 
 

@@ -52,7 +52,7 @@ def curve(name: str, base: DataFrame, edges: DataFrame, test: DataFrame, truth:
         found = cut(found)
         hit = found.select("beam", "query_id", "vec_id", F.lit(1).alias("hit"))
         at_rank = found.select("beam", "query_id", "rank", F.col("dist").alias("a"))
-        gap = F.when(F.col("t") > 0, F.col("a") / F.col("t") - 1).when((F.col("t") == 0) & (F.col("a") == 0), F.lit(0.0))
+        gap = E.distance_error(F.col("a"), F.col("t"))
         row = want.join(hit, ["beam", "query_id", "vec_id"], "left").join(at_rank, ["beam", "query_id", "rank"], "left").groupBy("beam", "query_id").agg(
             F.avg(F.coalesce("hit", F.lit(0))).alias("recall"), F.when(F.count("a") == F.count(F.lit(1)), F.avg(gap)).alias("rderr")
         )
