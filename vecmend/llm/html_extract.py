@@ -1,13 +1,14 @@
-"""Main text of web pages by a site style tree and declared roles.
+"""Main text of web pages by a site style tree, with declared roles as prior.
 
 Pages of one host are merged into a tree: nodes are element paths with their
 class names.  For each node, the entropy of its presentation styles (child tag sequences)
 and of its contents over the host's distinct pages gives its importance; both
 are weighted by how many styles the node shows.  Branches of low
-importance are cut from each page.  Elements that declare themselves to be navigation,
-advert, comment, form and so on are cut too, and a declared main part
-(``article``, ``main``) is never cut for low importance, since copies of one article
-on a host would look like furniture.
+importance are cut from each page.  Roles are the prior: elements that declare themselves to be navigation,
+advert, comment, form and so on go, and a declared main part (``article``, ``main``) stays even where
+importance is low, since copies of one article on a host would look like furniture.  Everything else
+is for the tree to decide.  On a host with a single page there is no tree; there a
+declared main part that holds most of the page's text stands alone.
 """
 
 from __future__ import annotations
@@ -22,8 +23,8 @@ from pyspark.sql import functions as F
 
 from .common import durable, in_slices
 
-#: Weight of a single style, least importance that is kept, and distinct pages a node needs to be judged.
-GAMMA, LEAST, MIN_PAGES = 0.9, 0.25, 8
+#: Weight of a single style, least importance that is kept, and distinct pages below which entropy is not defined.
+GAMMA, LEAST, MIN_PAGES = 0.9, 0.25, 2
 
 # HTML element classes and naming habits.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
@@ -40,6 +41,8 @@ NOISE_NAMES = frozenset(
     "share sharing social comment comments commentlist disqus replies respond related recommended recommendations toolbar pagination pager copyright masthead topbar alert widget tags".split()
 )
 HEADER_NAMES = frozenset("header head top".split())
+#: Before a noise name they say that the element lies beside such a part, or has none.
+NOT_ITSELF = frozenset("no not non has have with without hide hides show shows".split())
 CLOSES = {
     "li": ("li",), "dt": ("dt", "dd"), "dd": ("dt", "dd"), "tr": ("tr", "td", "th"), "td": ("td", "th"), "th": ("td", "th"), "option": ("option",),
     "tbody": ("thead", "tbody", "tr", "td", "th"), "tfoot": ("tbody", "tr", "td", "th"),
@@ -67,10 +70,19 @@ def _attributes(raw: str) -> dict[str, str]:
     return {m[1].lower(): html_lib.unescape(m[2] or m[3] or m[4] or "") for m in ATTRIBUTE.finditer(raw)}
 
 
+def _names(value: str) -> set[str]:
+    """Words of class names and ids, without those that a word like ``no`` or ``has`` refers to."""
+    out = set()
+    for token in value.split():
+        words = [n.lower() for n in NAME.findall(token)]
+        out.update(w for i, w in enumerate(words) if not (i and words[i - 1] in NOT_ITSELF))
+    return out
+
+
 def _declared(tag: str, attributes: dict[str, str], inside_main: bool) -> tuple[bool, bool]:
     """Whether an element declares itself to be furniture, and to be the main part."""
     role = attributes.get("role", "").lower()
-    names = {n.lower() for key in ("class", "id") for n in NAME.findall(attributes.get(key, ""))}
+    names = _names(attributes.get("class", "")) | _names(attributes.get("id", ""))
     main = tag in ("article", "main") or role in ("main", "article") or attributes.get("itemprop", "").lower() == "articlebody"
     noise = tag in NOISE_TAGS or role in NOISE_ROLES or bool(names & NOISE_NAMES) or "hidden" in attributes or attributes.get("aria-hidden", "").lower() == "true"
     noise = noise or bool(re.search(r"display\s*:\s*none|visibility\s*:\s*hidden", attributes.get("style", "").lower()))
@@ -164,7 +176,7 @@ def parse(page: str, known: dict | None = None) -> tuple[list[tuple[str, bool, b
                         break
         if tag in ("br", "hr", "wbr", "img"):
             pending.append(" " if tag != "wbr" else "")
-        if tag in RAW:
+        if tag in RAW and not (tag in ("svg", "math") and (raw or raw_odd or "").endswith("/")):
             end = re.compile(rf"</{re.escape(tag)}\s*>", re.I).search(page, at)
             at = end.end() if end else len(page)
             continue
@@ -185,17 +197,19 @@ def parse(page: str, known: dict | None = None) -> tuple[list[tuple[str, bool, b
     return blocks, [(e.path, ",".join(e.children), e.start, e.end) for e in nodes]
 
 
-def main_text(blocks: list[tuple[str, bool, bool, str]], low: set[str]) -> str:
-    """Blocks of the declared main part; without one, all blocks but furniture and low-importance branches.
+def main_text(blocks: list[tuple[str, bool, bool, str]], low: set[str] | None) -> str:
+    """Blocks without furniture and without branches of low importance (``low``; None on hosts without a tree).
 
     If low importance would take everything, it takes nothing.
     """
-    declared = [text for _, noise, main, text in blocks if main and not noise]
-    if declared:
-        return "\n\n".join(declared)
-    rest = [(path, text) for path, noise, _, text in blocks if not noise]
-    kept = [text for path, text in rest if not any(path == x or path.startswith(f"{x}/") for x in low)]
-    return "\n\n".join(kept or [text for _, text in rest])
+    rest = [(path, main, text) for path, noise, main, text in blocks if not noise]
+    if low is None:
+        declared = [text for _, main, text in rest if main]
+        whole = sum(len(text) for _, _, text in rest)
+        kept = declared if 2 * sum(map(len, declared)) >= whole else []
+    else:
+        kept = [text for path, main, text in rest if main or not any(path == x or path.startswith(f"{x}/") for x in low)]
+    return "\n\n".join(kept or [text for _, _, text in rest])
 
 
 def _host(url: F.Column) -> F.Column:
@@ -258,12 +272,13 @@ def extract(pages: DataFrame, least: float = LEAST) -> DataFrame:
     """Per page row: page_id, url, text, n_chars.
 
     Null or empty html gives the empty text.  A page without a host in its url
-    is judged by its own declarations.  Repeated rows give repeated results.
+    is judged by its own declarations.  An unclosed script or style takes the rest of its page, as in a browser.
+    Repeated rows give repeated results, an empty table an empty one, and other columns are ignored.
     """
-    tree = style_tree(pages).where(F.col("importance") < least)
+    tree = style_tree(pages)
     # paths of one host's template, few beside its pages; a table of checked size goes to the pages, and beyond that
     # size a host's pages are dealt to several tasks, so that no task gets all pages of a hot host
-    low = durable(tree.groupBy("host").agg(F.sort_array(F.collect_set("path")).alias("low")))
+    low = durable(tree.groupBy("host").agg(F.sort_array(F.collect_set(F.when(F.col("importance") < least, F.col("path")))).alias("low")))
     held = low.agg(F.sum(F.length("host") + F.aggregate("low", F.lit(0), lambda n, x: n + F.length(x) + 8))).first()[0] or 0
     source = pages.select("page_id", "url", "html", _host(F.col("url")).alias("host"))
     if held <= BROADCAST_BYTES:
@@ -278,7 +293,7 @@ def extract(pages: DataFrame, least: float = LEAST) -> DataFrame:
         for batch in batches:
             for i in range(0, batch.num_rows, 256):
                 part = batch.slice(i, 256)
-                texts = [main_text(parse(page or "", known)[0], set(low or ())) for page, low in zip(part.column(2).to_pylist(), part.column(3).to_pylist(), strict=True)]
+                texts = [main_text(parse(page or "", known)[0], None if low is None else set(low)) for page, low in zip(part.column(2).to_pylist(), part.column(3).to_pylist(), strict=True)]
                 yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], names=["page_id", "url", "text", "n_chars"])
 
     kinds = dict(pages.dtypes)
