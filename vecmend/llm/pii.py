@@ -1,13 +1,13 @@
 """Personal data by bootstrapped contextual extraction, in DataFrame expressions only.
 
-Seeds are the spans of four strict patterns.  The words before seeds become
-lexical patterns.  Identifier-like digit strings that no strict pattern accepts are
-candidates.  Patterns and distinct instances form a bipartite graph;
+Seeds are the spans of four strict patterns.  The words around seeds become
+lexical patterns: the word before, the word after, and both.  Identifier-like strings that no strict pattern accepts are
+candidates: strings of digits (phones and cards), addresses without a full domain or with a spelled-out sign (emails), and
+groups of hexadecimal digits (ips of the longer kind).  Patterns and distinct instances form a bipartite graph;
 in each round a pattern is scored by its known instances against those that contradict
 it, an instance by the patterns it stands in, and instances over the threshold are
 known from then on, until no more are found.  Candidates under a pattern of high
-confidence are the discovered spans.  Only digit strings are candidates, so phones (8 to 15
-digits) and cards (12 to 19) can be discovered, and emails and addresses cannot.
+confidence are the discovered spans.
 """
 
 from __future__ import annotations
@@ -27,8 +27,13 @@ PATTERNS = {
     "phone": r"\+[0-9][ ().0-9-]+[0-9]",
 }
 IP_PART = r"0*(?:25[0-5]|2[0-4][0-9]|1?[0-9]?[0-9])"
-#: Digit strings of 8 to 19 digits, as candidates for discovery.
-CANDIDATE = r"(?<![A-Za-z0-9+.])[0-9](?:[ .-]?[0-9]){7,18}+(?![A-Za-z0-9])"
+#: Candidates for discovery, with a text that they cannot do without (null: none): strings of 8 to 19 digits, addresses with
+#: any sign and domain, and four groups or more of up to four hexadecimal digits.
+CANDIDATES = (
+    (r"(?<![A-Za-z0-9+.])[0-9](?:[ .-]?[0-9]){7,18}+(?![A-Za-z0-9])", None),
+    (r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]++ ?(?:@|[(\[]at[)\]]) ?[A-Za-z0-9-]++(?: ?(?:\.|[(\[]dot[)\]]) ?[A-Za-z0-9-]++)*+", "@|[(\\[]at[)\\]]"),
+    (r"(?<![A-Za-z0-9:])[0-9A-Fa-f]{1,4}+(?:::?[0-9A-Fa-f]{1,4}){3,7}+(?![A-Za-z0-9:])", ":[0-9A-Fa-f]+:[0-9A-Fa-f]*:"),
+)
 
 MIN_SEEDS = 5
 MIN_CONFIDENCE = 0.9
@@ -106,17 +111,33 @@ def spans_text(spans: Column) -> Column:
 
 
 def _with_context(text: Column, spans: Column) -> Column:
-    """Spans with their value and the normalised word before them."""
+    """Spans with their value and the patterns around them: ``< word`` before, ``> word`` after, and both."""
+
+    def bare(word: Column) -> Column:
+        return F.lower(F.regexp_replace(word, r"[#*$%&|<>,.;:()\"]+", ""))
 
     def one(s: Column) -> Column:
         before = F.substring(text, F.greatest(s["start"] - 39, F.lit(1)), F.least(s["start"], F.lit(40)))
-        word = F.lower(F.regexp_extract(before, r"([^ \x09-\x0D]+)[ \x09-\x0D]*$", 1))
+        left = bare(F.regexp_extract(before, r"([^ \x09-\x0D]+)[ \x09-\x0D]*$", 1))
+        right = bare(F.regexp_extract(F.substring(text, s["end"] + 1, F.lit(40)), r"^[ \x09-\x0D]*([^ \x09-\x0D]+)", 1))
         value = F.substring(text, s["start"] + 1, s["end"] - s["start"])
-        return F.struct(s["start"].alias("start"), s["end"].alias("end"), s["kind"].alias("kind"), value.alias("value"), F.regexp_replace(word, r"[#*$%&|<>,.;:()\"]+", "").alias("word"))
+        around = F.array(
+            F.when(left != "", F.concat(F.lit("< "), left)), F.when(right != "", F.concat(F.lit("> "), right)),
+            F.when((left != "") & (right != ""), F.concat(F.lit("< "), left, F.lit(" > "), right)),
+        )
+        return F.struct(s["start"].alias("start"), s["end"].alias("end"), s["kind"].alias("kind"), value.alias("value"), F.array_compact(around).alias("words"))
 
     return F.transform(spans, one)
 
 
+def _candidates(text: Column) -> Column:
+    parts = []
+    for pattern, needs in CANDIDATES:
+        own = _spans(text, -1, pattern, lambda x: F.lit(True))
+        parts.append(own if needs is None else F.when(text.rlike(needs), own).otherwise(_none()))
+    return F.concat(*parts)
+
+
 def scan(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, text_key, base, seeds, candidates) of each row.
 
@@ -124,45 +145,43 @@ def scan(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataF
     """
     text = F.coalesce(F.col(text_col), F.lit(""))
     src = df.select(F.col(id_col).alias("doc_id"), text.alias("text"))
-    src = src.select("doc_id", F.xxhash64("text").alias("text_key"), "text", seed_spans(F.col("text")).alias("base"), _spans(F.col("text"), -1, CANDIDATE, lambda x: F.lit(True)).alias("raw"))
+    src = src.select("doc_id", F.xxhash64("text").alias("text_key"), "text", seed_spans(F.col("text")).alias("base"), _candidates(F.col("text")).alias("raw"))
     free = F.filter("raw", lambda c: ~F.exists("base", lambda b: (b["start"] < c["end"]) & (c["start"] < b["end"])))
     return src.select("doc_id", "text_key", "base", _with_context(F.col("text"), F.col("base")).alias("seeds"), _with_context(F.col("text"), free).alias("candidates"))
 
 
 def _fits(kind: Column, value: Column) -> Column:
-    """Whether a digit string could be of a kind at all."""
-    n = F.length(_digits(value))
-    return ((kind == KINDS.index("phone")) & n.between(8, 15)) | ((kind == KINDS.index("card")) & n.between(12, 19))
+    """Whether a candidate could be of a kind at all."""
+    n, digits = F.length(_digits(value)), value.rlike("^[0-9 .-]+$")
+    shapes = {"email": value.rlike("@|at[)\\]]"), "ip": value.rlike(":"), "card": digits & n.between(12, 19), "phone": digits & n.between(8, 15)}
+    return F.coalesce(*[F.when(kind == i, shapes[k]) for i, k in enumerate(KINDS)], F.lit(False))
 
 
 def discover(scanned: DataFrame, min_seeds: int = MIN_SEEDS, min_confidence: float = MIN_CONFIDENCE) -> DataFrame:
     """(doc_id, text_key, start, end, kind) of candidates under trusted patterns.
 
-    The graph holds distinct (word, value) pairs, so copies of a document add
-    nothing.  A pattern is a word with a kind; it needs ``min_seeds``
+    The graph holds distinct (pattern, value) pairs, so copies of a document add
+    nothing.  A pattern has a kind; it needs ``min_seeds``
     distinct known values.  Its confidence is the smoothed share of these among them and
-    its contradicting values: those known as another kind that digits can be, and unknown
-    ones that could not be of the kind.  Unknown values that could be say nothing, and nor do
-    emails and addresses.  A value's confidence is the noisy-or over its patterns.
+    its contradicting values: those known as another kind, and unknown
+    ones that could not be of the kind.  Unknown values that could be say nothing.  A value's confidence is the
+    noisy-or over its patterns; the kind with the best pattern counts.
     """
-    rows = scanned.select("doc_id", "text_key", F.explode(F.concat("seeds", "candidates")).alias("x")).select("doc_id", "text_key", "x.*").where(F.col("word") != "")
+    rows = scanned.select("doc_id", "text_key", F.explode(F.concat("seeds", "candidates")).alias("x")).select("doc_id", "text_key", "x.*").withColumn("word", F.explode("words")).drop("words")
     graph = durable(rows.groupBy("word", "value").agg(F.max("kind").alias("kind")))
     known, n_known = graph, graph.where("kind >= 0").count()
-    digits = F.array(*[F.lit(KINDS.index(k)) for k in ("card", "phone")])
+    numbers = range(len(KINDS))
     while True:
-        kinds = known.where(F.array_contains(digits, F.col("kind"))).groupBy("word", F.col("kind").alias("as_kind")).agg(F.count(F.lit(1)).alias("n_known")).where(F.col("n_known") >= min_seeds)
-        against = [F.count_if((F.col("kind") != k) & F.when(F.col("kind") >= 0, F.array_contains(digits, F.col("kind"))).otherwise(~_fits(F.lit(k), F.col("value")))).alias(f"against_{k}") for k in (KINDS.index("card"), KINDS.index("phone"))]
-        totals = known.groupBy("word").agg(*against)
-        contrary = F.when(F.col("as_kind") == KINDS.index("card"), F.col(f"against_{KINDS.index('card')}")).otherwise(F.col(f"against_{KINDS.index('phone')}"))
-        trusted = (
-            kinds.join(totals, "word").withColumn("confidence", (F.col("n_known") + 0.5) / (F.col("n_known") + contrary + 1)).where(F.col("confidence") >= min_confidence)
-            .select("word", "as_kind", "confidence")
-        )
-        trusted = durable(trusted)
+        own = [F.count_if(F.col("kind") == k).alias(f"known_{k}") for k in numbers]
+        against = [F.count_if((F.col("kind") != k) & ((F.col("kind") >= 0) | ~_fits(F.lit(k), F.col("value")))).alias(f"against_{k}") for k in numbers]
+        totals = known.groupBy("word").agg(*own, *against)
+        each = F.array(*[F.struct(F.lit(k).alias("as_kind"), F.col(f"known_{k}").alias("n"), F.col(f"against_{k}").alias("contrary")) for k in numbers])
+        scored = totals.select("word", F.explode(each).alias("k")).select("word", "k.*").where(F.col("n") >= min_seeds)
+        trusted = durable(scored.withColumn("confidence", (F.col("n") + 0.5) / (F.col("n") + F.col("contrary") + 1)).where(F.col("confidence") >= min_confidence).select("word", "as_kind", "confidence"))
         scores = (
             graph.where(F.col("kind") < 0).join(trusted, "word").where(_fits(F.col("as_kind"), F.col("value")))
             .groupBy("value", "as_kind").agg((1 - F.exp(F.sum(F.log1p(-F.least("confidence", F.lit(0.999)))))).alias("score")).where(F.col("score") >= min_confidence)
-            .groupBy("value").agg(F.max_by("as_kind", "score").alias("new_kind"))
+            .groupBy("value").agg(F.max_by("as_kind", F.struct("score", "as_kind")).alias("new_kind"))
         )
         # what is known stays known, so the rounds end
         known = durable(known.join(scores, "value", "left").select("word", "value", F.when(F.col("kind") >= 0, F.col("kind")).otherwise(F.coalesce("new_kind", F.lit(-1))).alias("kind")))
@@ -170,7 +189,7 @@ def discover(scanned: DataFrame, min_seeds: int = MIN_SEEDS, min_confidence: flo
         if n_known == before:
             break
     found = rows.where(F.col("kind") < 0).join(trusted, "word").where(_fits(F.col("as_kind"), F.col("value")))
-    return found.select("doc_id", "text_key", "start", "end", F.col("as_kind").alias("kind")).distinct()
+    return found.groupBy("doc_id", "text_key", "start", "end").agg(F.max_by("as_kind", F.struct("confidence", "as_kind")).alias("kind"))
 
 
 def find_personal_data(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
