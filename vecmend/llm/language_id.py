@@ -5,16 +5,16 @@
 2. Markup: the language a page or record declares, through a confusion table
    that is estimated by grouped aggregation over the whole corpus.
 3. Address suffix: the last label of the host name, same kind of table.
-4. Host: a prior from the host's own documents, smoothed towards its parent
-   domain and that towards the corpus (two-level Dirichlet).
+4. Host: a prior from the host's own rows, smoothed towards the domain above it,
+   that towards the registered domain, and that towards the corpus (Dirichlet at each level).
 
 A document is rejected if its text has no letters or its best posterior stays
-under ``min_posterior``.
+under ``min_posterior``.  The label that the text model is fitted on is never evidence
+for the rows judged, unless the caller names it as a declaration.
 """
 
 from __future__ import annotations
 
-import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -53,11 +53,15 @@ def fit_text_model(labelled: DataFrame, label_col: str = "lang", text_col: str =
     Fitted on the ``fit_rows`` rows with the smallest id hashes; counted on the
     executors, so that only one table of fixed size comes to the driver.
     """
-    sample = (
-        labelled.where(F.col(label_col).isNotNull() & F.col(text_col).isNotNull())
-        .select(F.col(label_col).cast("string").alias("label"), F.col(text_col).alias("text"), F.xxhash64(F.col(id_col), F.lit(17)).alias("order"))
-        .orderBy("order", "label", "text").limit(fit_rows)
+    rows = labelled.where(F.col(label_col).isNotNull() & F.col(text_col).isNotNull()).select(
+        F.col(label_col).cast("string").alias("label"), F.col(text_col).alias("text"), F.xxhash64(F.col(id_col), F.col(label_col), F.col(text_col)).alias("order")
     )
+    # only hashes are sorted; rows that tie at the last one are equal rows
+    least = rows.select("order").orderBy("order").limit(fit_rows).agg(F.max("order").alias("last"), F.count(F.lit(1)).alias("n"), F.array_agg("order").alias("all")).first()
+    if not least["n"]:
+        return {}
+    tied = sum(x == least["last"] for x in least["all"])
+    sample = rows.where(F.col("order") < least["last"]).union(rows.where(F.col("order") == least["last"]).limit(tied))
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         totals: dict[str, np.ndarray] = {}
@@ -103,11 +107,17 @@ def _best(languages: list[str], scores: Column) -> Column:
     return F.get(F.array(*[F.lit(x) for x in languages]), (F.array_position(scores, F.array_max(scores)) - 1).cast("int"))
 
 
-def _log_table(counts: dict[tuple[str | None, str], int], languages: list[str], smooth: float) -> dict[str, list[float]]:
-    """log p(seen value | language) with additive smoothing, by seen value."""
-    seen = sorted({v for v, _ in counts if v is not None})
-    total = {x: sum(n for (v, y), n in counts.items() if v is not None and y == x) for x in languages}
-    return {v: [math.log((counts.get((v, x), 0) + smooth) / (total[x] + smooth * (len(seen) + 1))) for x in languages] for v in seen}
+def _joined(rows: DataFrame, table: DataFrame, key: str, width: int) -> DataFrame:
+    """Rows with the table's columns for their ``key``.
+
+    A table of checked size goes to the rows; beyond it, a key's rows are dealt to several tasks.
+    """
+    table = durable(table)
+    held = table.agg(F.sum(F.length(key) + 16 + 8 * width)).first()[0] or 0
+    if held <= BROADCAST_BYTES:
+        return rows.join(F.broadcast(table), key, "left")
+    parts = F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(HOST_PARTS - 1).cast("bigint")))
+    return rows.withColumn("part", F.pmod(F.xxhash64("id", "letters"), F.lit(HOST_PARTS))).join(table.withColumn("part", parts), [key, "part"], "left").drop("part")
 
 
 def identify(
@@ -115,7 +125,7 @@ def identify(
     model: dict[str, np.ndarray],
     id_col: str = "doc_id",
     text_col: str = "text",
-    declared_col: str | None = "lang",
+    declared_col: str | None = None,
     host_col: str | None = "source",
     url_col: str | None = None,
     min_posterior: float = MIN_POSTERIOR,
@@ -123,66 +133,60 @@ def identify(
 ) -> DataFrame:
     """Per row: id_col, language, posterior, letters, accepted.
 
-    The corpus-wide tables are grouped sums over languages, declared values (cut
-    to five letters of a tag), and suffixes; host counts stay distributed and
-    are joined back (Spark splits a hot host).  Null evidence is left out of the product.  A null or
+    ``declared_col`` holds declared languages (tags are cut to their first part), ``url_col`` addresses, which
+    give the suffix and, where ``host_col`` is None, the host.  The tables of declared values, suffixes and hosts stay
+    distributed and are joined back; corpus counts are one row.  Null evidence is left out of the product.  A null or
     letterless text has language null and is rejected; with an empty model
-    every row is.  Repeated rows give repeated results.
+    every row is.  Repeated rows give repeated results, an empty table an empty one; other columns are ignored.
     """
     languages = list(model)
+    width, none = len(languages), F.lit(None).cast("string")
+    address = F.lower(F.regexp_extract(F.col(url_col), r"^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/?#@]*@)?([^/?#:]+)", 1)) if url_col else none
     evidence = df.select(
         F.col(id_col).alias("id"), F.col(text_col).alias("text"),
-        (F.regexp_extract(F.lower(F.col(declared_col).cast("string")), "^[a-z]{2,3}", 0) if declared_col else F.lit(None).cast("string")).alias("declared"),
-        (F.col(host_col).cast("string") if host_col else F.lit(None).cast("string")).alias("host"),
-        (F.lower(F.regexp_extract(F.col(url_col), r"^[a-zA-Z]+://[^/?#]*\.([A-Za-z]+)(?:[:/?#]|$)", 1)) if url_col else F.lit(None).cast("string")).alias("suffix"),
-    ).withColumns({"declared": F.nullif("declared", F.lit("")), "suffix": F.nullif("suffix", F.lit(""))})
+        (F.regexp_extract(F.lower(F.col(declared_col).cast("string")), "^[a-z]{2,3}", 0) if declared_col else none).alias("declared"),
+        (F.col(host_col).cast("string") if host_col else address).alias("host"),
+        F.regexp_extract(address, r"\.([a-z]+)$", 1).alias("suffix"),
+    ).withColumns({c: F.nullif(c, F.lit("")) for c in ("declared", "host", "suffix")})
     scored = text_scores(evidence, model, ["id", "declared", "host", "suffix"])
     if not languages:
         return scored.select(F.col("id").alias(id_col), F.lit(None).cast("string").alias("language"), F.lit(0.0).alias("posterior"), "letters", F.lit(False).alias("accepted"))
     scored = durable(scored.withColumn("guess", F.when(F.col("letters") > 0, _best(languages, F.col("scores")))))
-
     usable = scored.where(F.col("guess").isNotNull())
-    tables: dict[str, dict[str, list[float]]] = {}
-    for name in ("declared", "suffix"):
-        # values of rare tags are pooled, so that the table that comes to the driver is bounded
-        top = usable.groupBy(name, "guess").count().orderBy(F.desc("count"), name, "guess").limit(5000).collect()
-        tables[name] = _log_table({(r[name], r["guess"]): r["count"] for r in top}, languages, 1.0)
-    totals = {r["guess"]: r["count"] for r in usable.groupBy("guess").count().collect()}
-    everything = sum(totals.values())
-    corpus = [(totals.get(x, 0) + 1.0) / (everything + len(languages)) for x in languages]
+    each = [F.sum((F.col("guess") == x).cast("double")) for x in languages]
+    totals = usable.agg(*each).first()
+    corpus = [((n or 0) + 1.0) / (sum(x or 0 for x in totals) + width) for n in totals]
+    base = F.array(*[F.lit(p) for p in corpus])
 
     def counts_by(column: str) -> DataFrame:
-        return usable.groupBy(column).agg(F.array(*[F.sum((F.col("guess") == x).cast("double")) for x in languages]).alias(f"{column}_counts"))
+        return usable.where(F.col(column).isNotNull()).groupBy(column).agg(F.array(*each).alias("n"))
+
+    fused = scored.withColumn("joint", F.col("scores"))
+    for column, given in (("declared", declared_col), ("suffix", url_col)):
+        if not given:
+            continue
+        # log p(value | language), additively smoothed over the values seen
+        counts = counts_by(column)
+        seen = counts.agg(F.count(F.lit(1)), *[F.sum(F.get("n", F.lit(i))) for i in range(width)]).first()
+        table = counts.select(column, F.array(*[F.log((F.get("n", F.lit(i)) + 1.0) / ((seen[i + 1] or 0) + seen[0] + 1.0)) for i in range(width)]).alias("likely"))
+        fused = _joined(fused, table, column, width)
+        fused = fused.withColumn("joint", F.when(F.col("likely").isNull(), F.col("joint")).otherwise(F.zip_with("joint", "likely", lambda a, b: a + b))).drop("likely")
 
     def smoothed(counts: Column, above: Column) -> Column:
         total = F.aggregate(counts, F.lit(0.0), lambda a, x: a + x)
         return F.zip_with(counts, above, lambda n, p: (n + strength * p) / (total + strength))
 
-    base = F.array(*[F.lit(p) for p in corpus])
-    parent = F.regexp_extract("host", r"[^.]+\.[^.]+$", 0)
-    hosts = counts_by("host").where(F.col("host").isNotNull()).withColumn("parent", F.when(parent != "", parent).otherwise(F.col("host")))
-    parents = hosts.groupBy("parent").agg(F.array(*[F.sum(F.get("host_counts", F.lit(i))) for i in range(len(languages))]).alias("parent_counts"))
-    prior = hosts.join(parents, "parent").select("host", smoothed(F.col("host_counts"), smoothed(F.col("parent_counts"), base)).alias("prior"))
-
-    def looked_up(name: str) -> Column:
-        rows = tables[name]
-        none = F.array(*[F.lit(0.0)] * len(languages))
-        if not rows:
-            return none
-        table = F.create_map(*[y for k, v in rows.items() for y in (F.lit(k), F.array(*[F.lit(p) for p in v]))])
-        return F.coalesce(F.try_element_at(table, F.col(name)), none)
-
-    # one row a host: a table of checked size goes to the rows, and beyond it a host's rows are dealt to several tasks
-    prior = durable(prior)
-    held = prior.agg(F.sum(F.length("host") + 16 + 8 * len(languages))).first()[0] or 0
-    if held <= BROADCAST_BYTES:
-        fused = scored.join(F.broadcast(prior), "host", "left")
-    else:
-        parts = F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(HOST_PARTS - 1).cast("bigint")))
-        fused = scored.withColumn("part", F.pmod(F.xxhash64("id", "letters"), F.lit(HOST_PARTS))).join(prior.withColumn("part", parts), ["host", "part"], "left")
-    fused = fused.withColumn("prior", F.coalesce("prior", base))
-    total = F.zip_with(F.zip_with("scores", looked_up("declared"), lambda a, b: a + b), F.zip_with(looked_up("suffix"), "prior", lambda a, p: a + F.log(p)), lambda a, b: a + b)
-    fused = fused.withColumn("joint", total)
+    # a level that holds no more than the one below it is skipped, so that no row counts twice
+    labels = F.split("host", r"\.")
+    hosts = counts_by("host").withColumn("domain", F.when(F.size(labels) > 3, F.array_join(F.slice(labels, -3, 3), "."))).withColumn("site", F.when(F.size(labels) > 2, F.array_join(F.slice(labels, -2, 2), ".")))
+    for level in ("domain", "site"):
+        above = hosts.where(F.col(level).isNotNull()).groupBy(level).agg(F.array(*[F.sum(F.get("n", F.lit(i))) for i in range(width)]).alias(f"{level}_n"))
+        hosts = hosts.join(above, level, "left")
+    prior = base
+    for counts in ("site_n", "domain_n", "n"):
+        prior = F.when(F.col(counts).isNull(), prior).otherwise(smoothed(F.col(counts), prior))
+    fused = _joined(fused, hosts.select("host", prior.alias("prior")), "host", width)
+    fused = fused.withColumn("joint", F.zip_with("joint", F.coalesce("prior", base), lambda a, p: a + F.log(p)))
     top = F.array_max("joint")
     fused = fused.withColumn("posterior", 1 / F.aggregate(F.transform("joint", lambda x: F.exp(x - top)), F.lit(0.0), lambda a, x: a + x))
     known = F.col("letters") > 0
@@ -193,3 +197,11 @@ def identify(
         "letters",
         (known & (F.col("posterior") >= min_posterior)).alias("accepted"),
     )
+
+
+def page_evidence(pages: DataFrame) -> DataFrame:
+    """(page_id, url, declared, text): the language that the markup declares, and the words between tags."""
+    html = F.coalesce("html", F.lit(""))
+    bare = F.regexp_replace(F.regexp_replace(html, r"(?is)<(script|style)\b.*?</\1\s*>|<!--.*?-->", " "), r"<[^>]*>", " ")
+    declared = F.regexp_extract(html, r"(?i)<html\b[^>]*?\blang\s*=\s*[\"']?([A-Za-z-]+)", 1)
+    return pages.select("page_id", "url", F.nullif(declared, F.lit("")).alias("declared"), bare.alias("text"))

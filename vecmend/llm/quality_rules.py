@@ -85,13 +85,13 @@ def host_verdicts(rules: DataFrame, limit: float = HOST_LIMIT) -> DataFrame:
     return hosts.withColumn("shrunk_rate", shrunk).withColumn("host_ok", F.col("shrunk_rate") <= limit)
 
 
-def judge(df: DataFrame, limit: float = HOST_LIMIT) -> DataFrame:
+def judge(df: DataFrame, limit: float = HOST_LIMIT, host_col: str = "source") -> DataFrame:
     """Rules, host verdicts and ``kept`` for every document row.
 
     The rules are computed once and written to the checkpoint folder.  Only the
     narrow rows are joined with the hosts, and Spark splits a hot host.
     Documents without a host are judged by their own rules alone.
     """
-    rules = durable(document_rules(df))
+    rules = durable(document_rules(df, host_col=host_col))
     joined = rules.join(host_verdicts(rules, limit), "host", "left")
     return joined.withColumn("kept", ~F.col("base_failed") & F.coalesce("host_ok", F.lit(True)))

@@ -24,6 +24,18 @@ def op2_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judged.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
 
 
+def rules_by_length(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same rules with steps of length as hosts, some of which are bad enough to take good documents with them."""
+    docs = table(spark, sf_dir, "documents").withColumn("step", F.concat(F.lit("s"), F.least(F.floor(F.col("n_chars") / 400), F.lit(9))))
+    judged = quality_rules.judge(docs, host_col="step")
+    return judged.select("doc_id", "n_words", "base_failed", "kept")
+
+
+def benchmark_proximity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(doc_id, item_id): documents that hold all words of a benchmark item within a hundred words."""
+    return decontaminate.proximity_matches(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"), 100)
+
+
 def op3_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
@@ -59,12 +71,26 @@ def op9_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat_quotes.link(table(spark, sf_dir, "conversations"))
 
 
+def quoted_conversations(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The conversations again, with quotations put in: each message quotes the one or two before it."""
+    return chat_quotes.link(chat_quotes.with_quotations(table(spark, sf_dir, "conversations")))
+
+
 def op10_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
+    # the labels train the text model; they are not evidence for the rows judged
     model = language_id.fit_text_model(docs)
     return language_id.identify(docs, model).select("doc_id", "language", F.round("posterior", 6).alias("posterior"), "accepted")
 
 
+def pages_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All four kinds of evidence on pages: words, declared language, suffix, and host under its domains."""
+    model = language_id.fit_text_model(table(spark, sf_dir, "documents"))
+    pages = language_id.page_evidence(table(spark, sf_dir, "pages"))
+    found = language_id.identify(pages, model, id_col="page_id", declared_col="declared", host_col=None, url_col="url")
+    return found.select("page_id", "language", F.round("posterior", 6).alias("posterior"), "accepted")
+
+
 #: Words as the contract has them, windows of three, and the host verdict by moments.
 OP2_SQL = r"""
 WITH d AS (
@@ -102,39 +128,70 @@ SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base
 FROM f LEFT JOIN o USING (host)
 """
 
-#: Quote levels, hashes as texts, and the vote for the nearest level, most lines and latest message.
-OP9_SQL = r"""
-WITH l AS (
-  SELECT conv_id, turn, unnest(string_split(coalesce(text, ''), chr(10))) AS line, unnest(range(len(string_split(coalesce(text, ''), chr(10))))) AS i
-  FROM conversations
+#: Quotations over messages ``m``: passages and their sentences as texts, the latest earlier message that wrote them,
+#: the vote for the lowest level, most text and latest message, and paths of ancestors.
+LINK_SQL = r"""
+r AS (
+  SELECT row_number() OVER () AS rid, conv_id, turn, role, string_split(coalesce(text, ''), chr(10)) AS lines FROM m
+), l AS (
+  SELECT rid, unnest(lines) AS line, unnest(range(len(lines))) AS i FROM r
 ), n AS (
-  SELECT conv_id, turn, line, i, length(regexp_replace(regexp_extract(line, '^[ \x09]*(?:>[ \x09]*)+'), '[^>]', '', 'g')) AS level,
+  SELECT rid, line, i, length(regexp_replace(regexp_extract(line, '^[ \x09]*(?:>[ \x09]*)+'), '[^>]', '', 'g')) AS level,
          lower(trim(regexp_replace(regexp_replace(line, '^[ \x09]*(?:>[ \x09]*)+', ''), '[ \x09-\x0D]+', ' ', 'g'))) AS norm
   FROM l
 ), b AS (
-  SELECT conv_id, turn, max(level)::INT AS quote_level, trim(coalesce(string_agg(line, chr(10) ORDER BY i) FILTER (level = 0), '')) AS body FROM n GROUP BY ALL
+  SELECT rid, max(level)::INT AS quote_level, trim(coalesce(string_agg(line, chr(10) ORDER BY i) FILTER (level = 0), '')) AS body FROM n GROUP BY rid
 ), f AS (
-  SELECT conv_id, norm, min(turn) AS origin FROM n WHERE level = 0 AND norm <> '' GROUP BY ALL
-), q AS (
-  SELECT DISTINCT conv_id, turn, level, norm FROM n WHERE level > 0 AND norm <> ''
+  SELECT *, (norm <> '' AND (lag(norm, 1, '') OVER w = '' OR lag(level) OVER w <> level))::INT AS fresh FROM n WINDOW w AS (PARTITION BY rid ORDER BY i)
+), g AS (
+  SELECT *, sum(fresh) OVER (PARTITION BY rid ORDER BY i) AS run FROM f
+), p AS (
+  SELECT rid, run, level, string_agg(norm, ' ' ORDER BY i) AS passage FROM g WHERE norm <> '' GROUP BY rid, run, level
+), s AS (
+  SELECT *, list_filter(list_transform(regexp_extract_all(passage, '[^.!?]*[.!?]+|[^.!?]+'), lambda x: trim(x)), lambda x: x <> '') AS parts FROM p
+), u AS (
+  SELECT rid, level, unnest([passage] || [parts[k] || ' ' || parts[k + 1] FOR k IN range(1, len(parts))] || parts) AS unit FROM s
+), t AS (
+  SELECT DISTINCT r.conv_id, r.turn, u.level, u.unit FROM u JOIN r USING (rid)
+), o AS (
+  SELECT q.conv_id, q.turn, q.level, q.unit, max(w.turn) AS origin
+  FROM t q JOIN t w ON q.conv_id = w.conv_id AND q.unit = w.unit AND w.level = 0 AND w.turn < q.turn WHERE q.level > 0 GROUP BY ALL
 ), v AS (
-  SELECT q.conv_id, q.turn, origin, min(level) AS level, count(*) AS n FROM q JOIN f ON q.conv_id = f.conv_id AND q.norm = f.norm AND origin < q.turn GROUP BY ALL
-), w AS (
-  SELECT conv_id, turn, origin, sum(n) OVER (PARTITION BY conv_id, turn) AS n_links,
-         row_number() OVER (PARTITION BY conv_id, turn ORDER BY level, n DESC, origin DESC) AS k FROM v
+  SELECT conv_id, turn, origin, min(level) AS level, sum(length(unit)) AS weight, count(*) AS n FROM o GROUP BY ALL
+), z AS (
+  SELECT conv_id, turn, arg_max(origin, (-level, weight, origin)) AS parent, sum(n)::BIGINT AS n_links FROM v GROUP BY ALL
+), c AS (
+  SELECT conv_id, turn, parent AS up, lpad(parent::VARCHAR, 19, '0') || '.' || lpad(turn::VARCHAR, 19, '0') AS path FROM z
+  UNION ALL
+  SELECT c.conv_id, c.turn, z.parent, lpad(z.parent::VARCHAR, 19, '0') || '.' || c.path FROM c JOIN z ON c.conv_id = z.conv_id AND c.up = z.turn
+), d AS (
+  SELECT conv_id, turn, max_by(path, length(path)) AS path FROM c GROUP BY ALL
 )
-SELECT c.conv_id, c.turn, c.role, b.body, w.origin AS parent_turn, b.quote_level, coalesce(w.n_links, 0)::BIGINT AS n_links,
-       CASE WHEN w.origin IS NULL THEN lpad(c.turn::VARCHAR, 12, '0') ELSE lpad(w.origin::VARCHAR, 12, '0') || '.' || lpad(c.turn::VARCHAR, 12, '0') END AS order_key
-FROM conversations c JOIN b ON c.conv_id = b.conv_id AND c.turn = b.turn
-LEFT JOIN w ON c.conv_id = w.conv_id AND c.turn = w.turn AND w.k = 1
+SELECT r.conv_id, r.turn, r.role, b.body, z.parent AS parent_turn, b.quote_level, coalesce(z.n_links, 0)::BIGINT AS n_links, coalesce(d.path, lpad(r.turn::VARCHAR, 19, '0')) AS order_key
+FROM r JOIN b USING (rid) LEFT JOIN z ON r.conv_id = z.conv_id AND r.turn = z.turn LEFT JOIN d ON r.conv_id = d.conv_id AND r.turn = d.turn
 """
+OP9_SQL = "WITH RECURSIVE m AS (SELECT conv_id, turn, role, text FROM conversations), " + LINK_SQL
+QUOTED_SQL = (
+    r"""
+WITH RECURSIVE w AS (
+  SELECT conv_id, turn, role, coalesce(text, '') AS text,
+         '> ' || regexp_replace(replace(coalesce(text, ''), chr(10), ' '), '((?:[^ ]+ +){7}[^ ]+) +', '\1' || chr(10) || '> ', 'g') || chr(10) AS q1,
+         '> > ' || regexp_replace(replace(coalesce(text, ''), chr(10), ' '), '((?:[^ ]+ +){7}[^ ]+) +', '\1' || chr(10) || '> > ', 'g') || chr(10) AS q2
+  FROM conversations
+), m AS (
+  SELECT w.conv_id, w.turn, w.role, coalesce(b.q2, '') || coalesce(a.q1, '') || w.text AS text
+  FROM w LEFT JOIN w a ON a.conv_id = w.conv_id AND a.turn + 1 = w.turn LEFT JOIN w b ON b.conv_id = w.conv_id AND b.turn + 2 = w.turn
+), """
+    + LINK_SQL
+)
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     f.__name__: f
     for f in (
         op1_byte_bpe, op2_quality_rules, op3_token_counts, op4_html_extraction, op5_personal_data,
-        op6_ngram_join, op7_decontamination, op8_suffix_dedup, op9_chat_formatting, op10_language_id,
+        op6_ngram_join, op7_decontamination, op8_suffix_dedup, op9_chat_formatting, op10_language_id, pages_language, quoted_conversations, rules_by_length, benchmark_proximity,
     )
 }
 
-ORACLE_SQL: dict[str, str] = {"op2_quality_rules": OP2_SQL, "op9_chat_formatting": OP9_SQL}
+RULES_SQL = OP2_SQL.replace("source AS host", "'s' || least(n_chars // 400, 9) AS host").replace("SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed,", "SELECT doc_id, n_words, base_failed,")
+ORACLE_SQL: dict[str, str] = {"op2_quality_rules": OP2_SQL, "rules_by_length": RULES_SQL, "op9_chat_formatting": OP9_SQL, "quoted_conversations": QUOTED_SQL}
