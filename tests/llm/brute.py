@@ -133,6 +133,18 @@ def contamination(docs, items):
     return out
 
 
+def together(docs, items, span):
+    """(doc, item): documents with a run of ``span`` words that holds all terms of an item."""
+    words = lambda t: re.findall(rb"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", (t or "").encode().lower())
+    out = set()
+    for doc, text in docs:
+        w = words(text)
+        for item, bag in ((i, set(words(x))) for i, x in items):
+            if bag and len(bag) <= span and bag <= set(w) and any(bag <= set(w[i : i + span]) for i in range(max(1, len(w)))):
+                out.add((doc, item))
+    return out
+
+
 def repeats(rows, length=50):
     """rows: (doc_id, text), distinct ids; doc_id -> (n_bytes, n_removed, n_spans, sha)."""
     least = {}
