@@ -27,6 +27,8 @@ GRAM = 16
 #: Documents up to which per-document lists are broadcast; beyond, the texts are shuffled to them.
 BROADCAST_ROWS = 1_000_000
 BROADCAST_BYTES = 64 << 20
+#: Bytes of text whose anchors, or windows, a bucket should hold.
+BUCKET_BYTES = 64 << 20
 
 
 class Anchors:
@@ -223,18 +225,25 @@ def _compare(rows: DataFrame) -> DataFrame:
 
 def _across(edges: DataFrame) -> tuple[DataFrame, DataFrame]:
     """Whole and part marks among suffixes whose gram lies at the end of a bucket."""
-    least = edges.groupBy("gram", "context").agg(F.min("doc").alias("least"))
+    # one row a context; a table of checked size goes to the rows, so that a context that many texts share is in many tasks
+    least = _few(edges.groupBy("gram", "context").agg(F.min("doc").alias("least")))
     near = edges.join(least, ["gram", "context"])
     whole = near.where("doc > least").select("doc", "ordinal")
     parts = [F.struct(F.lit(i).alias("side"), F.shiftrightunsigned("context", 10 * i).bitwiseAND(0x3FF).alias("part")) for i in range(4)]
     keys = least.select("gram", "context", F.shiftright("gram", 16).alias("group"), F.explode(F.array(*parts)).alias("k")).select("gram", "context", "group", "k.*").where("part <> 0")
     both = F.struct("gram", "context")
-    shared = keys.groupBy("group", "side", "part").agg(F.min(both).alias("lo"), F.max(both).alias("hi")).where("lo <> hi")
-    flagged = keys.join(shared.select("group", "side", "part"), ["group", "side", "part"], "left_semi").select("gram", "context").distinct()
+    shared = _few(keys.groupBy("group", "side", "part").agg(F.min(both).alias("lo"), F.max(both).alias("hi")).where("lo <> hi").select("group", "side", "part"))
+    flagged = keys.join(shared, ["group", "side", "part"], "left_semi").select("gram", "context").distinct()
     part = near.where("doc = least").join(flagged, ["gram", "context"], "left_semi").select("doc", "ordinal")
     return whole, part
 
 
+def _few(rows: DataFrame) -> DataFrame:
+    """Written rows, with a broadcast hint if there are few enough of them."""
+    rows = durable(rows)
+    return F.broadcast(rows) if rows.count() <= BROADCAST_ROWS else rows
+
+
 def _per_document(marks: DataFrame, name: str) -> DataFrame:
     """(doc, packed): the marks of each document as sorted ranges, 16 bytes a range."""
 
@@ -287,7 +296,7 @@ def _window_rows(placed: DataFrame, length: int) -> DataFrame:
     return placed.mapInArrow(in_slices(run), "h bigint, doc bigint, ordinal bigint")
 
 
-def _later(windows: DataFrame) -> DataFrame:
+def _later(windows: DataFrame, parts: int) -> DataFrame:
     """(doc, ordinal) of windows that a smaller document has too.
 
     Only one document for each distinct context of an anchor gives windows, so a
@@ -308,7 +317,6 @@ def _later(windows: DataFrame) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array(doc[late]), pa.array(ordinal[late])], names=["doc", "ordinal"])
             last_h, last_doc = h[-1], least[-1]
 
-    parts = int(windows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     ordered = windows.repartition(parts, "h").sortWithinPartitions("h", "doc", "ordinal")
     return ordered.mapInArrow(first_of_runs, "doc bigint, ordinal bigint")
 
@@ -316,14 +324,15 @@ def _later(windows: DataFrame) -> DataFrame:
 def repeated_spans(docs: DataFrame, length: int = LENGTH) -> DataFrame:
     """(doc, anchors, windows): packed anchor ranges and window-start ranges to remove, for documents that have any."""
     own = docs.where(F.col("doc_id").isNotNull() & F.col("text").isNotNull()).select(F.col("doc_id").cast("bigint").alias("doc_id"), "text")
-    parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    size = own.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    parts = max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), size // BUCKET_BYTES)
     rows = _suffix_rows(own, length, _sample_cuts(own, length, parts))
     marks = durable(_compare(dealt(rows, parts, ["gram", "context", "doc", "ordinal"])))
     whole, part = _across(marks.where("kind = 'edge'").drop("kind"))
     whole = marks.where("kind = 'whole'").select("doc", "ordinal").union(whole)
     part = marks.where("kind = 'part'").select("doc", "ordinal").union(part)
     windows = _window_rows(_placed(own, _per_document(part, "packed"), ["packed"], "inner"), length)
-    late = durable(_later(windows))
+    late = durable(_later(windows, parts))
     return _per_document(whole, "anchors").join(_per_document(late, "windows"), "doc", "full")
 
 
