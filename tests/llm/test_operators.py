@@ -4,11 +4,10 @@ import hashlib
 
 import numpy as np
 import pytest
-from pyspark.sql import Row
 
 pytest.importorskip("vecmend.llm")
 
-from vecmend.llm import byte_bpe, chat_quotes, decontaminate, html_extract, language_id, ngram_join, pii, quality_rules, suffix_dedup, token_counts  # noqa: E402
+from vecmend.llm import byte_bpe, decontaminate, html_extract, language_id, ngram_join, pii, quality_rules, suffix_dedup, token_counts  # noqa: E402
 from vecmend.llm import queries as Q  # noqa: E402
 from vecmend.llm.components import connected_components  # noqa: E402
 
@@ -71,6 +70,26 @@ def test_token_counts(odd):
     assert got == {d: brute.pieces(t, set(pieces)) for d, t in ODD}
 
 
+def test_token_counts_of_the_registered_query(spark, tiny, docs, none):
+    import public_tokenizers as P
+
+    pieces = token_counts.read_pieces(P.path("piece_bpe_32k.model"))
+    few = dict(docs[:60])
+    got = {r.doc_id: r.n_tokens for r in Q.op3_token_counts(spark, tiny).collect()}
+    assert len(got) == len(docs) and {d: got[d] for d in few} == {d: brute.pieces(t, set(pieces)) for d, t in few.items()}
+    assert token_counts.count_tokens(none, pieces).count() == 0
+
+
+def test_a_bad_host_changes_verdicts_of_a_registered_query(spark, tiny):
+    rows = Q.rules_by_length(spark, tiny).collect()
+    assert any(not r.kept and not r.base_failed for r in rows) and any(r.kept for r in rows)
+
+
+def test_proximity_query(spark, tiny, docs):
+    items = [tuple(r) for r in spark.read.parquet(f"{tiny}/benchmark.parquet").select("item_id", "text").collect()]
+    assert {(r.doc_id, r.item_id) for r in Q.benchmark_proximity(spark, tiny).collect()} == brute.together(docs, items, 100)
+
+
 def test_personal_data(odd, none):
     found = pii.find_personal_data(odd).select("doc_id", pii.spans_text(pii.F.col("base")).alias("b")).collect()
     assert {r.doc_id: r.b for r in found} == {d: brute.personal(t)[1] for d, t in ODD}
@@ -107,7 +126,9 @@ def test_similar_sets_share_a_signature():
             both = len(np.intersect1d(a, b))
             if 100 * both >= 75 * (len(a) + len(b) - both):
                 for common in (none, a[::3], b):
-                    assert len(np.intersect1d(ngram_join.signatures(a, common), ngram_join.signatures(b, common)))
+                    shared = np.intersect1d(*(s[0] for s in (ngram_join.signatures(a, common), ngram_join.signatures(b, common))), return_indices=True)
+                    bands = ngram_join.signatures(a, common)[1][shared[1]]
+                    assert any((bands == x).sum() >= ngram_join.shared_at_least(int(x)) for x in np.unique(bands))
 
 
 def test_components(spark):
@@ -129,7 +150,10 @@ def test_decontamination(spark, tiny, docs, odd, none):
     clean = {r.doc_id for r in decontaminate.clean_documents(odd, frame).collect()}
     assert clean == {d for (d, _), w in zip(ODD, want, strict=True) if not w[-1]}
     assert decontaminate.find_contamination(odd, frame.limit(0)).where("n_hit > 0").count() == 0
-    assert {(r.doc_id, r.item_id) for r in decontaminate.proximity_matches(odd, frame, 3).collect()} >= {(4, 1), (5, 1), (6, 4), (8, 4)}
+    for span in (1, 2, 3, 20):
+        assert {(r.doc_id, r.item_id) for r in decontaminate.proximity_matches(odd, frame, span, max_terms=20).collect()} == brute.together(ODD, bench, span)
+    named = frame.select(decontaminate.F.concat(decontaminate.F.lit("item"), "item_id").alias("item_id"), "text")
+    assert {r.item_id for r in decontaminate.proximity_matches(odd, named, 3).collect()} == {f"item{i}" for _, i in brute.together(ODD, bench, 3)}
 
 
 def test_suffix_dedup(spark, tiny, docs, odd, none):
@@ -141,12 +165,6 @@ def test_suffix_dedup(spark, tiny, docs, odd, none):
     assert kept[8] == b"" and hashlib.sha256(kept[6]).hexdigest() == brute.repeats(ODD)[6][3]
 
 
-def test_chat_quotes(spark):
-    rows = [(1, 0, "user", "First question here\nsecond line"), (1, 1, "assistant", "> First  question HERE\nAn answer"), (1, 2, "user", "> > First question here\n> An answer\nThanks"), (1, 3, "user", None), (2, 0, "user", "> nothing")]
-    got = {(r.conv_id, r.turn): (r.body, r.parent_turn, r.quote_level) for r in chat_quotes.link(spark.createDataFrame(rows, "conv_id bigint, turn bigint, role string, text string")).collect()}
-    assert got == {(1, 0): ("First question here\nsecond line", None, 0), (1, 1): ("An answer", 0, 1), (1, 2): ("Thanks", 1, 2), (1, 3): ("", None, 0), (2, 0): ("", None, 1)}
-
-
 def test_language_id(spark, tiny, odd, none):
     labels = {r.doc_id: r.lang for r in spark.read.parquet(f"{tiny}/documents.parquet").collect()}
     found = Q.op10_language_id(spark, tiny).collect()
@@ -185,4 +203,3 @@ def test_pipeline(spark, tiny):
     assert set(before.columns) < set(out.columns) and 0 < len(rows) <= before.count()
     want = brute.bpe([r.text for r in rows])
     assert [(r.n_tokens, r.ids_sha256, r.decoded_sha256) for r in rows] == want
-    assert Row is not None

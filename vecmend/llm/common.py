@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import gc
 import sys
 import tempfile
 import types
@@ -12,6 +13,7 @@ from typing import Any
 
 import numpy as np
 import pyarrow as pa
+from py4j.protocol import Py4JError
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -48,14 +50,38 @@ def durable(df: DataFrame) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def let_go(spark: SparkSession) -> None:
+    """Let Spark delete the shuffle files of finished jobs now: its cleaner waits for the driver to collect garbage."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
+def tables_written(spark: SparkSession) -> int:
+    """Number of tables that ``durable`` has written in this session, as a mark for ``forget_since``."""
+    return len(getattr(spark, "_vecmend_tables", []))
+
+
+def forget_since(spark: SparkSession, mark: int) -> None:
+    """Delete the tables written after the mark but the last, from which the result of the work between was read."""
+    done = getattr(spark, "_vecmend_tables", [])[mark:-1]
+    _delete(spark, done)
+    for path in done:
+        spark._vecmend_tables.remove(path)
+
+
+def _delete(spark: SparkSession, paths: list[str]) -> None:
+    jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
+    for path in paths:
+        place = jvm.org.apache.hadoop.fs.Path(path)
+        place.getFileSystem(conf).delete(place, True)
+
+
 def _forget(spark: SparkSession) -> None:
+    if spark.sparkContext._jsc is None:  # the session is gone; what stays lies in its checkpoint folder
+        return
     try:
-        jvm = spark.sparkContext._jvm
-        conf = spark.sparkContext._jsc.hadoopConfiguration()
-        for path in spark._vecmend_tables:
-            place = jvm.org.apache.hadoop.fs.Path(path)
-            place.getFileSystem(conf).delete(place, True)
-    except Exception:  # the session may be gone already; what stays lies in its checkpoint folder
+        _delete(spark, spark._vecmend_tables)
+    except (Py4JError, OSError):  # its process ended first
         return
 
 
