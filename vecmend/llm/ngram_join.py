@@ -452,7 +452,8 @@ def _apart_from_head(d: DataFrame, component: DataFrame) -> DataFrame:
     """
     t, whole = SHARE
     df = d.groupBy("a", "f").agg(F.count(F.lit(1)).alias("df")).where("df > 1")
-    closest = d.where("e > 0").groupBy("a").agg(F.min("e").alias("least_e"))
+    # one row a head; broadcast up to a checked size, so that a head's members stay in many tasks
+    closest = _sized(durable(d.where("e > 0").groupBy("a").agg(F.min("e").alias("least_e"))))
     own = Window.partitionBy("a", "b")
     ranked = d.join(df, ["a", "f"]).join(closest, "a").withColumn("left", F.count(F.lit(1)).over(own) - F.row_number().over(own.orderBy("df", "f")) + 1)
     # what a member shares with a partner that is not linked to the head; what one that is not linked shares with any partner
