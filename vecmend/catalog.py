@@ -620,7 +620,7 @@ def stream_mend_replay(spark, d):
 @_query("SELECT count(DISTINCT event_id * 7919 % (SELECT count(*) FROM embeddings) || event_type) AS n_keys, count(*) AS n FROM events")
 def cache_repeats(spark, d):
     _, q = D.event_log(spark, d)
-    return q.select(V.key_md5(F.col("vec")).alias("k")).agg(F.countDistinct("k").alias("n_keys"), F.count(F.lit(1)).alias("n"))
+    return U.repeats(q).select(V.key_md5(F.col("vec")).alias("k"), "n").agg(F.countDistinct("k").alias("n_keys"), F.coalesce(F.sum("n"), F.lit(0)).alias("n"))
 
 
 @_query("SELECT event_type, ts::DATE AS day, count(*) AS n FROM events GROUP BY ALL")

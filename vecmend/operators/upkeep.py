@@ -109,6 +109,11 @@ def split(queries: DataFrame, test_n: int, mode: str = "random", seed: int = 0)
 # --- cache and effort --------------------------------------------------------------
 
 
+def repeats(queries: DataFrame) -> DataFrame:
+    """(query_id, vec, n): each distinct vector once, under its smallest id, with the number of queries that have it."""
+    return queries.groupBy("vec").agg(F.min("query_id").alias("query_id"), F.count(F.lit(1)).alias("n")).select("query_id", "vec", "n")
+
+
 def build_cache(history: DataFrame, truth: DataFrame, k: int) -> DataFrame:
     """(key_md5, vec_canon, ids, dists): stored answers of distinct history queries."""
     keyed = history.select("query_id", V.key_md5(F.col("vec")).alias("key_md5"), V.canonical(F.col("vec")).alias("vec_canon"))
@@ -119,7 +124,8 @@ def build_cache(history: DataFrame, truth: DataFrame, k: int) -> DataFrame:
 
 def cache_split(queries: DataFrame, cache: DataFrame) -> tuple[DataFrame, DataFrame]:
     """(hits with ids, misses): the canonical text is compared too, so a collision of keys is a miss."""
-    keyed = queries.withColumn("key_md5", V.key_md5(F.col("vec"))).withColumn("vec_canon", V.canonical(F.col("vec")))
+    keys = queries.select("vec").distinct().withColumn("vec_canon", V.canonical(F.col("vec"))).withColumn("key_md5", F.md5("vec_canon"))
+    keyed = queries.join(keys, "vec")
     hits = keyed.join(cache, ["key_md5", "vec_canon"])
     return hits, keyed.join(cache, ["key_md5", "vec_canon"], "left_anti")
 
@@ -135,12 +141,12 @@ def hybrid(base: DataFrame, edges: DataFrame, queries: DataFrame, cache: DataFra
 def lookup_times(queries: DataFrame, cache: DataFrame, part_bytes: int = 64 << 20) -> DataFrame:
     """(n, cache_us): mean microseconds to make a query's key and to find its answer in a dictionary, one a range of keys.
 
-    Queries and answers are dealt by key to as many tasks as keep a dictionary small.
+    Queries and answers are dealt by key to as many tasks as keep a dictionary and its queries small.
     """
     import numpy as np
     import pandas as pd
 
-    held = cache.agg(F.sum(F.length("vec_canon") + 16 * F.size("ids"))).first()[0] or 0
+    held = (cache.agg(F.sum(F.length("vec_canon") + 16 * F.size("ids"))).first()[0] or 0) + (queries.agg(F.sum(8 * F.size("vec"))).first()[0] or 0)
     parts = int(held // part_bytes) + 1
     by = F.pmod(F.xxhash64("key_md5"), F.lit(parts)).alias("part")
     asked = queries.select(by, F.lit(None).cast("string").alias("key_md5"), "vec", F.lit(None).cast("array<bigint>").alias("ids"))
