@@ -407,7 +407,7 @@ def search_filtered_walk(spark, d):
 @_query(_with(_BASE, f"stop AS (SELECT query_id, vec_id AS stop, dist AS stop_dist FROM ({_with(_truth_cte(40, 'test', name='t40'))} SELECT * FROM t40 WHERE rank = 40))") + f"SELECT q.query_id, stop, b.vec_id FROM q JOIN stop ON stop.query_id = q.query_id, base b WHERE b.vec_id <> stop AND {_COS.format('b.vec', 'q.vec')} < stop_dist")
 def approach_candidates(spark, d):
     base, q = _ws(spark, d, "test")
-    stops = R.cut(T.exact_sql(base, q, 40).where("rank = 40").select("query_id", F.col("vec_id").alias("stop"), F.col("dist").alias("stop_dist")))
+    stops = R.cut(T.exact_blocked(base, q, 40).where("rank = 40").select("query_id", F.col("vec_id").alias("stop"), F.col("dist").alias("stop_dist")))
     return M.approach_candidates(base, None, q, stops)
 
 
