@@ -686,10 +686,11 @@ def set_operations(spark, d):
 
 @_query(_with(_BASE) + f"SELECT query_id, round(sqrt(list_inner_product(vec, vec)), 6) AS norm, round(min({_COS.format('b.vec', 'q.vec')}), 6) AS nearest FROM q, (SELECT vec_id, vec AS vec FROM base) b WHERE role = 'test' GROUP BY query_id, vec".replace("sqrt(list_inner_product(vec, vec)), 6) AS norm", "sqrt(list_inner_product(q.vec, q.vec)), 6) AS norm").replace("GROUP BY query_id, vec", "GROUP BY query_id, q.vec"))
 def sql_vector_functions(spark, d):
-    """The vector functions from SQL text, inlined by Catalyst."""
+    """The vector functions from SQL text, inlined by Catalyst, on each query and its nearest row among all."""
     V.register(spark)
     base, q = _ws(spark, d, "test")
-    return spark.sql("SELECT query_id, round(max(n), 6) AS norm, round(min(c), 6) AS nearest FROM (SELECT query_id, vec_norm(q.vec) AS n, vec_cos(b.vec, q.vec) AS c FROM {q} q CROSS JOIN {b} b) GROUP BY query_id", q=q, b=base)
+    near = T.exact_blocked(base, q, 1)
+    return spark.sql("SELECT query_id, round(vec_norm(q.vec), 6) AS norm, round(vec_cos(b.vec, q.vec), 6) AS nearest FROM {near} n JOIN {q} q USING (query_id) JOIN {b} b USING (vec_id)", near=near, q=q, b=base)
 
 
 @_query("SELECT event_type, map_extract_value(counts, 'Monday') AS mondays, cardinality(counts)::INT AS n_days FROM (SELECT event_type, map(list(d), list(n)) AS counts FROM (SELECT event_type, dayname(ts) AS d, count(*) AS n FROM events GROUP BY ALL) GROUP BY 1)")
