@@ -296,11 +296,12 @@ def sliced_wasserstein(a: DataFrame, b: DataFrame, n_proj: int = 16, steps: int
     return both.select("direction", (F.aggregate(F.zip_with("qa", "qb", lambda x, y: F.abs(x - y)), F.lit(0.0), lambda s, x: s + x) / steps).alias("distance"))
 
 
-def sinkhorn(a: DataFrame, b: DataFrame, blur: float = 0.05, rounds: int = 200, block: int = 1024) -> DataFrame:
+def sinkhorn(a: DataFrame, b: DataFrame, blur: float = 0.05, rounds: int = 200, block: int = 1024, cells: int = 2 << 20) -> DataFrame:
     """(n_a, n_b, distance): entropic transport cost between all rows of two sets.
 
     The rows of ``b`` are broadcast in blocks of bounded size.  A round is one pass over ``a``: a task finds the potential
     of its rows and sums each row of ``b`` over them; the driver merges one number a row of ``b`` and task.
+    Distances and exponentials of about ``cells`` pairs are found once a round, and serve both sums.
     """
     import numpy as np
     import pyarrow as pa
@@ -316,10 +317,13 @@ def sinkhorn(a: DataFrame, b: DataFrame, blur: float = 0.05, rounds: int = 200,
     schema = "n_a bigint, n_b bigint, distance double"
     if not n_a or not n_b:
         return spark.createDataFrame([(n_a, n_b, None)], schema)
-    ends = np.concatenate([[0], np.cumsum(sizes)])
+    few = min(block, max(16, cells // n_b))
 
     def gaps(rows, other):
-        return np.sqrt(np.maximum((rows**2).sum(1)[:, None] + (other**2).sum(1)[None, :] - 2 * rows @ other.T, 0))
+        d = (-2 * rows) @ other.T
+        d += (rows**2).sum(1)[:, None]
+        d += (other**2).sum(1)[None, :]
+        return np.sqrt(np.maximum(d, 0, out=d), out=d)
 
     def merged(top, total, new_top, new_total):
         up = np.maximum(top, new_top)
@@ -334,27 +338,29 @@ def sinkhorn(a: DataFrame, b: DataFrame, blur: float = 0.05, rounds: int = 200,
             seen = False
             for batch in batches:
                 vecs = batch.column(0).to_numpy(zero_copy_only=False)
-                for i in range(0, len(vecs), block):
-                    rows = np.stack(vecs[i : i + block]).astype(np.float64)
+                for i in range(0, len(vecs), few):
+                    rows = np.stack(vecs[i : i + few]).astype(np.float64)
                     seen = True
-                    own_top, own = np.full(len(rows), -np.inf), np.zeros(len(rows))
-                    pieces = [(j, k) for j, y in enumerate(sizes) for k in range(0, y, block)]
-                    # the potential of these rows needs all of b before any sum over them
-                    for j, k in pieces:
-                        y = shared[j].value[k : k + block]
-                        m = (g[ends[j] + k : ends[j] + k + len(y)][None, :] - gaps(rows, y)) / blur
-                        high = m.max(1)
-                        own_top, own = merged(own_top, own, high, np.exp(m - high[:, None]).sum(1))
-                    f = -blur * (own_top + np.log(own / n_b))
-                    for j, k in pieces:
-                        y = shared[j].value[k : k + block]
-                        at, c = slice(ends[j] + k, ends[j] + k + len(y)), gaps(rows, y)
-                        if last:
-                            cost += float((np.exp((f[:, None] + g[at][None, :] - c) / blur) * c).sum())
-                        else:
-                            m = (f[:, None] - c) / blur
-                            high = m.max(0)
-                            top[at], total[at] = merged(top[at], total[at], high, np.exp(m - high[None, :]).sum(0))
+                    m = np.concatenate([gaps(rows, y.value) for y in shared], axis=1)
+                    c = m.copy() if last else None
+                    np.subtract(g[None, :], m, out=m)
+                    m /= blur
+                    high = m.max(1)
+                    m -= high[:, None]
+                    np.exp(m, out=m)
+                    own = m.sum(1)
+                    if last:  # exp((f + g - c) / blur) is n_b of each row's share
+                        cost += float(((m * c).sum(1) / own).sum() * n_b)
+                        continue
+                    # exp((f - c) / blur) is n_b of a row's share, times exp(-g / blur)
+                    by_row = m.T @ (n_b / own)
+                    if by_row.min() > 1e-200:
+                        top, total = merged(top, total, -g / blur, by_row)
+                        continue
+                    f = -blur * (high + np.log(own / n_b))
+                    m = (f[:, None] - np.concatenate([gaps(rows, y.value) for y in shared], axis=1)) / blur
+                    high = m.max(0)
+                    top, total = merged(top, total, high, np.exp(m - high[None, :]).sum(0))
             if seen:
                 yield pa.RecordBatch.from_arrays([pa.array([top.tobytes()], pa.binary()), pa.array([total.tobytes()], pa.binary()), pa.array([cost])], names=["top", "total", "cost"])
 
