@@ -1,4 +1,7 @@
-"""Corpus pipeline: five stages over documents, each written as Parquet and read again."""
+"""Corpus pipeline: five stages over documents, each written as Parquet and read again.
+
+A stage that ends in Python writes its rows itself: whoever writes them otherwise would hand Python batches of 64 MB.
+"""
 
 from __future__ import annotations
 
@@ -35,7 +38,7 @@ def join_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that no benchmark passage contaminates, row by row; null and empty texts hold no passage and stay."""
-    return decontaminate.clean_documents(docs, table(spark, sf_dir, "benchmark"))
+    return durable(decontaminate.clean_documents(docs, table(spark, sf_dir, "benchmark")))
 
 
 def mask_personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -48,7 +51,7 @@ def encode_bytes(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
     import public_tokenizers
 
     ranks = byte_bpe.read_ranks(public_tokenizers.path("byte_bpe_50k.tiktoken"))
-    return byte_bpe.round_trip_digest(docs, ranks, public_tokenizers.PATTERN)
+    return durable(byte_bpe.round_trip_digest(docs, ranks, public_tokenizers.PATTERN))
 
 
 STAGES = [
