@@ -296,12 +296,16 @@ def sliced_wasserstein(a: DataFrame, b: DataFrame, n_proj: int = 16, steps: int
     return both.select("direction", (F.aggregate(F.zip_with("qa", "qb", lambda x, y: F.abs(x - y)), F.lit(0.0), lambda s, x: s + x) / steps).alias("distance"))
 
 
-def sinkhorn(a: DataFrame, b: DataFrame, blur: float = 0.05, rounds: int = 200, block: int = 1024, cells: int = 2 << 20) -> DataFrame:
+def sinkhorn(a: DataFrame, b: DataFrame, blur: float = 0.05, rounds: int = 200, block: int = 1024, cells: int = 1 << 19, many: int = 1 << 27) -> DataFrame:
     """(n_a, n_b, distance): entropic transport cost between all rows of two sets.
 
-    The rows of ``b`` are broadcast in blocks of bounded size.  A round is one pass over ``a``: a task finds the potential
+    The rows of ``b`` are broadcast in blocks of bounded size.  A round is one pass over ``a``, all tasks side by side: a task finds the potential
     of its rows and sums each row of ``b`` over them; the driver merges one number a row of ``b`` and task.
     Distances and exponentials of about ``cells`` pairs are found once a round, and serve both sums.
+
+    After ``PLAIN`` rounds the next potentials are mixed from the last ones (``mixed``), which has the same fixed point and gets there in fewer rounds.
+    From ``many`` pairs on, rounds are in single precision while that brings the potentials on; those after them, which decide the
+    result, and the cost itself are in double precision.
     """
     import numpy as np
     import pyarrow as pa
@@ -318,68 +322,105 @@ def sinkhorn(a: DataFrame, b: DataFrame, blur: float = 0.05, rounds: int = 200,
     if not n_a or not n_b:
         return spark.createDataFrame([(n_a, n_b, None)], schema)
     few = min(block, max(16, cells // n_b))
-
-    def gaps(rows, other):
-        d = (-2 * rows) @ other.T
-        d += (rows**2).sum(1)[:, None]
-        d += (other**2).sum(1)[None, :]
-        return np.sqrt(np.maximum(d, 0, out=d), out=d)
+    x = R.cut(x.repartition(max(1, min(spark.sparkContext.defaultParallelism, n_a * n_b >> 20))))
+    ends = np.cumsum(sizes).tolist()
 
     def merged(top, total, new_top, new_total):
         up = np.maximum(top, new_top)
         return up, total * np.exp(top - up) + new_total * np.exp(new_top - up)
 
-    def one_pass(g, last):
+    def one_pass(g, last, kind=np.float64):
         sent = spark.sparkContext.broadcast(g)
 
         def run(batches):
             g = sent.value
             top, total, cost = np.full(n_b, -np.inf), np.zeros(n_b), 0.0
-            seen = False
+            seen, sums, held = False, np.zeros(n_b), {}
+
+            def gaps(rows, kind):
+                """Distances to all rows of b: squares by one product a block, with the squared lengths as two more coordinates."""
+                if kind not in held:
+                    others = [np.hstack([-2.0 * y.value, (y.value**2).sum(1)[:, None], np.ones((len(y.value), 1))]).astype(kind) for y in shared]
+                    held[kind] = others, np.empty((few, n_b), dtype=kind)
+                others, room = held[kind]
+                own, d = np.hstack([rows, np.ones((len(rows), 1)), (rows**2).sum(1)[:, None]]).astype(kind), room[: len(rows)]
+                for y, end in zip(others, ends, strict=True):
+                    d[:, end - len(y) : end] = own @ y.T
+                np.maximum(d, 0, out=d)
+                return np.sqrt(d, out=d)
+
+            scaled, ones = (g / blur).astype(kind), np.ones(n_b, dtype=kind)
             for batch in batches:
                 vecs = batch.column(0).to_numpy(zero_copy_only=False)
                 for i in range(0, len(vecs), few):
                     rows = np.stack(vecs[i : i + few]).astype(np.float64)
                     seen = True
-                    m = np.concatenate([gaps(rows, y.value) for y in shared], axis=1)
+                    m = gaps(rows, kind)
                     c = m.copy() if last else None
-                    np.subtract(g[None, :], m, out=m)
-                    m /= blur
+                    m *= kind(-1.0 / blur)
+                    m += scaled
                     high = m.max(1)
                     m -= high[:, None]
                     np.exp(m, out=m)
-                    own = m.sum(1)
+                    own = m @ ones
                     if last:  # exp((f + g - c) / blur) is n_b of each row's share
                         cost += float(((m * c).sum(1) / own).sum() * n_b)
                         continue
                     # exp((f - c) / blur) is n_b of a row's share, times exp(-g / blur)
                     by_row = m.T @ (n_b / own)
-                    if by_row.min() > 1e-200:
-                        top, total = merged(top, total, -g / blur, by_row)
+                    if by_row.min() > (1e-200 if kind is np.float64 else 1e-25):
+                        sums += by_row
                         continue
                     f = -blur * (high + np.log(own / n_b))
-                    m = (f[:, None] - np.concatenate([gaps(rows, y.value) for y in shared], axis=1)) / blur
+                    m = (f[:, None] - gaps(rows, np.float64)) / blur
                     high = m.max(0)
                     top, total = merged(top, total, high, np.exp(m - high[None, :]).sum(0))
             if seen:
+                if sums.any():
+                    top, total = merged(top, total, -g / blur, sums)
                 yield pa.RecordBatch.from_arrays([pa.array([top.tobytes()], pa.binary()), pa.array([total.tobytes()], pa.binary()), pa.array([cost])], names=["top", "total", "cost"])
 
         top, total, cost = np.full(n_b, -np.inf), np.zeros(n_b), 0.0
-        for r in x.mapInArrow(run, "top binary, total binary, cost double").toLocalIterator():
+        for r in x.mapInArrow(run, "top binary, total binary, cost double").collect():
             cost += r["cost"]
             if not last:
                 top, total = merged(top, total, np.frombuffer(r["top"]), np.frombuffer(r["total"]))
         sent.unpersist()
         return cost / (n_a * n_b) if last else -blur * (top + np.log(total / n_a))
 
-    g = np.zeros(n_b)
-    for _ in range(rounds):
-        before, g = g, one_pass(g, False)
-        if np.abs(g - before).max() < 1e-9 * blur:  # further rounds change nothing
+    g, past, best, at, kind = np.zeros(n_b), [], np.inf, 0, np.float32 if n_a * n_b >= many else np.float64
+    for n in range(rounds):
+        now = one_pass(g, False, kind)
+        change = np.abs(now - g).max()
+        if change < 1e-9 * blur:  # further rounds change nothing
+            g = now
             break
+        if kind is np.float32 and (change < 3e-5 * blur or n - at >= PLAIN or n >= rounds // 2):
+            g, kind, past, best = now, np.float64, [], np.inf
+            continue
+        if change > 10 * best:  # the mix has led away
+            past = []
+        best, at = (change, n) if change < best else (best, at)
+        past = [*past, (now, now - g)][-DEPTH - 1 :] if n >= PLAIN else []
+        g = now if n == rounds - 1 else mixed(past, now)
     return spark.createDataFrame([(n_a, n_b, float(one_pass(g, True)))], schema)
 
 
+#: Rounds of ``sinkhorn`` before potentials are mixed, and how many earlier ones are mixed in.
+PLAIN, DEPTH = 10, 10
+
+
+def mixed(past: list, now):
+    """The sum of the last potentials, by weights that add up to one, whose changes cancel out best; ``past`` has (potentials, change) of each round."""
+    import numpy as np
+
+    if len(past) < 2:
+        return now
+    (_, change), earlier = past[-1], past[:-1]
+    weights = np.linalg.lstsq(np.stack([c - change for _, c in earlier], axis=1), -change, rcond=1e-10)[0]
+    return now + np.stack([p - now for p, _ in earlier], axis=1) @ weights
+
+
 def from_training(history: DataFrame, training: DataFrame) -> DataFrame:
     """(query_id, vec, origin): history with training queries whose keys it lacks; one row a key, the smallest id first."""
     both = history.select("query_id", "vec", F.lit("history").alias("origin")).unionByName(training.select("query_id", "vec", F.lit("training").alias("origin")))
